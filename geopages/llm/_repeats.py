@@ -15,8 +15,8 @@ so the work goes through *anchors*:
 3. What is left are the edges of repeats: seeds that stand in several different
    contexts. Only one row for each such context is looked at symbol by symbol.
 
-Equal contexts of one Arrow batch are settled within it, so a passage that a
-third of all documents hold sends a row for each batch, not for each document.
+Equal contexts of one piece of a batch are settled within it, so a passage that
+a third of all documents hold sends a row for each piece, not for each document.
 Decisions stream through partitions sorted by seed with a few rows of state.
 """
 
@@ -133,7 +133,7 @@ def merged(doc: np.ndarray, s: np.ndarray, e: np.ndarray) -> tuple[np.ndarray, n
 
 def _emit_anchors(spec: Spec) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (x for y in batches for x in S.slices(y)):
             ids = b.column(0).to_numpy(zero_copy_only=False)
             values, borders = spec.symbols(b.column(1))
             text, p, seed, context, c0, c1 = anchors(values, borders, spec)
@@ -246,11 +246,12 @@ def _contexts(spec: Spec) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.Re
     """Of documents with their edge anchors: each anchor's symbols on both sides."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (x for y in batches for x in S.slices(y)):
             ids = b.column(0).to_numpy(zero_copy_only=False)
             values, borders = spec.symbols(b.column(1))
             marks = b.column(2)
             at = marks.offsets.to_numpy()
+            at = at - at[0]
             flat = marks.flatten()
             seed, p, multi = (flat.field(i).to_numpy(zero_copy_only=False) for i in range(3))
             text = np.repeat(np.arange(len(ids)), np.diff(at))

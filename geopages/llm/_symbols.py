@@ -91,6 +91,16 @@ def blocks(borders: np.ndarray, most: int = BLOCK) -> Iterator[tuple[int, int]]:
         i = j
 
 
+def slices(batch: pa.RecordBatch, column: int = 1, most: int = 6 << 20) -> Iterator[pa.RecordBatch]:
+    """A batch in pieces of up to ``most`` bytes of text, so that vector work on it needs little memory; a longer text stands alone."""
+    col = batch.column(column)
+    if not len(col):
+        return
+    at = np.r_[0, np.cumsum(pc.fill_null(pc.binary_length(col), 0).to_numpy(zero_copy_only=False).astype(np.int64))]
+    for i, j in blocks(at, most):
+        yield batch.slice(i, j - i)
+
+
 def word_spans(raw: np.ndarray, borders: np.ndarray, is_gap: np.ndarray = IS_SPACE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """First byte and end of every word, and the n + 1 borders of the texts counted in words."""
     if not len(raw):

@@ -52,7 +52,7 @@ def extend_both_ways(group, doc, n_left, raw, at, spec, multi) -> tuple[np.ndarr
 
 
 def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
+    for b in (x for y in batches for x in S.slices(y)):
         raw, borders = S.raw_texts(b.column(1))
         start, end, at = S.word_spans(raw, borders)
         data = raw.tobytes()

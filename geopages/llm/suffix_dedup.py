@@ -81,7 +81,7 @@ def resolve_by_suffix_order(group, doc, n_left, raw, at, spec, multi) -> tuple[n
 
 
 def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
+    for b in (x for y in batches for x in S.slices(y)):
         raw, at = S.raw_texts(b.column(1))
         size = np.diff(at)
         data = raw.tobytes()
