@@ -2,8 +2,9 @@
 
 from __future__ import annotations
 
+from .ngram_join import op6_ngram_join
 from .seed_extend import op9_seed_extend
 from .suffix_dedup import op2_suffix_dedup
 
-QUERIES = {f.__name__: f for f in (op2_suffix_dedup, op9_seed_extend)}
+QUERIES = {f.__name__: f for f in (op2_suffix_dedup, op6_ngram_join, op9_seed_extend)}
 ORACLES: dict[str, str] = {}
