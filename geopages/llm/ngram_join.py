@@ -8,11 +8,11 @@ fixed size over all documents. Work is saved by relations between sets, on two l
 * *Index*: equal sets are one entry. Lists hold entries in blocks of similar size; a
   probe meets its own block and the next, skips all others, and skips entries whose
   positions leave too few tokens for the overlap asked for.
-* *Answers*: in a first round each entry of a list is compared with its neighbour in
-  size only. Where that links them, an entry takes over the other's component as its
-  own answer, and the second round compares entries of different components alone,
-  so a group of near copies costs steps in proportion to its size, not its square,
-  and no link between groups is lost.
+* *Answers*: in a first round each entry is compared only with the few entries that
+  stand next to it in most of its lists, its likeliest partners. Where that links
+  them, it takes over the other's component as its own answer, and the second round
+  compares entries of different components alone, so a group of near copies costs
+  steps in proportion to its size, not its square, and no link between groups is lost.
 
 Candidates are tested first by parity sketches (differing bits never exceed the
 symmetric difference, so no link is lost), then exactly on whole sets.
@@ -41,6 +41,8 @@ from .components import connected_components
 #: Counters of token frequency: their number bounds what is sent to the driver and back (1 MB of ranks).
 COUNTERS, CHUNK = 1 << 20, 1 << 14
 SKETCH_BITS = 1024
+#: Neighbours of an entry that the first round compares it with: those next to it in most lists. The second round has all others.
+NEIGHBOURS = 4
 
 
 def shingle_sets(batch: pa.RecordBatch, n: int) -> Iterator[np.ndarray]:
@@ -69,12 +71,18 @@ def _class_of(s: np.ndarray) -> int:
     return int.from_bytes(hashlib.blake2b(s.tobytes(), digest_size=8).digest(), "little", signed=True)
 
 
-def _sketch(s: np.ndarray) -> bytes:
+def _sketch(s: np.ndarray) -> np.ndarray:
     bits = np.bincount((s >> S.U(20)).astype(np.int64) % SKETCH_BITS, minlength=SKETCH_BITS) & 1
-    return np.packbits(bits.astype(np.uint8)).tobytes()
+    return np.packbits(bits.astype(np.uint8)).view(np.int64)
 
 
-_SETS = "doc long, n int, cls long, sketch binary, chunk int, counts binary"
+def _may_differ(percent: int, a: str, b: str) -> str:
+    """SQL: the sketches of two rows differ in no more bits than their sets may differ in tokens."""
+    bits = " + ".join(f"bit_count({a}.sketch[{i}] ^ {b}.sketch[{i}])" for i in range(SKETCH_BITS // 64))
+    return f"{bits} <= {a}.n + {b}.n - 2 * ceil({percent} * ({a}.n + {b}.n) / {100 + percent})"
+
+
+_SETS = "doc long, n int, cls long, sketch array<long>, chunk int, counts binary"
 
 
 def _describe(n: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
@@ -91,12 +99,12 @@ def _describe(n: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.Record
                 sketches.append(_sketch(s))
                 np.add.at(total, (s >> S.U(44)).astype(np.int64), 1)
             m = len(sizes)
-            yield pa.record_batch([b.column(0), pa.array(sizes, pa.int32()), pa.array(classes, pa.int64()), pa.array(sketches, pa.binary()), pa.nulls(m, pa.int32()), pa.nulls(m, pa.binary())], names=names)
+            yield pa.record_batch([b.column(0), pa.array(sizes, pa.int32()), pa.array(classes, pa.int64()), pa.array(sketches, pa.list_(pa.int64())), pa.nulls(m, pa.int32()), pa.nulls(m, pa.binary())], names=names)
         used = [c for c in range(COUNTERS // CHUNK) if total[c * CHUNK : (c + 1) * CHUNK].any()]
         m = len(used)
         if m:
             blobs = [total[c * CHUNK : (c + 1) * CHUNK].astype(np.uint32).tobytes() for c in used]
-            yield pa.record_batch([pa.nulls(m, pa.int64()), pa.nulls(m, pa.int32()), pa.nulls(m, pa.int64()), pa.nulls(m, pa.binary()), pa.array(used, pa.int32()), pa.array(blobs, pa.binary())], names=names)
+            yield pa.record_batch([pa.nulls(m, pa.int64()), pa.nulls(m, pa.int32()), pa.nulls(m, pa.int64()), pa.nulls(m, pa.list_(pa.int64())), pa.array(used, pa.int32()), pa.array(blobs, pa.binary())], names=names)
 
     return run
 
@@ -183,23 +191,6 @@ def _listed(token, cls, n, pos, follows, before, size, shared, percent) -> pa.Re
     )
 
 
-def _prune(percent: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    """Pairs whose sketches differ in no more bits than the sets may differ in tokens."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            if not len(b):
-                continue
-            n1, n2 = b.column(2).to_numpy().astype(np.int64), b.column(3).to_numpy().astype(np.int64)
-            x, y = (S.raw_texts(b.column(i))[0].reshape(len(b), -1).view(np.uint64) for i in (4, 5))
-            differ = np.bitwise_count(x ^ y).sum(1).astype(np.int64)
-            least = -(-percent * (n1 + n2) // (100 + percent))
-            ok = pa.array(differ <= n1 + n2 - 2 * least)
-            yield pa.record_batch([b.column(i).filter(ok) for i in (0, 1)], names=["a", "b"])
-
-    return run
-
-
 def _verify(percent: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in (x for y in batches for x in S.slices(y, 2)):
@@ -237,10 +228,6 @@ class _Join:
 
     def links(self, pairs: DataFrame) -> DataFrame:
         """(u, v) of those pairs (a, b) of classes that are similar, checked on whole sets."""
-        sketch = self.classes.select("cls", "n", "sketch")
-        one, two = (sketch.select(F.col("cls").alias(c), F.col("n").alias(f"n_{c}"), F.col("sketch").alias(f"sketch_{c}")) for c in "ab")
-        wide = pairs.join(one, "a").join(two, "b").select("a", "b", "n_a", "n_b", "sketch_a", "sketch_b")
-        pairs = self.scratch.put(wide.mapInArrow(_prune(self.percent), "a long, b long"), "pairs")
         asked = pairs.select(F.explode(F.array("a", "b")).alias("cls")).distinct()
         texts = self.docs.join(self.classes.join(asked, "cls").select("cls", "doc"), "doc").select("cls", "text")
         sets = self.scratch.put(texts.mapInArrow(_whole_sets(self.n), "cls long, tokens binary"), "whole")
@@ -255,20 +242,26 @@ class _Join:
         rows = self.docs.mapInArrow(_postings(self.n, percent, self.ranks), "token long, cls long, n int, pos int")
         rows = rows.repartition(self.parts, "token").sortWithinPartitions("token", "n", "cls")
         lists = self.scratch.put(rows.mapInArrow(_lists(percent), "token long, cls long, n int, pos int, before long"), "lists")
-        near = lists.where("before is not null").select(F.least("cls", "before").alias("a"), F.greatest("cls", "before").alias("b")).distinct()
+        near = lists.where("before is not null").groupBy("cls", "before").count()
+        best = F.slice(F.sort_array(F.collect_list(F.struct("count", "before")), False), 1, NEIGHBOURS)
+        near = near.groupBy("cls").agg(best.alias("best")).select("cls", F.explode("best.before").alias("before"))
+        near = near.select(F.least("cls", "before").alias("a"), F.greatest("cls", "before").alias("b")).distinct()
         near = self.scratch.put(near, "near")
-        first = connected_components(self.links(near), self.scratch)
+        sketch = self.classes.select("cls", "n", "sketch")
+        plausible = near.join(sketch.alias("p"), F.expr("a = p.cls")).join(sketch.alias("e"), F.expr("b = e.cls")).where(_may_differ(percent, "p", "e"))
+        plausible = self.scratch.put(plausible.select("a", "b"), "plausible")
+        first = connected_components(self.links(plausible), self.scratch)
         first = self.scratch.put(first, "first")
         # second round: lists that still hold several components
         label = lists.join(first.withColumnRenamed("node", "cls"), "cls", "left").select("token", "cls", "n", "pos", F.coalesce("component", "cls").alias("part"))
         label = self.scratch.put(label, "labelled")
         open_lists = label.groupBy("token").agg(F.min("part").alias("x"), F.max("part").alias("y")).where("x <> y").select("token")
-        entry = label.join(open_lists, "token").withColumn("block", F.floor(F.log("n") / F.log(F.lit(100 / percent)) + F.lit(1e-9)).cast("int"))
+        entry = label.join(open_lists, "token").join(sketch.select("cls", "sketch"), "cls").withColumn("block", F.floor(F.log("n") / F.log(F.lit(100 / percent)) + F.lit(1e-9)).cast("int"))
         entry = self.scratch.put(entry, "open")
         probe = entry.withColumn("block", F.explode(F.array(F.col("block"), F.col("block") + 1))).alias("p")
         meet = probe.join(entry.alias("e"), ["token", "block"]).where("p.part <> e.part and (p.n < e.n or (p.n = e.n and p.cls < e.cls))")
         least = f"ceil({percent} * (p.n + e.n) / {100 + percent})"
-        meet = meet.where(f"100 * p.n >= {percent} * e.n and least(p.n - p.pos, e.n - e.pos) >= {least}")
+        meet = meet.where(f"100 * p.n >= {percent} * e.n and least(p.n - p.pos, e.n - e.pos) >= {least}").where(_may_differ(percent, "p", "e"))
         pairs = meet.select(F.least("p.cls", "e.cls").alias("a"), F.greatest("p.cls", "e.cls").alias("b")).distinct().join(near, ["a", "b"], "left_anti")
         pairs = self.scratch.put(pairs, "across")
         more = self.links(pairs)
