@@ -1,9 +1,48 @@
-"""placeholder"""
-ORACLE_SQL = None
+"""A corpus from raw documents: rules, near-duplicate removal, decontamination, mixing, shards."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+
+from geopages.llm._common import Scratch, table
+from geopages.llm.decontaminate import drop_contaminated
+from geopages.llm.mixing import mixed
+from geopages.llm.ngram_join import keep_one_of_each_group
+from geopages.llm.quality_rules import keep_good
+from geopages.llm.sharding import shard
+
+
+def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return keep_good(docs)
+
+
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return keep_one_of_each_group(docs, shingle=5, percent=80)
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return drop_contaminated(docs, table(spark, sf_dir, "benchmark"))
+
+
+def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return mixed(docs)
+
+
+def sharding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return shard(docs)
+
+
+STAGES = [("quality", quality), ("near_duplicates", near_duplicates), ("decontamination", decontamination), ("mixing", mixing), ("sharding", sharding)]
+
+#: Groups of similar documents are the closure of a relation over all pairs, and shards follow file sizes: no SQL.
+ORACLE_SQL = None
 
 
-STAGES = []
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages in turn over ``documents``, each one's rows written and read again for the next."""
+    docs = table(spark, sf_dir, "documents")
+    scratch = Scratch(spark, "pipeline")
+    for i, (name, stage) in enumerate(STAGES):
+        out = stage(spark, docs, sf_dir)
+        docs = out if i == len(STAGES) - 1 else scratch.put(out, name)
+    return docs
