@@ -84,10 +84,20 @@ class PositionalIndex:
         # the others, of the documents that are left
         more = ranked.where("size > 2").select("window", F.explode(F.slice("ranked", F.lit(3), F.greatest(F.col("size") - 2, F.lit(0)))).alias("x")).select("window", "x.t", "x.at")
         asked = found.join(few(more), "window").select("doc", "start", "window", "t", (F.col("start") + F.col("at")).alias("pos"))
-        kept = self.postings.join(found.select("doc").distinct(), "doc", "left_semi")
+        kept = self._of_documents(found.select("doc").distinct())
         met = asked.join(kept, ["doc", "pos", "t"]).groupBy("doc", "start", "window").agg(F.count("*").alias("met"))
         return found.join(met, ["doc", "start", "window"], "left").where("coalesce(met, 0) = greatest(size - 2, 0)").select("doc", "start", "window", "size")
 
+    def _of_documents(self, docs: DataFrame) -> DataFrame:
+        """Postings of ``docs`` and few others: a bit for each document's hash, in a table of up to 2**20 words, leaves out most others before any shuffle."""
+        bits = 1 << min(26, max(10, (16 * docs.count()).bit_length()))
+        place = lambda d: F.pmod(F.xxhash64(d["doc"]), F.lit(bits))
+        bit = lambda h: F.expr(f"shiftleft(1L, cast({h} & 63 as int))")
+        words = docs.select(place(docs).alias("h")).select(F.shiftright("h", 6).alias("word"), bit("h").alias("bit"))
+        words = self.scratch.put(words.groupBy("word").agg(F.bit_or("bit").alias("mask")), "bits")
+        p = self.postings.withColumn("h", place(self.postings)).withColumn("word", F.shiftright("h", 6))
+        return p.join(F.broadcast(words), "word").where(F.col("mask").bitwiseAND(bit("h")) != 0).select("t", "doc", "pos")
+
     def near(self, phrases: DataFrame, span: int) -> DataFrame:
         """(window, doc, start): places where all distinct terms of a phrase stand within ``span`` positions, in any order.
 
