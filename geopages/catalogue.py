@@ -1,8 +1,602 @@
-"""Queries and their DuckDB oracles."""
+"""The registered queries, each with DuckDB SQL for the same rows where SQL can express them.
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+Page sizes are those of small inputs (1,024 rows); the writer's own default is 1 MiB.
+"""
 
+from __future__ import annotations
 
-def flagship(spark, sf_dir):
-    raise NotImplementedError
+from collections.abc import Callable
+from functools import partial
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
+from pyspark.sql import functions as F
+
+from .functions import build, geom
+from .functions.curve import curve_key
+from .operators import cost, index, sorting, stats
+from .plans import fixtures as X
+from .plans import oracles as O
+from .sources import baselines, page_table
+from .streaming import events as streams
+
+PAGE = 1024
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+ORACLES: dict[str, str] = {}
+SETS = ("obs", "traj", "roads", "bldg", "lots")
+ORDERS = ("none", "z", "hilbert")
+
+
+def add(name: str, query, oracle: str | None = None) -> None:
+    QUERIES[name] = query
+    if oracle is not None:
+        ORACLES[name] = X.duck(oracle)
+
+
+def _read(spark, sf_dir, name):
+    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+# geometry layout
+
+
+def _worked(spark, sf_dir):
+    d = build.shred(X.literal_examples(spark), id="gid")
+    return d.select("gid", "kind", "part_no", "coord_no", "rep_level", "x", "y")
+
+
+_rows = [(g, k, i, j, 2 if j else 1 if i else 0, float(x), float(y)) for g, (k, parts) in X.EXAMPLES.items() for i, p in enumerate(parts) for j, (x, y) in enumerate(p)]
+add("worked_examples", _worked, f"SELECT * FROM (VALUES {', '.join(map(str, _rows))}) v(gid, kind, part_no, coord_no, rep_level, x, y)")
+
+
+def _shred(name, spark, sf_dir):
+    return build.shred(X.dataset(spark, sf_dir, name))
+
+
+def _roundtrip(name, spark, sf_dir):
+    g = build.assemble(build.shred(X.dataset(spark, sf_dir, name)))
+    return g.select("id", F.col("geometry.type").alias("kind"), geom.n_parts(F.col("geometry")).alias("n_parts"), geom.n_coords(F.col("geometry")).alias("n_coords"))
+
+
+for _n in SETS:
+    add(f"shred_{_n}", partial(_shred, _n), f"SELECT id, kind, part_no, coord_no, CASE WHEN coord_no > 0 THEN 2 WHEN part_no > 0 THEN 1 ELSE 0 END AS rep_level, x, y FROM ({X.points_sql(_n)}) p")
+    add(f"roundtrip_shred_{_n}", partial(_roundtrip, _n), f"SELECT id, kind, count(DISTINCT part_no)::INT AS n_parts, count(x)::INT AS n_coords FROM ({X.points_sql(_n)}) p GROUP BY ALL")
+
+
+def _summary(spark, sf_dir):
+    out = []
+    for n in (*SETS, "obs_li"):
+        g = X.leaves(spark, sf_dir, n).groupBy("id").agg(F.max("kind").alias("kind"), F.count_distinct("part_no").alias("parts"), F.count("x").alias("coords"))
+        out.append(g.agg(F.lit(n).alias("dataset"), F.count("*").alias("n_geoms"), F.sum("parts").alias("n_parts"), F.sum("coords").alias("n_coords"), F.max("kind").alias("kind")).select("dataset", "n_geoms", "n_parts", "n_coords", "kind"))
+    first, *rest = out
+    for r in rest:
+        first = first.unionByName(r)
+    return first
+
+
+add("dataset_summary", _summary, " UNION ALL ".join(f"SELECT '{n}' AS dataset, count(*) AS n_geoms, sum(parts)::BIGINT AS n_parts, sum(coords)::BIGINT AS n_coords, max(kind) AS kind FROM (SELECT id, max(kind) AS kind, count(DISTINCT part_no) AS parts, count(x) AS coords FROM ({X.points_sql(n)}) p GROUP BY id) g" for n in (*SETS, "obs_li")))
+
+
+def _orientation(spark, sf_dir):
+    """On whole-number coordinates, so that areas are exact."""
+    d = X.run_sql(spark, sf_dir, X.DATASETS["bldg"].sql).select("id", "kind", "part_no", "coord_no", F.col("xi").cast("double").alias("x"), F.col("yi").cast("double").alias("y"))
+    r = build.assemble(d).select("id", F.posexplode("geometry.parts").alias("ring_no", "ring"))
+    return r.select("id", "ring_no", build.doubled_area(F.col("ring")).cast("long").alias("doubled_area"), build.is_clockwise(F.col("ring")).alias("is_cw"))
+
+
+_area = "(SELECT id, part_no AS ring_no, sum(xi * ny - nx * yi)::BIGINT AS doubled_area FROM (SELECT *, lead(xi) OVER r AS nx, lead(yi) OVER r AS ny FROM ({sql}) l WINDOW r AS (PARTITION BY id, part_no ORDER BY coord_no)) GROUP BY ALL)"
+add("ring_orientation", _orientation, "SELECT *, doubled_area < 0 AS is_cw FROM " + _area.replace("{sql}", X.DATASETS["bldg"].sql) + " a")
+
+
+def _split(spark, sf_dir):
+    g = X.dataset(spark, sf_dir, "lots").where("geometry.type = 6")
+    p = build.split_polygons(F.col("geometry.parts"))
+    return g.select(F.col("id").alias("c_custkey"), F.size(p).alias("n_polygons"), F.aggregate(p, F.lit(0), lambda a, q: a + F.size(q) - 1).alias("n_holes"))
+
+
+add("multipolygon_split", _split, "SELECT o_custkey AS c_custkey, count(*)::INT AS n_polygons, count(*) FILTER (o_orderkey % 10 = 0)::INT AS n_holes FROM {orders} WHERE o_orderstatus = 'F' AND o_custkey IN (SELECT c_custkey FROM {customer}) GROUP BY o_custkey")
+
+
+def _states(spark, sf_dir):
+    d = X.run_sql(spark, sf_dir, X.MIX)
+    g = F.when(F.col("kind") == 0, build.empty()).when(F.col("kind") > 0, build.point(F.lit(1.0), F.lit(2.0)))
+    g = d.withColumn("geometry", g)
+    return g.groupBy(F.when(F.col("geometry").isNull(), "null").when(geom.is_empty(F.col("geometry")), "empty").otherwise("present").alias("state")).agg(F.count("*").alias("cnt"))
+
+
+add("empty_null_counts", _states, f"SELECT CASE kind WHEN -1 THEN 'null' WHEN 0 THEN 'empty' ELSE 'present' END AS state, count(*) AS cnt FROM ({X.MIX}) m GROUP BY ALL")
+
+
+def _collections(spark, sf_dir):
+    c = _read(spark, sf_dir, "customer").join(_read(spark, sf_dir, "orders").select(F.col("o_custkey").alias("c_custkey")).distinct(), "c_custkey", "left_semi")
+    p, line = build.point(F.lit(1.0), F.lit(2.0)), build.linestring(F.array(build.coordinate(F.lit(0.0), F.lit(0.0)), build.coordinate(F.lit(1.0), F.lit(1.0))))
+    ring = F.array(*[build.coordinate(F.lit(float(x)), F.lit(float(y))) for x, y in ((0, 0), (0, 1), (1, 1), (1, 0))])
+    poly, none = build.polygon(F.array(ring)), F.lit(None).cast(build.geometry_type())
+    deep = F.col("c_custkey") % 10 == 0
+    node = lambda i, parent, o, g: F.struct(F.lit(i).alias("node_id"), (F.lit(parent) if not hasattr(parent, "cast") else parent).cast("int").alias("parent_id"), F.lit(o).alias("ord"), g.alias("geometry"))
+    rows = F.array(node(0, F.lit(None), 0, none), node(1, 0, 0, p), node(2, 0, 1, poly), node(3, 0, 2, none), node(5, F.when(deep, 4).otherwise(3), 0, line), node(6, F.when(deep, 4).otherwise(3), 1, p))
+    rows = F.when(deep, F.concat(rows, F.array(node(4, 3, 0, none)))).otherwise(rows)
+    edges = c.select(F.col("c_custkey").alias("root_id"), F.explode(rows).alias("r")).select("root_id", "r.*")
+    return build.flatten_collections(edges).select("root_id", "pos", F.col("geometry.type").alias("kind"))
+
+
+add("collection_flatten", _collections, "SELECT o_custkey AS root_id, pos, kind FROM (SELECT DISTINCT o_custkey FROM {orders} WHERE o_custkey IN (SELECT c_custkey FROM {customer})) o CROSS JOIN (VALUES (0, 1), (1, 3), (2, 2), (3, 1)) v(pos, kind)")
+
+
+def _validate(spark, sf_dir):
+    d = X.dataset(spark, sf_dir, "bldg").select("geometry").unionByName(X.literal_examples(spark).select("geometry"))
+    v = d.select(geom.validate(F.col("geometry")).alias("v"))
+    return v.select(F.explode(F.when(F.size("v") > 0, F.col("v")).otherwise(F.array(F.lit("valid")))).alias("code")).groupBy("code").agg(F.count("*").alias("cnt"))
+
+
+add("validate_rings", _validate, "SELECT 'valid' AS code, count(*) + 5 AS cnt FROM {orders} JOIN {customer} ON o_custkey = c_custkey UNION ALL SELECT 'unclosed', 1 UNION ALL SELECT 'short_ring', 1")
+
+
+# kinds
+
+
+def _runs(by_kind, spark, sf_dir):
+    d = X.run_sql(spark, sf_dir, X.MIX)
+    w = W.orderBy("kind", "id") if by_kind else W.orderBy("id")
+    d = d.withColumn("pos", F.row_number().over(w) - 1).withColumn("page", F.floor(F.col("pos") / PAGE))
+    return stats.encode_runs(d, "kind", "pos", ["page"]).selectExpr("page", "cast(run_no as long) as run_no", "cnt", "cast(kind as int) as kind")
+
+
+for _n, _o in (("kind_runs", "id"), ("kind_runs_sorted", "kind, id")):
+    add(_n, partial(_runs, _n.endswith("sorted")), f"""WITH m AS ({X.MIX}), p AS (SELECT kind, row_number() OVER (ORDER BY {_o}) - 1 AS pos FROM m), q AS (SELECT *, pos // {PAGE} AS page FROM p),
+    r AS (SELECT *, CASE WHEN lag(kind) OVER (PARTITION BY page ORDER BY pos) = kind THEN 0 ELSE 1 END AS nw FROM q), s AS (SELECT *, sum(nw) OVER (PARTITION BY page ORDER BY pos) - 1 AS run_no FROM r)
+    SELECT page, run_no::BIGINT AS run_no, count(*) AS cnt, any_value(kind)::INT AS kind FROM s GROUP BY page, run_no""")
+
+# codec
+
+
+add("int_delta", lambda s, d: _read(s, d, "events").select("event_id", F.round(F.col("value") * 100).cast("long").alias("c")).select("event_id", (F.col("c") - F.coalesce(F.lag("c").over(W.orderBy("event_id")), F.lit(0))).alias("delta")),
+    "SELECT event_id, c - coalesce(lag(c) OVER (ORDER BY event_id), 0) AS delta FROM (SELECT event_id, CAST(round(value * 100) AS BIGINT) AS c FROM {events})")
+add("bit_view", lambda s, d: X.leaves(s, d, "obs").select("id", stats.to_bits(F.col("x")).alias("bits")), f"SELECT id, x::BIT::BIGINT AS bits FROM ({X.points_sql('obs')}) p")
+add("bit_view_f32", lambda s, d: _read(s, d, "embeddings").select("vec_id", F.posexplode("embedding").alias("i", "v")).select("vec_id", "i", stats.to_bits32(F.col("v")).alias("bits")),
+    "SELECT vec_id, generate_subscripts(embedding, 1)::INT - 1 AS i, unnest(embedding)::BIT::INTEGER AS bits FROM {embeddings}")
+
+
+def _paged(spark, sf_dir, name, order, rows=PAGE):
+    e = X.DATASETS[name].extent
+    d = X.leaves(spark, sf_dir, name).where("x is not null")
+    if order in ("none", "shuffled"):
+        key = F.col("id") if order == "none" else F.col("id") * 2654435761 % 2147483648
+        d = d.withColumn("key", key)
+    else:
+        c = d.groupBy("id").agg(((F.min("x") + F.max("x")) / 2).alias("cx"), ((F.min("y") + F.max("y")) / 2).alias("cy"))
+        d = d.join(c.select("id", curve_key(order, F.col("cx"), F.col("cy"), e).alias("key")), "id")
+    return stats.with_pages(d, [F.col(c) for c in ("key", "id", "part_no", "coord_no")], rows)
+
+
+def _deltas(spark, sf_dir, name, order, restart=None):
+    return stats.deltas(_paged(spark, sf_dir, name, order), restart=restart)
+
+
+def _hist(spark, sf_dir, name, order, restart=None):
+    return stats.width_histogram(_deltas(spark, sf_dir, name, order, restart), ["page", "axis"])
+
+
+add("bit_delta_zigzag", lambda s, d: _deltas(s, d, "obs", "none").select("page", "ord", "axis", F.when(F.col("zigzag") < 0, F.col("zigzag").cast("decimal(20,0)") + F.lit("18446744073709551616").cast("decimal(20,0)")).otherwise(F.col("zigzag")).cast("decimal(20,0)").cast("string").alias("zigzag"), "width"),
+    f"WITH {O.deltas('obs', 'none', PAGE)} SELECT page, ord, axis, z::VARCHAR AS zigzag, width FROM d")
+for _n in ("obs", "bldg"):
+    for _o in ORDERS:
+        add(f"width_hist_{_o}_{_n}", lambda s, d, n=_n, o=_o: _hist(s, d, n, o).groupBy("axis", "width").agg(F.sum("cnt").alias("cnt")), f"WITH {O.deltas(_n, _o, PAGE)} SELECT axis, width, sum(cnt)::BIGINT AS cnt FROM hist GROUP BY ALL")
+
+
+def _size_curve(spark, sf_dir):
+    h = _hist(spark, sf_dir, "obs", "none")
+    s = cost.page_sizes(h, ["page", "axis"], "paper")
+    n, fit = F.col("s.n"), lambda n: F.aggregate(F.filter("h", lambda x: x["width"] <= n), F.lit(0).cast("long"), lambda a, x: a + x["cnt"])
+    s = s.select("page", "axis", "total", "h", F.explode("sizes").alias("s"))
+    return s.select("page", "axis", n.alias("n"), (n * fit(n) + (n + 64) * (F.col("total") - fit(n))).alias("size_long"), F.col("s.size").alias("size_short"))
+
+
+add("size_curve", _size_curve, f"WITH {O.deltas('obs', 'none', PAGE)}, {O.sizes(False)} SELECT page, axis, n, (SELECT sum(CASE WHEN width <= n THEN n ELSE n + 64 END * cnt) FROM hist h WHERE h.page = s.page AND h.axis = s.axis)::BIGINT AS size_long, size AS size_short FROM s")
+
+
+def _best(name, order, policy, spark, sf_dir):
+    return cost.best_page_bits(_hist(spark, sf_dir, name, order), ["page", "axis"], policy).select("page", "axis", "n", "bits")
+
+
+for _n in ("obs", "traj", "roads", "bldg"):
+    for _o in ("none", "hilbert"):
+        for _p in ("paper", "exact"):
+            add(f"best_bits_{_p}_{_n}_{_o}", partial(_best, _n, _o, _p), f"WITH {O.deltas(_n, _o, PAGE)}, {O.sizes(_p == 'exact')}, {O.BEST} SELECT page, axis, n, bits FROM best")
+
+
+def _codec_bits(orders, spark, sf_dir):
+    """Bits of the coded pages (header and raw fall-back included) and of raw doubles."""
+    out = None
+    for n in ("obs", "traj", "roads", "bldg"):
+        for o in orders:
+            b = cost.best_page_bits(_hist(spark, sf_dir, n, o), ["page", "axis"])
+            raw = 64 * (F.col("total") + 1)
+            b = b.groupBy("axis").agg(F.sum(F.least(F.col("bits") + 72, raw)).alias("total_bits"), F.sum(raw).alias("raw_bits")).select(F.lit(n).alias("dataset"), F.lit(o).alias("order"), "axis", "total_bits", "raw_bits")
+            out = b if out is None else out.unionByName(b)
+    return out
+
+
+def _codec_bits_sql(orders):
+    return " UNION ALL ".join(f"SELECT * FROM (WITH {O.deltas(n, o, PAGE)}, {O.sizes(True)}, {O.BEST} SELECT '{n}' AS dataset, '{o}' AS \"order\", axis, sum(least(bits + 72, 64 * (total + 1)))::BIGINT AS total_bits, sum(64 * (total + 1))::BIGINT AS raw_bits FROM best GROUP BY axis)" for n in ("obs", "traj", "roads", "bldg") for o in orders)
+
+
+for _n, _o in (("unsorted", ("none",)), ("sorted", ("z", "hilbert")), ("shuffled", ("shuffled",))):
+    add(f"codec_bits_{_n}", partial(_codec_bits, _o), _codec_bits_sql(_o))
+
+
+def _codec_pages(order, spark, sf_dir):
+    """Pages as the writer makes them, from one partition: the same widths and bits as the relational model's."""
+    d = X.dataset(spark, sf_dir, "obs").repartition(1).sortWithinPartitions("id")
+    p = page_table.pages(d, sort="none" if order == "none" else "total", curve="z" if order == "z" else "hilbert", page_bytes=8 * PAGE)
+    w = W.orderBy("page_id")
+    p = p.withColumn("page", (F.row_number().over(w) - 1).cast("long"))
+    p = p.select("page", F.explode(F.array(*[F.struct(F.lit(a).alias("axis"), F.col(f"{a}_bits").alias("bits")) for a in "xy"])).alias("s"))
+    return p.select("page", "s.*")
+
+
+for _o in ("none",):
+    add(f"codec_pages_obs_{_o}", partial(_codec_pages, _o), f"WITH {O.deltas('obs', _o, PAGE)}, {O.sizes(True)}, {O.BEST} SELECT page, axis, least(bits + 72, 64 * (total + 1)) AS bits FROM best")
+
+
+def _written(spark, sf_dir, name, **options):
+    path = X.scratch_path(spark, f"pages_{name}")
+    page_table.save(X.dataset(spark, sf_dir, name), path, extent=X.DATASETS[name].extent, **({"page_bytes": 16 << 10, "group_size": 5000} | options))
+    return path
+
+
+def _codec_roundtrip(name, options, spark, sf_dir):
+    path = _written(spark, sf_dir, name, **options)
+    leaf = lambda d: build.shred(d).where("x is not null").select("id", "part_no", "coord_no", stats.to_bits(F.col("x")).alias("x"), stats.to_bits(F.col("y")).alias("y"))
+    got, want = leaf(page_table.scan(spark, path, stream=options.get("stream", "split"))), leaf(X.dataset(spark, sf_dir, name))
+    lost = want.exceptAll(got).agg(F.count("*").alias("lost")).join(got.exceptAll(want).agg(F.count("*").alias("made")))
+    return lost.join(got.agg(F.count("*").alias("n_coords"))).select("n_coords", "lost", "made")
+
+
+for _n in SETS:
+    add(f"codec_roundtrip_{_n}", partial(_codec_roundtrip, _n, {}), f"SELECT count(x) AS n_coords, 0::BIGINT AS lost, 0::BIGINT AS made FROM ({X.points_sql(_n)}) p")
+for _k, _v in {"interleaved": {"stream": "interleaved", "page_bytes": 2048}, "rle": {"rle": True}, "fixed": {"policy": "fixed", "fixed_bits": 40}, "plain": {"codec_name": "plain"}, "total": {"sort": "total"}, "z": {"curve": "z"}, "unsorted": {"sort": "none"}}.items():
+    add(f"codec_roundtrip_obs_{_k}", partial(_codec_roundtrip, "obs", _v), f"SELECT count(x) AS n_coords, 0::BIGINT AS lost, 0::BIGINT AS made FROM ({X.points_sql('obs')}) p")
+
+
+def _fixed(spark, sf_dir):
+    """Bits at every fixed width, marker codes escaped."""
+    h = _hist(spark, sf_dir, "obs", "hilbert").groupBy("width").agg(F.sum("cnt").alias("cnt"), F.sum("markers").alias("markers")).withColumn("all", F.lit(1))
+    s = cost.page_sizes(h, ["all"], "exact").select(F.explode("sizes").alias("s"))
+    return s.select("s.n", F.col("s.size").alias("total_bits"))
+
+
+add("fixed_bits_sweep", _fixed, f"WITH {O.deltas('obs', 'hilbert', PAGE)}, {O.sizes(True)} SELECT n, (n * (SELECT sum(cnt) FROM hist) + 64 * coalesce((SELECT sum(cnt) FROM hist WHERE width > n), 0) + 64 * coalesce((SELECT sum(markers) FROM hist WHERE width = n), 0))::BIGINT AS total_bits FROM range(1, 65) r(n)")
+
+
+def _restart(spark, sf_dir):
+    out = None
+    for n in ("traj", "roads"):
+        h = _hist(spark, sf_dir, n, "none", "id")
+        b = cost.best_page_bits(h, ["page", "axis"]).groupBy("axis").agg(F.sum("bits").alias("total_bits")).select(F.lit(n).alias("dataset"), "axis", "total_bits")
+        out = b if out is None else out.unionByName(b)
+    return out
+
+
+add("restart_geometry_bits", _restart, " UNION ALL ".join(f"SELECT * FROM (WITH {O.deltas(n, 'none', PAGE, 'id')}, {O.sizes(True)}, {O.BEST} SELECT '{n}' AS dataset, axis, sum(bits)::BIGINT AS total_bits FROM best GROUP BY axis)" for n in ("traj", "roads")))
+
+
+def _zero(spark, sf_dir):
+    out = None
+    for o in ORDERS:
+        d = _deltas(spark, sf_dir, "obs", o)
+        w = W.partitionBy("page", "axis").orderBy("ord")
+        d = d.withColumn("new", F.when((F.lag("zigzag").over(w) == F.col("zigzag")), 0).otherwise(1))
+        b = d.groupBy("axis").agg(F.sum(F.when(F.col("width") == 0, 1).otherwise(0)).alias("n_zero"), F.sum(F.when(F.col("width") == 64, 1).otherwise(0)).alias("n_full"), F.sum("new").alias("n_runs"), F.count("*").alias("cnt"))
+        b = b.select(F.lit(o).alias("order"), "axis", "n_zero", "n_full", "n_runs", "cnt")
+        out = b if out is None else out.unionByName(b)
+    return out
+
+
+add("zero_delta_share", _zero, " UNION ALL ".join(f"SELECT * FROM (WITH {O.deltas('obs', o, PAGE)} SELECT '{o}' AS \"order\", axis, count(*) FILTER (width = 0) AS n_zero, count(*) FILTER (width = 64) AS n_full, sum(CASE WHEN pz = z THEN 0 ELSE 1 END)::BIGINT AS n_runs, count(*) AS cnt FROM (SELECT *, lag(z) OVER (PARTITION BY page, axis ORDER BY ord) AS pz FROM d) GROUP BY axis)" for o in ORDERS))
+
+
+def _raw_pages(spark, sf_dir):
+    b = cost.best_page_bits(_hist(spark, sf_dir, "obs", "none"), ["page", "axis"])
+    return b.select("page", "axis", (F.col("bits") + 72 > 64 * (F.col("total") + 1)).alias("is_raw"))
+
+
+add("raw_fallback_pages", _raw_pages, f"WITH {O.deltas('obs', 'none', PAGE)}, {O.sizes(True)}, {O.BEST} SELECT page, axis, bits + 72 > 64 * (total + 1) AS is_raw FROM best")
+
+# curves, sorting, partitions
+
+
+for _n in ("obs", "bldg"):
+    for _o in ("z", "hilbert"):
+        def _keys(spark, sf_dir, n=_n, o=_o):
+            d = sorting.with_key(X.dataset(spark, sf_dir, n), o, extent=X.DATASETS[n].extent)
+            return d.select("id", F.col("_key").alias("key"))
+
+        add(f"{_o}_key_{_n}", _keys, f"WITH {O.keyed(_n, _o)} SELECT id, key FROM k")
+
+
+def _grouped(spark, sf_dir):
+    """Bounded groups by an explicit ordinal, sorted within."""
+    d = sorting.with_key(X.dataset(spark, sf_dir, "obs"), "hilbert").withColumn("group", F.floor(F.col("id") / 5000))
+    return d.select("id", "group", (F.row_number().over(W.partitionBy("group").orderBy("_key", "id")) - 1).cast("long").alias("pos"))
+
+
+add("grouped_sort", _grouped, f"WITH {O.keyed('obs', 'hilbert')} SELECT id, id // 5000 AS \"group\", row_number() OVER (PARTITION BY id // 5000 ORDER BY key, id) - 1 AS pos FROM k")
+
+
+def _total(spark, sf_dir):
+    """Positions of the range-partitioned order, counted partition by partition."""
+    d = sorting.total(sorting.with_key(X.dataset(spark, sf_dir, "obs"), "hilbert").select("id", "_key"), 4).select("id", "_key")
+    return d.select("id", (F.row_number().over(W.orderBy("_key", "id")) - 1).cast("long").alias("pos"))
+
+
+add("total_sort", _total, f"WITH {O.keyed('obs', 'hilbert')} SELECT id, row_number() OVER (ORDER BY key, id) - 1 AS pos FROM k")
+add("grid_partition", lambda s, d: sorting.grid(X.leaves(s, d, "obs_li"), X.DATASETS["obs_li"].extent, 16).groupBy("cell").agg(F.count("*").alias("cnt")),
+    f"SELECT CAST(least(15, floor((y + 90) / 180 * 16)) * 16 + least(15, floor((x + 180) / 360 * 16)) AS BIGINT) AS cell, count(*) AS cnt FROM ({X.points_sql('obs_li')}) p GROUP BY ALL")
+add("tile_partition", lambda s, d: sorting.tiles(X.leaves(s, d, "obs_li"), 8, 8).groupBy(F.col("cell").cast("int")).agg(F.count("*").alias("cnt"), F.min("x").alias("x_min"), F.max("y").alias("y_max")),
+    f"SELECT slab * 8 + tile AS cell, count(*) AS cnt, min(x) AS x_min, max(y) AS y_max FROM (SELECT *, (ntile(8) OVER (PARTITION BY slab ORDER BY y, x, id) - 1)::INT AS tile FROM (SELECT *, (ntile(8) OVER (ORDER BY x, y, id) - 1)::INT AS slab FROM ({X.points_sql('obs_li')}) p)) GROUP BY ALL")
+add("rstar_partition", lambda s, d: (lambda p: sorting.assign(p, sorting.rectangles(p, 2000)).groupBy("cell").agg(F.count("*").alias("cnt")))(X.leaves(s, d, "obs_li")))
+
+# index
+
+
+for _n in ("obs", "obs_li"):
+    for _o in ORDERS:
+        add(f"page_boxes_{_o}_{_n}", lambda s, d, n=_n, o=_o: index.page_boxes(_paged(s, d, n, o)), f"WITH {O.paged(_n, _o, PAGE)} SELECT page, min(x) AS x_min, max(x) AS x_max, min(y) AS y_min, max(y) AS y_max, count(*) AS n FROM paged GROUP BY page")
+
+for _o in ORDERS:
+    def _prune(spark, sf_dir, o=_o):
+        b = index.page_boxes(_paged(spark, sf_dir, "obs", o))
+        w = X.run_sql(spark, sf_dir, X.WINDOWS)
+        hit = index.windows_meet(w, b).groupBy("s_suppkey").agg(F.count("*").alias("pages_hit"))
+        return w.select("s_suppkey").join(hit, "s_suppkey", "left").select("s_suppkey", F.coalesce("pages_hit", F.lit(0)).alias("pages_hit"))
+
+    _b = f"b AS (SELECT page, min(x) AS x_min, max(x) AS x_max, min(y) AS y_min, max(y) AS y_max FROM paged GROUP BY page), w AS ({X.WINDOWS})"
+    add(f"prune_{_o}", _prune, f"WITH {O.paged('obs', _o, PAGE)}, {_b} SELECT s_suppkey, count(page) AS pages_hit FROM w LEFT JOIN b ON x_max >= qx0 AND x_min <= qx1 AND y_max >= qy0 AND y_min <= qy1 GROUP BY s_suppkey")
+
+    def _mask(spark, sf_dir, o=_o):
+        p = _paged(spark, sf_dir, "obs", o)
+        b = index.cell_mask(p, index.page_boxes(p))
+        r = X.RECTS["medium"]
+        return b.agg(F.sum(F.when(index.meets(r), 1).otherwise(0)).alias("by_box"), F.sum(F.when(index.mask_meets(r), 1).otherwise(0)).alias("by_mask"))
+
+    add(f"cell_mask_{_o}", _mask)
+
+    def _quality(spark, sf_dir, o=_o):
+        """Box area in ten-thousandths of the domain, rounded down."""
+        q = index.quality(index.page_boxes(_paged(spark, sf_dir, "obs", o)))
+        return q.select("pages", F.floor(F.col("area") / (360.0 * 180.0) * 10000).alias("area_e4"))
+
+    add(f"index_quality_{_o}", _quality, f"WITH {O.paged('obs', _o, PAGE)}, {_b} SELECT count(*) AS pages, floor(sum((x_max - x_min) * (y_max - y_min)) / (360.0 * 180.0) * 10000)::BIGINT AS area_e4 FROM b")
+
+
+def _range(name, rect, spark, sf_dir):
+    path = _written(spark, sf_dir, name)
+    g = page_table.scan(spark, path, rect)
+    return g.select("id", geom.n_coords(F.col("geometry")).alias("n_coords"))
+
+
+def _rel_rect(name):
+    """A window of a tenth of the extent on each axis around the middle of the dataset's own declared extent."""
+    e = X.DATASETS[name].extent
+    w, h = e.x_max - e.x_min, e.y_max - e.y_min
+    return (e.x_min + 0.45 * w, e.y_min + 0.45 * h, e.x_min + 0.55 * w, e.y_min + 0.55 * h)
+
+
+def _range_sql(name, rect):
+    where = f"HAVING max(x) >= {rect[0]!r}::DOUBLE AND min(x) <= {rect[2]!r}::DOUBLE AND max(y) >= {rect[1]!r}::DOUBLE AND min(y) <= {rect[3]!r}::DOUBLE" if rect else ""
+    return f"SELECT id, count(x)::INT AS n_coords FROM ({X.points_sql(name)}) p GROUP BY id {where}"
+
+
+for _n in SETS:
+    add(f"range_none_{_n}", partial(_range, _n, None), _range_sql(_n, None))
+    _r = X.RECTS["medium"] if _n == "obs" else _rel_rect(_n)
+    add(f"range_medium_{_n}", partial(_range, _n, _r), _range_sql(_n, _r))
+for _k in ("small", "far"):
+    add(f"range_{_k}_obs", partial(_range, "obs", X.RECTS[_k]), _range_sql("obs", X.RECTS[_k]))
+
+
+def _wkb_range(name, rect, spark, sf_dir):
+    path = X.scratch_path(spark, f"wkb_{name}")
+    baselines.save_wkb(X.dataset(spark, sf_dir, name), path)
+    d = baselines.read_wkb(spark, path, rect)
+    return d.select("id", geom.n_coords(baselines.parse_wkb(F.col("wkb"))).alias("n_coords"))
+
+
+add("range_wkbbox_small_obs", partial(_wkb_range, "obs", X.RECTS["small"]), _range_sql("obs", X.RECTS["small"]))
+add("range_wkbbox_medium_obs", partial(_wkb_range, "obs", X.RECTS["medium"]), _range_sql("obs", X.RECTS["medium"]))
+add("range_wkbbox_medium_bldg", partial(_wkb_range, "bldg", _rel_rect("bldg")), _range_sql("bldg", _rel_rect("bldg")))
+
+
+def _windows(spark, sf_dir):
+    path = _written(spark, sf_dir, "obs")
+    w = X.run_sql(spark, sf_dir, X.WINDOWS)
+    return page_table.scan_windows(spark, path, w).groupBy("s_suppkey").agg(F.count("*").alias("cnt"))
+
+
+add("windows_batch", _windows, f"SELECT s_suppkey, count(*) AS cnt FROM ({X.WINDOWS}) w JOIN ({X.points_sql('obs')}) p ON x >= qx0 AND x <= qx1 AND y >= qy0 AND y <= qy1 GROUP BY s_suppkey")
+
+
+def _extent(spark, sf_dir):
+    out = None
+    for n in SETS:
+        b = page_table.extent_of(spark, _written(spark, sf_dir, n)).select(F.lit(n).alias("dataset"), "*")
+        out = b if out is None else out.unionByName(b)
+    return out
+
+
+add("extent_meta", _extent, " UNION ALL ".join(f"SELECT '{n}' AS dataset, min(x) AS x_min, max(x) AS x_max, min(y) AS y_min, max(y) AS y_max, count(DISTINCT id) AS n FROM ({X.points_sql(n)}) p" for n in SETS))
+
+
+def _axis(spark, sf_dir):
+    d = page_table.scan_axis(spark, _written(spark, sf_dir, "traj"), "x")
+    # trajectories have a vertex in each part, so the counts of parts cut the values
+    ends = F.aggregate("geom_nparts", F.array(F.lit(0)), lambda a, n: F.concat(a, F.array(F.element_at(a, -1) + n)))
+    d = d.withColumn("ends", ends).select("x", "ends", F.posexplode("ids").alias("i", "id"))
+    at = lambda k: F.element_at("x", k)
+    return d.select("id", (F.get("ends", F.col("i") + 1) - F.get("ends", F.col("i"))).alias("n"), at(F.get("ends", F.col("i")) + 1).alias("x_first"), at(F.get("ends", F.col("i") + 1)).alias("x_last"))
+
+
+add("project_axis", _axis, f"SELECT id, count(*)::INT AS n, arg_min(x, part_no) AS x_first, arg_max(x, part_no) AS x_last FROM ({X.points_sql('traj')}) p GROUP BY id")
+
+
+def _manifest(spark, sf_dir):
+    m = page_table.manifest(spark, _written(spark, sf_dir, "bldg"))
+    return m.agg(F.sum("n_geoms").alias("n_geoms"), F.sum("n_coords").alias("n_coords"), F.min("x_min").alias("x_min"), F.max("y_max").alias("y_max"))
+
+
+add("manifest_totals", _manifest, f"SELECT count(DISTINCT id) AS n_geoms, count(x) AS n_coords, min(x) AS x_min, max(y) AS y_max FROM ({X.points_sql('bldg')}) p")
+
+# other formats
+
+
+def _sizes(spark, sf_dir):
+    out = None
+    for n in SETS:
+        d = X.dataset(spark, sf_dir, n)
+        g = F.col("geometry")
+        b = d.agg(F.lit(n).alias("dataset"), F.sum(baselines.wkb_size(g)).alias("wkb_bytes"), F.sum(baselines.wkb_size(g) + 32).alias("wkbbox_bytes"), F.sum(baselines.shapefile_size(g)).alias("shp_bytes"), F.sum(16 * geom.n_coords(g)).alias("raw_bytes"))
+        out = b if out is None else out.unionByName(b)
+    return out
+
+
+def _sizes_sql(n):
+    polygons = "(SELECT o_custkey AS id, count(*) AS polys FROM {orders} WHERE o_orderstatus = 'F' GROUP BY ALL)" if n == "lots" else "(SELECT -1 AS id, 0 AS polys)"
+    return f"""SELECT '{n}' AS dataset, sum(w)::BIGINT AS wkb_bytes, sum(w + 32)::BIGINT AS wkbbox_bytes, sum(s + 16)::BIGINT AS shp_bytes, sum(16 * c)::BIGINT AS raw_bytes FROM (
+      SELECT CASE kind WHEN 1 THEN 21 WHEN 3 THEN 9 + 4 * p + 16 * c WHEN 4 THEN 9 + 21 * p WHEN 5 THEN 9 + 9 * p + 16 * c WHEN 6 THEN 9 + 9 * polys + 4 * p + 16 * c ELSE 9 END AS w,
+      CASE kind WHEN 1 THEN 20 WHEN 4 THEN 40 + 16 * c WHEN 0 THEN 4 ELSE 44 + 4 * p + 16 * c END AS s, c
+      FROM (SELECT id, kind, count(DISTINCT part_no) AS p, count(x) AS c FROM ({X.points_sql(n)}) l GROUP BY id, kind) g LEFT JOIN {polygons} q USING (id)) t"""
+
+
+add("size_analytic", _sizes, " UNION ALL ".join(_sizes_sql(n) for n in SETS))
+
+
+def _wkb_made(spark, sf_dir):
+    """Bytes really made, against the formula."""
+    d = baselines.with_wkb(X.dataset(spark, sf_dir, "lots")).select("id", F.length("wkb").alias("made"))
+    return d.join(X.dataset(spark, sf_dir, "lots").select("id", baselines.wkb_size(F.col("geometry")).alias("size")), "id").agg(F.count("*").alias("n"), F.sum(F.abs(F.col("made") - F.col("size"))).alias("off"))
+
+
+add("wkb_bytes_made", _wkb_made, f"SELECT count(DISTINCT id) AS n, 0::BIGINT AS off FROM ({X.points_sql('lots')}) p")
+add("wkb_roundtrip_lots", lambda s, d: baselines.with_wkb(X.dataset(s, d, "lots")).select("id", baselines.parse_wkb(F.col("wkb")).alias("geometry")).select("id", F.col("geometry.type").alias("kind"), geom.n_parts(F.col("geometry")).alias("n_parts"), geom.n_coords(F.col("geometry")).alias("n_coords")), ORACLES["roundtrip_shred_lots"])
+
+
+def _wkt(spark, sf_dir):
+    d = X.run_sql(spark, sf_dir, X.DATASETS["bldg"].sql).select("id", "kind", "part_no", "coord_no", F.col("xi").cast("double").alias("x"), F.col("yi").cast("double").alias("y"))
+    return build.assemble(d).select("id", geom.as_wkt(F.col("geometry"), lambda v: v.cast("long").cast("string")).alias("text"))
+
+
+add("wkt_text", _wkt, f"SELECT id, 'POLYGON (' || string_agg(ring, ', ' ORDER BY part_no) || ')' AS text FROM (SELECT id, part_no, '(' || string_agg(xi || ' ' || yi, ', ' ORDER BY coord_no) || ')' AS ring FROM ({X.DATASETS['bldg'].sql}) l GROUP BY id, part_no) r GROUP BY id")
+
+
+def _geojson(spark, sf_dir):
+    path = X.scratch_path(spark, "geojson")
+    baselines.save_geojson(X.dataset(spark, sf_dir, "bldg"), path)
+    d = baselines.read_geojson(spark, path)
+    c = F.from_json("coordinates", "array<array<array<double>>>")
+    return d.select("id", F.aggregate(c, F.lit(0), lambda a, r: a + F.size(r)).alias("n_coords"))
+
+
+add("geojson_parse_back", _geojson, f"SELECT id, count(x)::INT AS n_coords FROM ({X.points_sql('bldg')}) p GROUP BY id")
+
+
+def _shp(spark, sf_dir):
+    out = None
+    for n in ("obs", "bldg"):
+        b = baselines.shape_files(X.dataset(spark, sf_dir, n)).agg(F.lit(n).alias("dataset"), F.sum(F.length("shp") - 100 + F.length("shx") - 100).alias("record_bytes"))
+        out = b if out is None else out.unionByName(b)
+    return out
+
+
+add("shapefile_lengths", _shp, f"SELECT dataset, shp_bytes AS record_bytes FROM ({ORACLES['size_analytic']}) s WHERE dataset IN ('obs', 'bldg')")
+
+# relational surface
+
+
+def _bldg_attrs(s, d):
+    return X.dataset(s, d, "bldg").join(_read(s, d, "orders").select(F.col("o_orderkey").alias("id"), "o_custkey", "o_orderstatus"), "id")
+
+
+_bc = f"(SELECT id, count(x) AS c FROM ({X.points_sql('bldg')}) p GROUP BY id)"
+add("join_attrs", lambda s, d: _bldg_attrs(s, d).join(_read(s, d, "customer"), F.col("o_custkey") == F.col("c_custkey")).groupBy("c_mktsegment").agg(F.count("*").alias("n"), F.sum(geom.n_coords(F.col("geometry"))).alias("coords")),
+    f"SELECT c_mktsegment, count(*) AS n, sum(c)::BIGINT AS coords FROM {_bc} b JOIN {{orders}} ON id = o_orderkey JOIN {{customer}} ON o_custkey = c_custkey GROUP BY ALL")
+for _k, _sql in (("semi", "IN"), ("anti", "NOT IN")):
+    add(f"join_{_k}", lambda s, d, k=_k: _read(s, d, "customer").join(_read(s, d, "orders").where("o_orderstatus = 'F'"), F.col("c_custkey") == F.col("o_custkey"), f"left_{k}").select("c_custkey"), f"SELECT c_custkey FROM {{customer}} WHERE c_custkey {_sql} (SELECT o_custkey FROM {{orders}} WHERE o_orderstatus = 'F')")
+
+
+def _rollup(spark, sf_dir):
+    d = _bldg_attrs(spark, sf_dir).join(_read(spark, sf_dir, "customer"), F.col("o_custkey") == F.col("c_custkey")).join(_read(spark, sf_dir, "nation"), F.col("c_nationkey") == F.col("n_nationkey"))
+    return d.rollup("n_name", "o_orderstatus").agg(F.count("*").alias("n"), F.sum(geom.n_parts(F.col("geometry"))).alias("rings"))
+
+
+add("rollup_nation_status", _rollup, "SELECT n_name, o_orderstatus, count(*) AS n, sum(CASE WHEN o_orderkey % 10 = 0 THEN 2 ELSE 1 END)::BIGINT AS rings FROM {orders} JOIN {customer} ON o_custkey = c_custkey JOIN {nation} ON c_nationkey = n_nationkey GROUP BY ROLLUP (n_name, o_orderstatus)")
+add("filter_attr_rect", lambda s, d: _bldg_attrs(s, d).where(F.col("o_orderstatus") == "F").withColumn("b", geom.box(F.col("geometry"))).where(geom.intersects(F.col("b"), *_rel_rect("bldg"))).select("id"),
+    f"SELECT id FROM ({_range_sql('bldg', _rel_rect('bldg'))}) r JOIN {{orders}} ON id = o_orderkey WHERE o_orderstatus = 'F'")
+add("topk_vertices", lambda s, d: X.dataset(s, d, "roads").select("id", geom.n_coords(F.col("geometry")).alias("n")).orderBy(F.desc("n"), "id").limit(20), f"SELECT id, count(x)::INT AS n FROM ({X.points_sql('roads')}) p GROUP BY id ORDER BY n DESC, id LIMIT 20")
+_d2 = "(x - 20.0) * (x - 20.0) + (y + 30.0) * (y + 30.0)"
+add("knn_points", lambda s, d: X.leaves(s, d, "obs").selectExpr("id", f"{_d2} as d2").orderBy("d2", "id").limit(10).select("id"), f"SELECT id FROM ({X.points_sql('obs')}) p ORDER BY {_d2}, id LIMIT 10")
+add("agg_distinct_coords", lambda s, d: X.leaves(s, d, "obs").agg(F.count_distinct("x", "y").alias("n")), f"SELECT count(*) AS n FROM (SELECT DISTINCT x, y FROM ({X.points_sql('obs')}) p) q")
+_two = (X.RECTS["medium"], (10.0, -60.0, 30.0, -20.0))
+for _k, _sql in (("intersect", "INTERSECT"), ("subtract", "EXCEPT"), ("union", "UNION")):
+    def _set(spark, sf_dir, k=_k):
+        p = X.leaves(spark, sf_dir, "obs")
+        a, b = (p.where(f"x between {r[0]} and {r[2]} and y between {r[1]} and {r[3]}").select("id") for r in _two)
+        return getattr(a, k)(b).distinct()
+
+    _a, _b2 = (f"SELECT id FROM ({X.points_sql('obs')}) p WHERE x BETWEEN {r[0]} AND {r[2]} AND y BETWEEN {r[1]} AND {r[3]}" for r in _two)
+    add(f"set_{_k}", _set, f"{_a} {_sql} {_b2}")
+
+
+def _scalars(spark, sf_dir):
+    d = X.run_sql(spark, sf_dir, X.DATASETS["bldg"].sql).select("id", "kind", "part_no", "coord_no", F.col("xi").cast("double").alias("x"), F.col("yi").cast("double").alias("y"))
+    g, b = F.col("geometry"), geom.box(F.col("geometry"))
+    return build.assemble(d).select("id", geom.kind_name(g).alias("name"), geom.n_parts(g).alias("n_parts"), (2 * geom.area(g)).cast("long").alias("area2"), (b["x_max"] - b["x_min"]).cast("long").alias("w"), geom.contains_point(build.shell(g), b["x_min"] + 1.5, b["y_min"] + 1.5).alias("corner_in"))
+
+
+add("fn_scalars", _scalars, f"""SELECT id, 'POLYGON' AS name, count(*)::INT AS n_parts, abs(sum(a))::BIGINT AS area2, max(w) AS w, true AS corner_in FROM (
+  SELECT id, part_no, sum(xi * ny - nx * yi) AS a, max(xi) - min(xi) AS w FROM (SELECT *, lead(xi) OVER r AS nx, lead(yi) OVER r AS ny FROM ({X.DATASETS['bldg'].sql}) l WINDOW r AS (PARTITION BY id, part_no ORDER BY coord_no)) GROUP BY ALL) GROUP BY id""")
+add("traj_duration", lambda s, d: _read(s, d, "events").groupBy("user_id").agg(F.count("*").alias("n"), (F.unix_micros(F.max(F.col("ts").cast("timestamp"))) - F.unix_micros(F.min(F.col("ts").cast("timestamp")))).alias("micros")), "SELECT user_id, count(*) AS n, epoch_us(max(ts)) - epoch_us(min(ts)) AS micros FROM {events} GROUP BY user_id")
+
+
+def _asof(spark, sf_dir):
+    e = _read(spark, sf_dir, "events")
+    w = W.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(W.unboundedPreceding, 0)
+    return e.select("event_id", F.last(F.when(F.col("event_type") == "purchase", F.col("event_id")), ignorenulls=True).over(w).alias("last_purchase"))
+
+
+add("asof_traj", _asof, "SELECT event_id, last_value(CASE WHEN event_type = 'purchase' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS last_purchase FROM {events}")
+
+
+def _sql(spark, sf_dir):
+    X.dataset(spark, sf_dir, "obs").createOrReplaceTempView("geopages_obs")
+    return spark.sql("SELECT geometry.type AS kind, count(*) AS n, max(geometry.parts[0][0].x) AS x_max FROM geopages_obs GROUP BY 1")
+
+
+add("sql_surface", _sql, f"SELECT 1 AS kind, count(*) AS n, max(x) AS x_max FROM ({X.points_sql('obs')}) p")
+
+# streams
+
+
+_ev = lambda s, d: streams.event_stream(s, d)
+_us = lambda c: F.unix_micros(c)
+add("stream_tumbling", lambda s, d: streams.drained(streams.tumbling(_ev(s, d)), "complete").select(_us(F.col("window.start")).alias("start_us"), "event_type", "cnt"), "SELECT epoch_us(time_bucket(INTERVAL 1 HOUR, ts)) AS start_us, event_type, count(*) AS cnt FROM {events} GROUP BY ALL")
+add("stream_sliding", lambda s, d: streams.drained(streams.sliding(_ev(s, d)), "complete").select(_us(F.col("window.start")).alias("start_us"), "cnt"), "SELECT epoch_us(time_bucket(INTERVAL 1 HOUR, ts)) - k * 3600000000 AS start_us, count(*) AS cnt FROM {events} CROSS JOIN (VALUES (0), (1)) v(k) GROUP BY ALL")
+add("stream_session", lambda s, d: streams.drained(streams.sessions(_ev(s, d)), "complete").select("user_id", _us(F.col("w.start")).alias("start_us"), "cnt"),
+    "SELECT user_id, epoch_us(min(ts)) AS start_us, count(*) AS cnt FROM (SELECT *, sum(nw) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS nw FROM {events})) GROUP BY user_id, s")
+add("stream_dedupe", lambda s, d: streams.drained(streams.without_repeats(_ev(s, d)), "append").agg(F.count("*").alias("n")), "SELECT count(DISTINCT event_id) AS n FROM {events}")
+
+
+def _stream_pages(spark, sf_dir):
+    d = streams.event_stream(spark, sf_dir)
+    x = F.pmod(F.col("user_id") * 7919, F.lit(3600)).cast("double") / 10 - 180
+    y = F.pmod(F.col("user_id") * 104729, F.lit(1800)).cast("double") / 10 - 90
+    path = X.scratch_path(spark, "stream_pages")
+    streams.pages_of_stream(d.select(F.col("event_id").alias("id"), build.point(x, y).alias("geometry")), path, page_bytes=16 << 10)
+    return page_table.scan(spark, f"{path}/batch=*").agg(F.count("*").alias("n"), F.sum("id").alias("ids"))
+
+
+add("stream_pages", _stream_pages, "SELECT count(*) AS n, sum(event_id)::BIGINT AS ids FROM {events}")
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _range("obs", X.RECTS["medium"], spark, sf_dir)
