@@ -75,7 +75,7 @@ def _to_wkb(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def with_wkb(df: DataFrame) -> DataFrame:
     """(id, wkb, x_min, y_min, x_max, y_max)."""
     b = geom.box(F.col("geometry"))
-    d = df.select("id", "geometry", b.alias("b")).select("id", "geometry", "b.x_min", "b.y_min", "b.x_max", "b.y_max")
+    d = df.select(F.col("id").cast("long").alias("id"), "geometry", b.alias("b")).select("id", "geometry", "b.x_min", "b.y_min", "b.x_max", "b.y_max")
     return d.mapInArrow(_to_wkb, "id long, wkb binary, x_min double, y_min double, x_max double, y_max double")
 
 
