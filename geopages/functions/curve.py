@@ -1,11 +1,14 @@
-"""Space-filling curve keys as Column expressions."""
+"""Space-filling curve keys as Columns: Z by built-in bit functions, Hilbert by array work on Arrow batches."""
 
 from __future__ import annotations
 
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
 @dataclass(frozen=True)
@@ -36,20 +39,25 @@ def z_key(x: Column, y: Column, extent: Extent = WORLD, bits: int = 16) -> Colum
     return _spread(cell(x, extent.x_min, extent.x_max, bits)).bitwiseOR(F.shiftleft(_spread(cell(y, extent.y_min, extent.y_max, bits)), 1))
 
 
+@F.arrow_udf(T.LongType())
+def _hilbert(x: pa.Array, y: pa.Array, bits: pa.Array) -> pa.Array:
+    """From the highest bit: a quadrant's digit, then its turn (x and y swap, first reflected in the whole grid)."""
+    null = x.is_null().to_numpy(zero_copy_only=False)
+    x, y = (v.fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64) for v in (x, y))
+    n = bits[0].as_py() if len(bits) else 0
+    d = np.zeros(len(x), np.int64)
+    for b in range(n - 1, -1, -1):
+        bx, by = x >> b & 1, y >> b & 1
+        d = d << 2 | (3 * bx ^ by)
+        turn, flip = by == 0, (by == 0) & (bx == 1)
+        u, v = np.where(flip, (1 << n) - 1 - y, y), np.where(flip, (1 << n) - 1 - x, x)
+        x, y = np.where(turn, u, x), np.where(turn, v, y)
+    return pa.array(d, mask=null)
+
+
 def hilbert_key(x: Column, y: Column, extent: Extent = WORLD, bits: int = 16) -> Column:
-    """Place along the Hilbert curve: a fold over the bits, from the highest, with the quadrant's turn as state."""
-    side = (1 << bits) - 1
-    start = F.struct(cell(x, extent.x_min, extent.x_max, bits).alias("x"), cell(y, extent.y_min, extent.y_max, bits).alias("y"), F.lit(0).cast("long").alias("d"))
-
-    def step(s: Column, b: Column) -> Column:
-        bx = F.pmod(F.floor(s["x"] / F.element_at(powers, b + 1)), F.lit(2))
-        by = F.pmod(F.floor(s["y"] / F.element_at(powers, b + 1)), F.lit(2))
-        d = s["d"] * 4 + (bx * 3).bitwiseXOR(by)
-        flip = lambda v: F.when(bx == 1, side - v).otherwise(v)
-        return F.struct(F.when(by == 0, flip(s["y"])).otherwise(s["x"]).cast("long").alias("x"), F.when(by == 0, flip(s["x"])).otherwise(s["y"]).cast("long").alias("y"), d.cast("long").alias("d"))
-
-    powers = F.array(*[F.lit(1 << b) for b in range(bits)])
-    return F.aggregate(F.array(*[F.lit(b) for b in range(bits - 1, -1, -1)]), start, step, lambda s: s["d"])
+    """Place along the Hilbert curve, for whole Arrow batches of cells."""
+    return _hilbert(cell(x, extent.x_min, extent.x_max, bits), cell(y, extent.y_min, extent.y_max, bits), F.lit(bits))
 
 
 def curve_key(curve: str, x: Column, y: Column, extent: Extent = WORLD, bits: int = 16) -> Column:

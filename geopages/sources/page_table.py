@@ -122,7 +122,7 @@ def save(df: DataFrame, path: str, compression: str = "zstd", **options) -> None
     """Write ``df`` (id, geometry) as a page table. Few pages share a column-index entry, so that pages are skipped one by one."""
     (
         pages(df, **options).write.mode("overwrite").option("compression", compression).option("parquet.page.row.count.limit", "1")
-        .option("parquet.enable.dictionary", "false").parquet(path)
+        .option("parquet.enable.dictionary", "false").option("parquet.enable.dictionary#geom_nparts.list.element", "true").option("parquet.enable.dictionary#part_ncoords.list.element", "true").parquet(path)
     )
 
 
