@@ -137,8 +137,7 @@ add("validate_rings", _validate, "SELECT 'valid' AS code, count(*) + 5 AS cnt FR
 
 def _runs(by_kind, spark, sf_dir):
     d = X.run_sql(spark, sf_dir, X.MIX)
-    w = W.orderBy("kind", "id") if by_kind else W.orderBy("id")
-    d = d.withColumn("pos", F.row_number().over(w) - 1).withColumn("page", F.floor(F.col("pos") / PAGE))
+    d = sorting.numbered(d, [F.col(c) for c in (("kind", "id") if by_kind else ("id",))]).withColumn("page", F.floor(F.col("pos") / PAGE))
     return stats.encode_runs(d, "kind", "pos", ["page"]).selectExpr("page", "cast(run_no as long) as run_no", "cnt", "cast(kind as int) as kind")
 
 
@@ -150,7 +149,13 @@ for _n, _o in (("kind_runs", "id"), ("kind_runs_sorted", "kind, id")):
 # codec
 
 
-add("int_delta", lambda s, d: _read(s, d, "events").select("event_id", F.round(F.col("value") * 100).cast("long").alias("c")).select("event_id", (F.col("c") - F.coalesce(F.lag("c").over(W.orderBy("event_id")), F.lit(0))).alias("delta")),
+def _int_delta(spark, sf_dir):
+    d = _read(spark, sf_dir, "events").select("event_id", F.round(F.col("value") * 100).cast("long").alias("c"))
+    d = sorting.before(sorting.numbered(d, [F.col("event_id")]), "c")
+    return d.select("event_id", (F.col("c") - F.coalesce("_before", F.lit(0))).alias("delta"))
+
+
+add("int_delta", _int_delta,
     "SELECT event_id, c - coalesce(lag(c) OVER (ORDER BY event_id), 0) AS delta FROM (SELECT event_id, CAST(round(value * 100) AS BIGINT) AS c FROM {events})")
 add("bit_view", lambda s, d: X.leaves(s, d, "obs").select("id", stats.to_bits(F.col("x")).alias("bits")), f"SELECT id, x::BIT::BIGINT AS bits FROM ({X.points_sql('obs')}) p")
 add("bit_view_f32", lambda s, d: _read(s, d, "embeddings").select("vec_id", F.posexplode("embedding").alias("i", "v")).select("vec_id", "i", stats.to_bits32(F.col("v")).alias("bits")),
@@ -229,9 +234,7 @@ def _codec_pages(order, spark, sf_dir):
     """Pages as the writer makes them, from one partition: the same widths and bits as the relational model's."""
     d = X.dataset(spark, sf_dir, "obs").repartition(1).sortWithinPartitions("id")
     p = page_table.pages(d, sort="none" if order == "none" else "total", curve="z" if order == "z" else "hilbert", page_bytes=8 * PAGE)
-    w = W.orderBy("page_id")
-    p = p.withColumn("page", (F.row_number().over(w) - 1).cast("long"))
-    p = p.select("page", F.explode(F.array(*[F.struct(F.lit(a).alias("axis"), F.col(f"{a}_bits").alias("bits")) for a in "xy"])).alias("s"))
+    p = p.select(F.col("page_id").alias("page"), F.explode(F.array(*[F.struct(F.lit(a).alias("axis"), F.col(f"{a}_bits").alias("bits")) for a in "xy"])).alias("s"))
     return p.select("page", "s.*")
 
 
@@ -325,9 +328,9 @@ add("grouped_sort", _grouped, f"WITH {O.keyed('obs', 'hilbert')} SELECT id, id /
 
 
 def _total(spark, sf_dir):
-    """Positions of the range-partitioned order, counted partition by partition."""
-    d = sorting.total(sorting.with_key(X.dataset(spark, sf_dir, "obs"), "hilbert").select("id", "_key"), 4).select("id", "_key")
-    return d.select("id", (F.row_number().over(W.orderBy("_key", "id")) - 1).cast("long").alias("pos"))
+    """Places in the range-partitioned order, counted partition by partition."""
+    d = sorting.with_key(X.dataset(spark, sf_dir, "obs"), "hilbert").select("id", "_key")
+    return sorting.numbered(d, [F.col("_key"), F.col("id")]).select("id", "pos")
 
 
 add("total_sort", _total, f"WITH {O.keyed('obs', 'hilbert')} SELECT id, row_number() OVER (ORDER BY key, id) - 1 AS pos FROM k")

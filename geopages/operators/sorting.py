@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions import geom
 from ..functions.curve import WORLD, Extent, curve_key
+from ..sources.scratch import scratch_path
 
 IN_PARTITION = (1 << 33) - 1
 
@@ -31,6 +32,43 @@ def total(df: DataFrame, partitions: int | None = None, key: str = "_key", tie:
     return (df.repartitionByRange(partitions, *by) if partitions else df.repartitionByRange(*by)).sortWithinPartitions(*by)
 
 
+def numbered(df: DataFrame, by: list[Column], name: str = "pos") -> DataFrame:
+    """``df`` with each row's place (from 0) in the order of ``by``, which must leave no ties.
+
+    One range shuffle, written as a table: places within a partition are counted as it streams
+    by, and the partitions' offsets come from a row for each partition, so no task sees all rows.
+    """
+    spark, path = df.sparkSession, scratch_path(df.sparkSession, "numbered")
+    d = df.repartitionByRange(*by).sortWithinPartitions(*by)
+    d.select("*", F.spark_partition_id().alias("_part"), F.monotonically_increasing_id().bitwiseAND(F.lit(IN_PARTITION)).alias("_row")).write.parquet(path)
+    d = spark.read.parquet(path)
+    # as many rows as the shuffle has partitions
+    starts = d.groupBy("_part").agg(F.count("*").alias("_n"))
+    starts = starts.select("_part", (F.sum("_n").over(W.orderBy("_part")) - F.col("_n")).alias("_start"))
+    return d.join(F.broadcast(starts), "_part").withColumn(name, F.col("_start") + F.col("_row")).drop("_part", "_row", "_start")
+
+
+def before(df: DataFrame, value: str, pos: str = "pos", block: int = 1 << 16) -> DataFrame:
+    """``df`` with ``_before``: ``value`` one place earlier in ``pos`` (null for the first), block by block; the first of a block gets the last of the block before it."""
+    d = df.withColumn("_block", F.floor(F.col(pos) / block))
+    ends = d.groupBy((F.col("_block") + 1).alias("_block")).agg(F.max_by(value, pos).alias("_last"))
+    lag = F.lag(value).over(W.partitionBy("_block").orderBy(pos))
+    first = F.col(pos) % block == 0
+    return d.withColumn("_lag", lag).join(ends, "_block", "left").withColumn("_before", F.when(first, F.col("_last")).otherwise(F.col("_lag"))).drop("_block", "_lag", "_last")
+
+
+def share(pos: Column, n: Column, k: int) -> Column:
+    """Number of the part, of ``k`` as equal as can be (larger ones first), that holds place ``pos`` of ``n``."""
+    small, more = F.floor(n / k), n % k
+    head = more * (small + 1)
+    return F.when(pos < head, F.floor(pos / (small + 1))).otherwise(more + F.floor((pos - head) / F.greatest(small, F.lit(1)))).cast("long")
+
+
+def share_start(part: Column, n: Column, k: int) -> Column:
+    """Place of the first row of a part of ``share``."""
+    return part * F.floor(n / k) + F.least(part, n % k)
+
+
 # rectangles
 
 
@@ -89,7 +127,11 @@ def grid(points: DataFrame, extent: Extent, cells: int) -> DataFrame:
 
 
 def tiles(points: DataFrame, slabs: int, per_slab: int) -> DataFrame:
-    """Sort-tile: slabs of equal counts along x, tiles of equal counts along y in each."""
-    d = points.withColumn("slab", F.ntile(slabs).over(W.orderBy("x", "y", "id")) - 1)
-    d = d.withColumn("tile", F.ntile(per_slab).over(W.partitionBy("slab").orderBy("y", "x", "id")) - 1)
+    """Sort-tile: slabs of equal counts along x, tiles of equal counts along y in each. Two range shuffles; ties go by id."""
+    d = numbered(points, [F.col(c) for c in ("x", "y", "id")], "_x")
+    n = F.lit(d.count())
+    d = d.withColumn("slab", share(F.col("_x"), n, slabs)).drop("_x")
+    d = numbered(d, [F.col(c) for c in ("slab", "y", "x", "id")], "_y")
+    start = share_start(F.col("slab"), n, slabs)
+    d = d.withColumn("tile", share(F.col("_y") - start, share_start(F.col("slab") + 1, n, slabs) - start, per_slab)).drop("_y")
     return d.withColumn("cell", F.col("slab") * per_slab + F.col("tile"))

@@ -8,6 +8,8 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from . import sorting
+
 
 @F.arrow_udf(T.LongType())
 def to_bits(v: pa.Array) -> pa.Array:
@@ -46,15 +48,17 @@ def is_marker(z: Column) -> Column:
 
 
 def with_pages(points: DataFrame, order: list[Column], page_rows: int, group: Column | None = None) -> DataFrame:
-    """``points`` with page and ord: page_rows neighbours in ``order`` within each sort group.
+    """``points`` with page and ord: page_rows neighbours in ``order``, which must leave no ties.
 
-    At scale a group is a bounded share of the rows; only small inputs should be one group.
+    Without ``group`` all rows are one sort group, numbered by ``sorting.numbered``. With it, each
+    group is numbered in a window and must be a bounded share of the rows.
     """
-    g = F.lit(0) if group is None else group
-    d = points.withColumn("sort_group", g)
-    n = F.row_number().over(W.partitionBy("sort_group").orderBy(*order)) - 1
-    d = d.withColumn("pos", n)
-    return d.withColumn("page", F.floor(F.col("pos") / page_rows).cast("long")).withColumn("ord", F.pmod("pos", F.lit(page_rows)))
+    if group is None:
+        d = sorting.numbered(points, order).withColumn("sort_group", F.lit(0))
+    else:
+        d = points.withColumn("sort_group", group)
+        d = d.withColumn("pos", (F.row_number().over(W.partitionBy("sort_group").orderBy(*order)) - 1).cast("long"))
+    return d.withColumn("page", F.floor(F.col("pos") / page_rows)).withColumn("ord", F.col("pos") % page_rows)
 
 
 def deltas(paged: DataFrame, axes: tuple[str, ...] = ("x", "y"), restart: str | None = None) -> DataFrame:

@@ -6,8 +6,6 @@ coord_no, xi, yi) with whole-number coordinates. Table names stand in braces.
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -15,6 +13,7 @@ from pyspark.sql import functions as F
 
 from ..functions import build
 from ..functions.curve import WORLD, Extent
+from ..sources.scratch import scratch_path
 
 CENTS = "CAST(ROUND({v} * 100) AS BIGINT)"
 _value, _price, _extended = (CENTS.format(v=v) for v in ("value", "o_totalprice", "l_extendedprice"))
@@ -132,14 +131,6 @@ def dataset(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return d.select("id", build.point("x", "y").alias("geometry")) if name.startswith("obs") else build.assemble(d)
 
 
-def scratch_path(spark: SparkSession, what: str) -> str:
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if root is None:
-        local = spark.sparkContext.master.startswith("local")
-        root = f"file://{tempfile.gettempdir()}/geopages" if local else spark.conf.get("spark.sql.warehouse.dir")
-    return f"{root.rstrip('/')}/{what}-{uuid.uuid4().hex[:12]}"
-
-
 def literal_examples(spark: SparkSession) -> DataFrame:
     rows = [(g, {"type": k, "parts": [[{"x": float(x), "y": float(y)} for x, y in p] for p in parts]}) for g, (k, parts) in EXAMPLES.items()]
     from pyspark.sql import types as T
