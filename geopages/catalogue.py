@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from .functions import build, geom
 from .functions.curve import curve_key
-from .operators import cost, index, sorting, stats
+from .operators import box_join, cost, index, sorting, stats
 from .plans import fixtures as X
 from .plans import oracles as O
 from .sources import baselines, page_table
@@ -248,20 +248,47 @@ def _written(spark, sf_dir, name, **options):
     return path
 
 
-def _codec_roundtrip(name, options, spark, sf_dir):
-    path = _written(spark, sf_dir, name, **options)
+def _same(got, want):
+    """Leaves of ``want`` that ``got`` has lost, and those it has made up, bit by bit."""
     leaf = lambda d: build.shred(d).where("x is not null").select("id", "part_no", "coord_no", stats.to_bits(F.col("x")).alias("x"), stats.to_bits(F.col("y")).alias("y"))
-    got, want = leaf(page_table.scan(spark, path, stream=options.get("stream", "split"))), leaf(X.dataset(spark, sf_dir, name))
+    got, want = leaf(got), leaf(want)
     lost = want.exceptAll(got).agg(F.count("*").alias("lost")).join(got.exceptAll(want).agg(F.count("*").alias("made")))
     return lost.join(got.agg(F.count("*").alias("n_coords"))).select("n_coords", "lost", "made")
 
 
+def _codec_roundtrip(name, options, spark, sf_dir):
+    path = _written(spark, sf_dir, name, **options)
+    return _same(page_table.scan(spark, path, stream=options.get("stream", "split")), X.dataset(spark, sf_dir, name))
+
+
 for _n in SETS:
     add(f"codec_roundtrip_{_n}", partial(_codec_roundtrip, _n, {}), f"SELECT count(x) AS n_coords, 0::BIGINT AS lost, 0::BIGINT AS made FROM ({X.points_sql(_n)}) p")
 for _k, _v in {"interleaved": {"stream": "interleaved", "page_bytes": 2048}, "rle": {"rle": True}, "fixed": {"policy": "fixed", "fixed_bits": 40}, "plain": {"codec_name": "plain"}, "total": {"sort": "total"}, "z": {"curve": "z"}, "unsorted": {"sort": "none"}}.items():
     add(f"codec_roundtrip_obs_{_k}", partial(_codec_roundtrip, "obs", _v), f"SELECT count(x) AS n_coords, 0::BIGINT AS lost, 0::BIGINT AS made FROM ({X.points_sql('obs')}) p")
 
 
+def _ordered_bits(name, spark, sf_dir):
+    path = X.scratch_path(spark, f"bits_{name}")
+    baselines.save_ordered_bits(X.dataset(spark, sf_dir, name), path)
+    return _same(baselines.read_ordered_bits(spark, path), X.dataset(spark, sf_dir, name))
+
+
+def _compact(spark, sf_dir):
+    """Small unsorted pages of sixteen partitions made into full ones."""
+    d, path = X.dataset(spark, sf_dir, "bldg"), X.scratch_path(spark, "compacted")
+    small = X.scratch_path(spark, "small_pages")
+    page_table.save(d.repartition(16), small, sort="none", page_bytes=1 << 10)
+    page_table.compact(spark, small, path, extent=X.DATASETS["bldg"].extent)
+    pages = lambda p, n: spark.read.parquet(p).agg(F.count("*").alias(n))
+    fewer = pages(path, "after").join(pages(small, "before")).select((F.col("after") < F.col("before")).alias("fewer_pages"))
+    return _same(page_table.scan(spark, path), d).join(fewer)
+
+
+for _n in SETS:
+    add(f"ordered_bits_{_n}", partial(_ordered_bits, _n), ORACLES[f"codec_roundtrip_{_n}"])
+add("compact_pages", _compact, f"SELECT count(x) AS n_coords, 0::BIGINT AS lost, 0::BIGINT AS made, true AS fewer_pages FROM ({X.points_sql('bldg')}) p")
+
+
 def _fixed(spark, sf_dir):
     """Bits at every fixed width, marker codes escaped."""
     h = _hist(spark, sf_dir, "obs", "hilbert").groupBy("width").agg(F.sum("cnt").alias("cnt"), F.sum("markers").alias("markers")).withColumn("all", F.lit(1))
@@ -418,6 +445,26 @@ def _windows(spark, sf_dir):
 add("windows_batch", _windows, f"SELECT s_suppkey, count(*) AS cnt FROM ({X.WINDOWS}) w JOIN ({X.points_sql('obs')}) p ON x >= qx0 AND x <= qx1 AND y >= qy0 AND y <= qy1 GROUP BY s_suppkey")
 
 
+def _windows_grid(spark, sf_dir):
+    """The same through the grid, as for more windows than are broadcast."""
+    p = X.leaves(spark, sf_dir, "obs").selectExpr("id", "x as x_min", "y as y_min", "x as x_max", "y as y_max")
+    return index.windows_meet(X.run_sql(spark, sf_dir, X.WINDOWS), p, most=0).groupBy("s_suppkey").agg(F.count("*").alias("cnt"))
+
+
+add("windows_grid", _windows_grid, ORACLES["windows_batch"])
+
+
+def _join_boxes(spark, sf_dir):
+    """Pairs of buildings whose boxes meet."""
+    b = X.dataset(spark, sf_dir, "bldg").select("id", geom.box(F.col("geometry")).alias("b")).select("id", "b.*")
+    other = b.select(F.col("id").alias("other"), *[F.col(a).alias(n) for a, n in zip(box_join.LEFT, box_join.RIGHT, strict=True)])
+    return box_join.meet(b, other, X.DATASETS["bldg"].extent).where("id < other").select("id", "other")
+
+
+_box = f"(SELECT id, min(x) AS x0, max(x) AS x1, min(y) AS y0, max(y) AS y1 FROM ({X.points_sql('bldg')}) p GROUP BY id)"
+add("join_boxes", _join_boxes, f"WITH b AS {_box} SELECT l.id, r.id AS other FROM b l JOIN b r ON l.id < r.id AND l.x0 <= r.x1 AND l.x1 >= r.x0 AND l.y0 <= r.y1 AND l.y1 >= r.y0")
+
+
 def _extent(spark, sf_dir):
     out = None
     for n in SETS:

@@ -19,7 +19,7 @@ class Kind(IntEnum):
 
 
 def geometry_type(dims: int = 2, coord: str = "double") -> T.StructType:
-    leaf = {"double": T.DoubleType(), "float": T.FloatType()}[coord]
+    leaf = {"double": T.DoubleType(), "float": T.FloatType(), "long": T.LongType()}[coord]
     point = T.StructType([T.StructField(n, leaf, False) for n in "xyzm"[:dims]])
     return T.StructType([T.StructField("type", T.IntegerType(), False), T.StructField("parts", T.ArrayType(T.ArrayType(point, False), False), False)])
 

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from . import box_join
+
 Rect = tuple[float, float, float, float]
 
 
@@ -20,8 +22,14 @@ def meets(rect: Rect) -> Column:
     return (F.col("x_max") >= x0) & (F.col("x_min") <= x1) & (F.col("y_max") >= y0) & (F.col("y_min") <= y1)
 
 
-def windows_meet(windows: DataFrame, boxes: DataFrame) -> DataFrame:
-    """Pairs of windows (qx0, qy0, qx1, qy1) and boxes that meet; the windows are the small side."""
+#: Windows that are sent to every task at most (32 bytes of bounds each, and their other columns).
+MOST_WINDOWS = 100_000
+
+
+def windows_meet(windows: DataFrame, boxes: DataFrame, most: int = MOST_WINDOWS) -> DataFrame:
+    """Pairs of windows (qx0, qy0, qx1, qy1) and boxes that meet: up to ``most`` windows are broadcast, more are joined through a grid."""
+    if windows.limit(most + 1).count() > most:
+        return box_join.meet(boxes, windows)
     return boxes.join(F.broadcast(windows), (F.col("x_max") >= F.col("qx0")) & (F.col("x_min") <= F.col("qx1")) & (F.col("y_max") >= F.col("qy0")) & (F.col("y_min") <= F.col("qy1")))
 
 

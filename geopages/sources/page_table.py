@@ -126,6 +126,11 @@ def save(df: DataFrame, path: str, compression: str = "zstd", **options) -> None
     )
 
 
+def compact(spark: SparkSession, path: str, to: str, stream: str = "split", **options) -> None:
+    """Small pages (of streams, appends or many small partitions) rewritten as full ones along one curve, in a new place: readers keep the old table until they are pointed to ``to``."""
+    save(scan(spark, path, stream=stream), to, **({"sort": "total", "stream": stream} | options))
+
+
 def manifest(spark: SparkSession, path: str) -> DataFrame:
     """A row for each file: its box and counts, from the scalar columns alone."""
     t = spark.read.parquet(path).select(F.col("_metadata.file_path").alias("file"), "x_min", "x_max", "y_min", "y_max", "n_geoms", "n_coords")
