@@ -299,6 +299,10 @@ def _fixed(spark, sf_dir):
 add("fixed_bits_sweep", _fixed, f"WITH {O.deltas('obs', 'hilbert', PAGE)}, {O.sizes(True)} SELECT n, (n * (SELECT sum(cnt) FROM hist) + 64 * coalesce((SELECT sum(cnt) FROM hist WHERE width > n), 0) + 64 * coalesce((SELECT sum(markers) FROM hist WHERE width = n), 0))::BIGINT AS total_bits FROM range(1, 65) r(n)")
 
 
+add("empirical_bits", lambda s, d: stats.empirical_bits(_paged(s, d, "obs", "hilbert"), 1.0),
+    f"WITH {O.deltas('obs', 'hilbert', PAGE)}, w AS (SELECT axis, n, (n * sum(cnt) + 64 * coalesce(sum(cnt) FILTER (width > n), 0) + 64 * coalesce(sum(markers) FILTER (width = n), 0))::BIGINT AS bits FROM hist, range(1, 65) r(n) GROUP BY axis, n) SELECT axis, arg_min(n, bits * 100 + n) AS n, min(bits) AS bits FROM w GROUP BY axis")
+
+
 def _restart(spark, sf_dir):
     out = None
     for n in ("traj", "roads"):
@@ -529,6 +533,17 @@ add("wkb_bytes_made", _wkb_made, f"SELECT count(DISTINCT id) AS n, 0::BIGINT AS
 add("wkb_roundtrip_lots", lambda s, d: baselines.with_wkb(X.dataset(s, d, "lots")).select("id", baselines.parse_wkb(F.col("wkb")).alias("geometry")).select("id", F.col("geometry.type").alias("kind"), geom.n_parts(F.col("geometry")).alias("n_parts"), geom.n_coords(F.col("geometry")).alias("n_coords")), ORACLES["roundtrip_shred_lots"])
 
 
+def _csv(spark, sf_dir):
+    path, p = X.scratch_path(spark, "csv"), X.leaves(spark, sf_dir, "obs")
+    baselines.save_csv_points(p, path)
+    same = (stats.to_bits(F.col("x")) == stats.to_bits(F.col("x2"))) & (stats.to_bits(F.col("y")) == stats.to_bits(F.col("y2")))
+    d = baselines.read_csv_points(spark, path).toDF("id", "x2", "y2").join(p.select("id", "x", "y"), "id")
+    return d.withColumn("same", same).agg(F.count("*").alias("n"), F.count_if(~F.col("same")).alias("off"))
+
+
+add("csv_points", _csv, f"SELECT count(*) AS n, 0::BIGINT AS off FROM ({X.points_sql('obs')}) p")
+
+
 def _wkt(spark, sf_dir):
     d = X.run_sql(spark, sf_dir, X.DATASETS["bldg"].sql).select("id", "kind", "part_no", "coord_no", F.col("xi").cast("double").alias("x"), F.col("yi").cast("double").alias("y"))
     return build.assemble(d).select("id", geom.as_wkt(F.col("geometry"), lambda v: v.cast("long").cast("string")).alias("text"))
@@ -578,6 +593,31 @@ def _rollup(spark, sf_dir):
 
 
 add("rollup_nation_status", _rollup, "SELECT n_name, o_orderstatus, count(*) AS n, sum(CASE WHEN o_orderkey % 10 = 0 THEN 2 ELSE 1 END)::BIGINT AS rings FROM {orders} JOIN {customer} ON o_custkey = c_custkey JOIN {nation} ON c_nationkey = n_nationkey GROUP BY ROLLUP (n_name, o_orderstatus)")
+add("filter_kind", lambda s, d: page_table.scan(s, _written(s, d, "lots"), kinds=(6,)).select("id", geom.n_coords(F.col("geometry")).alias("n_coords")), f"SELECT id, count(x)::INT AS n_coords FROM ({X.points_sql('lots')}) p WHERE kind = 6 GROUP BY id")
+
+
+def _cube(spark, sf_dir):
+    d = X.dataset(spark, sf_dir, "lots").join(_read(spark, sf_dir, "customer"), F.col("id") == F.col("c_custkey"))
+    d = d.select("c_mktsegment", F.col("geometry.type").alias("kind"), geom.n_coords(F.col("geometry")).alias("c"))
+    return d.cube("c_mktsegment", "kind").agg(F.count("*").alias("n"), F.sum("c").alias("coords"))
+
+
+add("cube_segment_kind", _cube, f"SELECT c_mktsegment, kind, count(*) AS n, sum(c)::BIGINT AS coords FROM (SELECT id, kind, count(x) AS c FROM ({X.points_sql('lots')}) p GROUP BY id, kind) g JOIN {{customer}} ON id = c_custkey GROUP BY CUBE (c_mktsegment, kind)")
+add("join_outer", lambda s, d: _read(s, d, "customer").select("c_custkey").join(X.dataset(s, d, "bldg").select("id", geom.n_parts(F.col("geometry")).alias("p")).join(_read(s, d, "orders").select(F.col("o_orderkey").alias("id"), "o_custkey"), "id"), F.col("c_custkey") == F.col("o_custkey"), "full_outer").groupBy("c_custkey").agg(F.count("id").alias("n"), F.sum("p").alias("rings")),
+    "SELECT c_custkey, count(o_orderkey) AS n, sum(CASE WHEN o_orderkey IS NULL THEN NULL WHEN o_orderkey % 10 = 0 THEN 2 ELSE 1 END)::BIGINT AS rings FROM {customer} LEFT JOIN {orders} ON o_custkey = c_custkey GROUP BY c_custkey")
+
+
+def _ranks(spark, sf_dir):
+    """Ranks, neighbours and running sums of vertices among a customer's buildings."""
+    d = _bldg_attrs(spark, sf_dir).select("id", "o_custkey", geom.n_coords(F.col("geometry")).alias("c"))
+    w, by_id = W.partitionBy("o_custkey").orderBy(F.desc("c")), W.partitionBy("o_custkey").orderBy("id")
+    return d.select("id", F.rank().over(w).alias("rnk"), F.dense_rank().over(w).alias("dense"), F.lag("id").over(by_id).alias("prev"), F.sum("c").over(by_id.rowsBetween(W.unboundedPreceding, 0)).alias("running"))
+
+
+add("win_ranks", _ranks, f"SELECT id, rank() OVER w AS rnk, dense_rank() OVER w AS dense, lag(id) OVER v AS prev, (sum(c) OVER (v ROWS UNBOUNDED PRECEDING))::BIGINT AS running FROM {_bc} b JOIN {{orders}} ON id = o_orderkey WINDOW w AS (PARTITION BY o_custkey ORDER BY c DESC), v AS (PARTITION BY o_custkey ORDER BY id)")
+add("agg_vertices", lambda s, d: X.dataset(s, d, "roads").select("id", geom.n_coords(F.col("geometry")).alias("c")).agg(F.min("c").alias("least"), F.max("c").alias("most"), F.percentile("c", 0.5).alias("median"), F.max_by("id", F.struct("c", "id")).alias("largest")),
+    f"SELECT min(c)::INT AS least, max(c)::INT AS most, quantile_cont(c, 0.5)::DOUBLE AS median, arg_max(id, c * 100000000 + id) AS largest FROM (SELECT id, count(x) AS c FROM ({X.points_sql('roads')}) p GROUP BY id) g")
+add("fn_props", lambda s, d: _read(s, d, "events").groupBy("event_type").agg(F.sum(F.get_json_object("props", "$.k").cast("long")).alias("k")), "SELECT event_type, sum((props->>'$.k')::BIGINT)::BIGINT AS k FROM {events} GROUP BY event_type")
 add("filter_attr_rect", lambda s, d: _bldg_attrs(s, d).where(F.col("o_orderstatus") == "F").withColumn("b", geom.box(F.col("geometry"))).where(geom.intersects(F.col("b"), *_rel_rect("bldg"))).select("id"),
     f"SELECT id FROM ({_range_sql('bldg', _rel_rect('bldg'))}) r JOIN {{orders}} ON id = o_orderkey WHERE o_orderstatus = 'F'")
 add("topk_vertices", lambda s, d: X.dataset(s, d, "roads").select("id", geom.n_coords(F.col("geometry")).alias("n")).orderBy(F.desc("n"), "id").limit(20), f"SELECT id, count(x)::INT AS n FROM ({X.points_sql('roads')}) p GROUP BY id ORDER BY n DESC, id LIMIT 20")

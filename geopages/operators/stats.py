@@ -8,7 +8,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from . import sorting
+from . import cost, sorting
 
 
 @F.arrow_udf(T.LongType())
@@ -88,3 +88,11 @@ def encode_runs(rows: DataFrame, value: str, order: str, by: list[str]) -> DataF
 
 def decode_runs(runs: Column) -> Column:
     return F.flatten(F.transform(runs, lambda r: F.array_repeat(r["type"], r["cnt"])))
+
+
+def empirical_bits(paged: DataFrame, share: float = 0.01, seed: int = 7) -> DataFrame:
+    """(axis, n, bits): one width for each axis that suits whole pages drawn with ``share``, for the fixed-width policy."""
+    if share < 1:
+        paged = paged.where(F.pmod(F.xxhash64(F.lit(seed), "sort_group", "page"), F.lit(1 << 20)) < int(share * (1 << 20)))
+    h = width_histogram(deltas(paged), ["axis"])
+    return cost.best_page_bits(h, ["axis"]).select("axis", "n", "bits")

@@ -263,3 +263,12 @@ def save_ordered_bits(df: DataFrame, path: str, compression: str = "none") -> No
 
 def read_ordered_bits(spark: SparkSession, path: str) -> DataFrame:
     return _recode(spark.read.parquet(path), False)
+
+
+def save_csv_points(points: DataFrame, path: str, compression: str = "none") -> None:
+    """(id, x, y) as text; the shortest digits that give the same doubles again."""
+    points.select("id", "x", "y").write.mode("overwrite").option("compression", compression).csv(path)
+
+
+def read_csv_points(spark: SparkSession, path: str) -> DataFrame:
+    return spark.read.schema("id long, x double, y double").csv(path)

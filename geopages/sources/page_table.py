@@ -174,14 +174,17 @@ def _decode(rect: Rect | None, stream: str, schema: pa.Schema) -> Callable[[Iter
     return run
 
 
-def scan(spark: SparkSession, path: str, rect: Rect | None = None, stream: str = "split") -> DataFrame:
-    """(id, geometry) of a page table. The rectangle must be given here: no filter gets below the decoder later."""
+def scan(spark: SparkSession, path: str, rect: Rect | None = None, stream: str = "split", kinds: tuple[int, ...] = ()) -> DataFrame:
+    """(id, geometry) of a page table. The rectangle and kinds must be given here: no filter gets below the decoder later."""
     t = spark.read.parquet(path)
     if rect is not None:
         t = t.where(meets(rect))
+    if kinds:
+        t = t.where(F.exists("type_runs", lambda r: r["type"].isin(*kinds)))
     t = t.select("n_coords", "type_runs", "ids", "geom_nparts", "part_ncoords", "x_enc", "x_bytes", "y_enc", "y_bytes")
     kind = T.StructType([T.StructField("id", T.LongType()), T.StructField("geometry", geometry_type())])
-    return t.mapInArrow(_decode(rect, stream, to_arrow_schema(kind)), kind)
+    d = t.mapInArrow(_decode(rect, stream, to_arrow_schema(kind)), kind)
+    return d.where(F.col("geometry.type").isin(*kinds)) if kinds else d
 
 
 def scan_axis(spark: SparkSession, path: str, axis: str) -> DataFrame:

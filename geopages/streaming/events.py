@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -17,12 +15,17 @@ def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def drained(df: DataFrame, mode: str) -> DataFrame:
-    """The result of a stream over all that is there now."""
-    spark = df.sparkSession
-    name = f"stream_{uuid.uuid4().hex[:12]}"
-    q = df.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", scratch_path(spark, "stream")).trigger(availableNow=True).start()
+    """The result of a stream over all that is there now, written as files: of the last batch (complete) or of all (append)."""
+    spark, path = df.sparkSession, scratch_path(df.sparkSession, "drained")
+    df.sparkSession.createDataFrame([], df.schema).write.parquet(f"{path}/batch=none")
+
+    def write(batch: DataFrame, number: int) -> None:
+        # a batch that runs again after a failure replaces its own files
+        batch.write.mode("overwrite").parquet(f"{path}/batch={'none' if mode == 'complete' else number}")
+
+    q = df.writeStream.outputMode(mode).foreachBatch(write).option("checkpointLocation", scratch_path(spark, "stream")).trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(name)
+    return spark.read.schema(df.schema).parquet(f"{path}/batch=*")
 
 
 def tumbling(events: DataFrame, size: str = "1 hour") -> DataFrame:
