@@ -662,6 +662,27 @@ def _sql(spark, sf_dir):
 
 add("sql_surface", _sql, f"SELECT 1 AS kind, count(*) AS n, max(x) AS x_max FROM ({X.points_sql('obs')}) p")
 
+
+def _wkt_back(name, spark, sf_dir):
+    text = X.dataset(spark, sf_dir, name).select("id", geom.as_wkt(F.col("geometry")).alias("text"))
+    g = F.col("g")
+    return text.select("id", geom.from_wkt(F.col("text")).alias("g")).select("id", g["type"].alias("kind"), geom.n_parts(g).alias("n_parts"), geom.n_coords(g).alias("n_coords"), F.aggregate(F.flatten(g["parts"]), F.lit(0).cast("long"), lambda a, c: a + F.round(c["x"] * X.DATASETS[name].scale).cast("long")).alias("xs"))
+
+
+for _n in ("traj", "roads", "bldg", "lots"):
+    add(f"wkt_parse_back_{_n}", partial(_wkt_back, _n), f"SELECT id, max(kind)::INT AS kind, count(DISTINCT part_no)::INT AS n_parts, count(xi)::INT AS n_coords, coalesce(sum(xi), 0)::BIGINT AS xs FROM ({X.DATASETS[_n].sql}) l GROUP BY id")
+
+
+def _attributes(spark, sf_dir):
+    o = _read(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("id"), "o_orderstatus", "o_orderdate", "o_totalprice")
+    path = X.scratch_path(spark, "attributes")
+    page_table.save(X.dataset(spark, sf_dir, "bldg").join(o, "id"), path, attributes=("o_orderstatus", "o_orderdate", "o_totalprice"), extent=X.DATASETS["bldg"].extent, page_bytes=16 << 10)
+    d = page_table.scan(spark, path, attributes=("o_orderstatus", "o_orderdate"))
+    return d.groupBy("o_orderstatus").agg(F.count("*").alias("n"), F.sum(geom.n_coords(F.col("geometry"))).alias("n_coords"), F.max(F.year("o_orderdate")).alias("last_year"))
+
+
+add("page_attributes", _attributes, f"SELECT o_orderstatus, count(*) AS n, sum(n)::BIGINT AS n_coords, max(year(o_orderdate))::INT AS last_year FROM (SELECT id, count(*) AS n FROM ({X.DATASETS['bldg'].sql}) l GROUP BY id) g JOIN {{orders}} ON id = o_orderkey GROUP BY o_orderstatus")
+
 # streams
 
 
@@ -686,5 +707,35 @@ def _stream_pages(spark, sf_dir):
 add("stream_pages", _stream_pages, "SELECT count(*) AS n, sum(event_id)::BIGINT AS ids FROM {events}")
 
 
+def _stream_trips(spark, sf_dir):
+    cents = F.round(F.col("value") * 100).cast("long")
+    d = streams.event_stream(spark, sf_dir).select("user_id", "event_id", "ts", (cents % 2001).cast("double").alias("x"), ((cents * 7 + F.col("event_id")) % 2001).cast("double").alias("y"))
+    c = F.flatten("geometry.parts")
+    return streams.drained(streams.trips(d), "append").select("user_id", "start_us", "end_us", F.size(c).alias("n"), F.get(c, F.lit(0))["x"].alias("x_first"), F.element_at(c, -1)["y"].alias("y_last"))
+
+
+add("stream_trips", _stream_trips, f"""SELECT user_id, min(us) AS start_us, max(us) AS end_us, count(*)::INT AS n, arg_min(x, (us, event_id)) AS x_first, arg_max(y, (us, event_id)) AS y_last FROM (
+  SELECT *, sum(nw) OVER (PARTITION BY user_id ORDER BY us, event_id) AS s FROM (SELECT *, CASE WHEN us - lag(us) OVER (PARTITION BY user_id ORDER BY us, event_id) < 1800000000 THEN 0 ELSE 1 END AS nw FROM (
+    SELECT user_id, event_id, epoch_us(ts) AS us, CAST({X._value} % 2001 AS DOUBLE) AS x, CAST(({X._value} * 7 + event_id) % 2001 AS DOUBLE) AS y FROM {{events}}))) GROUP BY user_id, s
+  HAVING max(us) // 1000 + 1800000 < (SELECT epoch_us(max(ts)) // 1000 - 600000 FROM {{events}})""")
+
+
+def _stream_late(spark, sf_dir):
+    e, path = _read(spark, sf_dir, "events"), X.scratch_path(spark, "late")
+    n = e.count()
+    # quarters by event_id, each a batch, in an order with late ones
+    for i, k in enumerate(LATE_ORDER):
+        e.where(F.floor(F.col("event_id") * 4 / n) == k).coalesce(1).write.parquet(f"{path}/{i}")
+    d = spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(f"{path}/*").withColumn("ts", F.col("ts").cast("timestamp"))
+    return spark.createDataFrame([streams.late_rows(d)], "n long, late long")
+
+
+LATE_ORDER = (2, 0, 1, 3)
+# Spark holds rows of a batch against the watermark that the batch before it began with
+add("stream_late", _stream_late, f"""SELECT count(*) AS n, count(*) FILTER (us <= mark) AS late FROM (
+  SELECT epoch_us(e.ts) AS us, (epoch_us(p.most) // 1000 - 600000) * 1000 AS mark FROM (SELECT ts, CASE event_id * 4 // (SELECT count(*) FROM {{events}}) {' '.join(f'WHEN {k} THEN {i}' for i, k in enumerate(LATE_ORDER))} END AS batch FROM {{events}}) e
+  LEFT JOIN (SELECT batch + 2 AS batch, max(most) OVER (ORDER BY batch) AS most FROM (SELECT CASE event_id * 4 // (SELECT count(*) FROM {{events}}) {' '.join(f'WHEN {k} THEN {i}' for i, k in enumerate(LATE_ORDER))} END AS batch, max(ts) AS most FROM {{events}} GROUP BY 1)) p ON p.batch = e.batch)""")
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _range("obs", X.RECTS["medium"], spark, sf_dir)

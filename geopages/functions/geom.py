@@ -117,3 +117,28 @@ def as_wkt(g: Column, number=lambda v: v.cast("string")) -> Column:
         .when(g["type"] == 6, F.concat(F.lit("MULTIPOLYGON "), wrap(F.array_join(F.transform(split_polygons(parts), rings), ", "))))
     )
     return body.otherwise(F.lit("GEOMETRYCOLLECTION EMPTY"))
+
+
+def from_wkt(text: Column) -> Column:
+    """Geometry of well-known text, by built-in functions alone; EMPTY of any kind is kind 0.
+
+    Null for other kinds, for coordinates that aren't two numbers and for unequal brackets.
+    """
+    t = F.trim(text)
+    kind = F.array_position(F.array(*[F.lit(n) for n in KIND_NAMES]), F.upper(F.regexp_extract(t, r"^([A-Za-z]+)", 1))).cast("int") - 1
+    body = F.regexp_extract(t, r"(?s)^[A-Za-z]+\s*(\(.*\))$", 1)
+
+    def coordinate(c):
+        words = F.split(F.trim(c), r"\s+")
+        number = lambda i: F.when(F.size(words) == 2, F.get(words, F.lit(i)).try_cast("double"))
+        return F.struct(number(0).alias("x"), number(1).alias("y"))
+
+    # one part for each bracketed list, whatever its depth
+    lists = F.split(F.regexp_replace(body, r"^[\s(]+|[\s)]+$", ""), r"\)[\s)]*,[\s(]*\(")
+    parts = F.transform(lists, lambda p: F.transform(F.split(p, ","), coordinate))
+    parts = F.when(kind == int(Kind.MULTIPOINT), F.transform(F.flatten(parts), lambda c: F.array(c))).otherwise(parts)
+    sound = F.forall(F.flatten(parts), lambda c: c["x"].isNotNull() & c["y"].isNotNull())
+    level = (F.length(F.replace(body, F.lit("("), F.lit(""))) == F.length(F.replace(body, F.lit(")"), F.lit("")))) & ~kind.isin(0, -1)
+    nothing = F.struct(F.lit(0).alias("type"), F.array().cast("array<array<struct<x:double,y:double>>>").alias("parts"))
+    empty = t.rlike(r"(?i)^[a-z]+\s+empty$")
+    return F.when(empty, nothing).when(level & sound, F.struct(kind.alias("type"), parts.alias("parts")))

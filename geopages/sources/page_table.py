@@ -60,19 +60,31 @@ def _page(page_id, ids, kind, n_parts, n_coords, x, y, options) -> dict:
     return row
 
 
+def _batch(rows: list[dict], values: list[list[pa.Array]], schema: pa.Schema) -> pa.RecordBatch:
+    """Page rows, with one list column for each attribute: its values as they came, end to end."""
+    fields = list(schema)
+    fixed = len(fields) - len(values[0])
+    columns = pa.RecordBatch.from_pylist(rows, pa.schema(fields[:fixed])).columns
+    ends = pa.array(np.cumsum([0, *(r["n_geoms"] for r in rows)]), pa.int32())
+    for k, f in enumerate(fields[fixed:]):
+        columns.append(pa.ListArray.from_arrays(ends, pa.concat_arrays([v[k] for v in values]).cast(f.type.value_type), type=f.type))
+    return pa.RecordBatch.from_arrays(columns, schema=schema)
+
+
 def _cut(schema: pa.Schema, budget: int, options: dict | None) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    """Pages of whole geometries of up to ``budget`` coordinates; the end of a sort group ends a page. Holds one page and one batch."""
+    """Pages of whole geometries of up to ``budget`` coordinates; the end of a sort group ends a page. Holds one page and one batch. Columns after the group are attributes."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
         base = TaskContext.get().partitionId() << 33
-        held, made, last = None, 0, None
+        held, made, last, attrs = None, 0, None, []
         for b in batches:
             geometry = b.column(1)
             group = b.column(2).to_numpy()
             kind, n_parts, n_coords, x, y = _rows(geometry)
             ids = b.column(0).to_numpy()
+            attrs = [pa.concat_arrays([a, v]) for a, v in zip(attrs, b.columns[3:], strict=True)] if held is not None else b.columns[3:]
             if held is not None:
                 ids, group, kind, n_parts, n_coords, x, y = (np.concatenate(z) for z in zip(held, (ids, group, kind, n_parts, n_coords, x, y), strict=True))
             part_at = np.r_[0, np.cumsum(n_parts)]
@@ -87,35 +99,42 @@ def _cut(schema: pa.Schema, budget: int, options: dict | None) -> Callable[[Iter
                 pages.append((i, j))
                 i = j
             cut = lambda i, j: (ids[i:j], kind[i:j], n_parts[i:j], n_coords[part_at[i] : part_at[j]], x[ends[i] : ends[j]], y[ends[i] : ends[j]])
-            rows = []
+            rows, values = [], []
             for s, e in pages:
                 rows.append(_page(base + made, *cut(s, e), options))
+                values.append([a.slice(s, e - s) for a in attrs])
                 made += 1
                 if len(rows) == 16:
-                    yield pa.RecordBatch.from_pylist(rows, schema)
-                    rows = []
+                    yield _batch(rows, values, schema)
+                    rows, values = [], []
             if rows:
-                yield pa.RecordBatch.from_pylist(rows, schema)
+                yield _batch(rows, values, schema)
             own = cut(i, len(ids))
+            attrs = [a.slice(i) for a in attrs]
             held = (own[0], group[i:], *own[1:])
             last = own
         if last is not None and len(last[0]):
-            yield pa.RecordBatch.from_pylist([_page(base + made, *last, options)], schema)
+            yield _batch([_page(base + made, *last, options)], [attrs], schema)
 
     return run
 
 
-def pages(df: DataFrame, geometry: str = "geometry", id: str = "id", sort: str = "grouped", curve: str = "hilbert", extent: Extent = WORLD, curve_bits: int = 16, group_size: int = 1_000_000, page_bytes: int = 1 << 20, codec_name: str = "bitdelta", policy: str = "exact", fixed_bits: int | None = None, min_saving: float = 0.0, stream: str = "split", rle: bool = False) -> DataFrame:
-    """Rows of a page table, before they are written."""
-    d = df.select(F.col(id).cast("long").alias("id"), F.col(geometry).alias("geometry"))
+def pages(df: DataFrame, geometry: str = "geometry", id: str = "id", sort: str = "grouped", curve: str = "hilbert", extent: Extent = WORLD, curve_bits: int = 16, group_size: int = 1_000_000, page_bytes: int = 1 << 20, codec_name: str = "bitdelta", policy: str = "exact", fixed_bits: int | None = None, min_saving: float = 0.0, stream: str = "split", rle: bool = False, attributes: tuple[str, ...] = ()) -> DataFrame:
+    """Rows of a page table, before they are written.
+
+    Each of ``attributes`` becomes a list column ``attr_<name>`` in the order of ``ids``, so a
+    scan reads those it asks for and no others.
+    """
+    d = df.select(F.col(id).cast("long").alias("id"), F.col(geometry).alias("geometry"), *[F.col(a).alias(f"attr_{a}") for a in attributes])
     if sort == "none":
         d = d.withColumn("_group", F.lit(0).cast("long"))
     else:
         d = sorting.with_key(d, curve, "geometry", extent, curve_bits)
         d = sorting.grouped(d, group_size) if sort == "grouped" else sorting.total(d)
-    kind = T._parse_datatype_string(PAGE)
+    lists = [T.StructField(f"attr_{a}", T.ArrayType(d.schema[f"attr_{a}"].dataType)) for a in attributes]
+    kind = T.StructType([*T._parse_datatype_string(PAGE), *lists])
     options = None if codec_name == "plain" else {"policy": policy, "fixed_bits": fixed_bits, "min_saving": min_saving, "stream": stream, "rle": rle}
-    return d.select("id", "geometry", "_group").mapInArrow(_cut(to_arrow_schema(kind), page_bytes // 8, options), kind)
+    return d.select("id", "geometry", "_group", *[f.name for f in lists]).mapInArrow(_cut(to_arrow_schema(kind), page_bytes // 8, options), kind)
 
 
 def save(df: DataFrame, path: str, compression: str = "zstd", **options) -> None:
@@ -128,7 +147,8 @@ def save(df: DataFrame, path: str, compression: str = "zstd", **options) -> None
 
 def compact(spark: SparkSession, path: str, to: str, stream: str = "split", **options) -> None:
     """Small pages (of streams, appends or many small partitions) rewritten as full ones along one curve, in a new place: readers keep the old table until they are pointed to ``to``."""
-    save(scan(spark, path, stream=stream), to, **({"sort": "total", "stream": stream} | options))
+    attributes = tuple(c.removeprefix("attr_") for c in spark.read.parquet(path).columns if c.startswith("attr_"))
+    save(scan(spark, path, stream=stream, attributes=attributes), to, **({"sort": "total", "stream": stream, "attributes": attributes} | options))
 
 
 def manifest(spark: SparkSession, path: str) -> DataFrame:
@@ -147,7 +167,8 @@ def _decode(rect: Rect | None, stream: str, schema: pa.Schema) -> Callable[[Iter
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for p in b.to_pylist():
+            attrs = [b.column(f"attr_{f.name}") for f in list(schema)[2:]]
+            for i, p in enumerate(b.select([n for n in b.schema.names if not n.startswith("attr_")]).to_pylist()):
                 count = p["n_coords"]
                 x, y = (codec.decode_page(p[f"{a}_enc"], p[f"{a}_bytes"], count, np.float64, stream) for a in "xy")
                 kind = np.repeat([r["type"] for r in p["type_runs"]], [r["cnt"] for r in p["type_runs"]]).astype(np.int32)
@@ -158,7 +179,7 @@ def _decode(rect: Rect | None, stream: str, schema: pa.Schema) -> Callable[[Iter
                 inner = pa.ListArray.from_arrays(pa.array(coord_at.astype(np.int32)), leaf, type=schema.field("geometry").type.field("parts").type.value_type)
                 parts = pa.ListArray.from_arrays(pa.array(part_at.astype(np.int32)), inner, type=schema.field("geometry").type.field("parts").type)
                 g = pa.StructArray.from_arrays([pa.array(np.maximum(kind, 0)), parts], fields=list(schema.field("geometry").type), mask=pa.array(kind < 0))
-                out = pa.record_batch([ids, g], schema=schema)
+                out = pa.record_batch([ids, g, *(a[i].values.cast(f.type) for a, f in zip(attrs, list(schema)[2:], strict=True))], schema=schema)
                 if rect is not None:
                     ends = coord_at[part_at]
                     has = np.flatnonzero(np.diff(ends) > 0)
@@ -174,15 +195,16 @@ def _decode(rect: Rect | None, stream: str, schema: pa.Schema) -> Callable[[Iter
     return run
 
 
-def scan(spark: SparkSession, path: str, rect: Rect | None = None, stream: str = "split", kinds: tuple[int, ...] = ()) -> DataFrame:
-    """(id, geometry) of a page table. The rectangle and kinds must be given here: no filter gets below the decoder later."""
+def scan(spark: SparkSession, path: str, rect: Rect | None = None, stream: str = "split", kinds: tuple[int, ...] = (), attributes: tuple[str, ...] = ()) -> DataFrame:
+    """(id, geometry, attributes) of a page table. The rectangle and kinds must be given here: no filter gets below the decoder later."""
     t = spark.read.parquet(path)
     if rect is not None:
         t = t.where(meets(rect))
     if kinds:
         t = t.where(F.exists("type_runs", lambda r: r["type"].isin(*kinds)))
-    t = t.select("n_coords", "type_runs", "ids", "geom_nparts", "part_ncoords", "x_enc", "x_bytes", "y_enc", "y_bytes")
-    kind = T.StructType([T.StructField("id", T.LongType()), T.StructField("geometry", geometry_type())])
+    own = [T.StructField(a, t.schema[f"attr_{a}"].dataType.elementType) for a in attributes]
+    t = t.select("n_coords", "type_runs", "ids", "geom_nparts", "part_ncoords", "x_enc", "x_bytes", "y_enc", "y_bytes", *[f"attr_{a}" for a in attributes])
+    kind = T.StructType([T.StructField("id", T.LongType()), T.StructField("geometry", geometry_type()), *own])
     d = t.mapInArrow(_decode(rect, stream, to_arrow_schema(kind)), kind)
     return d.where(F.col("geometry.type").isin(*kinds)) if kinds else d
 
