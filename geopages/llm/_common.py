@@ -5,12 +5,17 @@ from __future__ import annotations
 import shutil
 import tempfile
 import uuid
+from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..operators.sorting import numbered
+
 #: Stands for a null doc_id inside an operator: later than every real one.
 NO_ID = 2**63 - 1
+#: Shared doc_ids are broadcast up to this many, else joined by a shuffle.
+BROADCAST_ROWS = 200_000
 
 _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 _local_dir: str | None = None
@@ -72,20 +77,87 @@ def hdfs_delete(spark: SparkSession, path: str) -> None:
     p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
-def one_row_per_id(docs: DataFrame, columns: tuple[str, ...] = ("doc_id", "text")) -> DataFrame:
-    """``columns`` of ``docs``, one row for each doc_id, null included.
+def _order() -> Column:
+    return F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID))
+
+
+def _digest() -> Column:
+    return F.sha2(F.col("text").cast("string").cast("binary"), 256)
+
+
+@dataclass
+class Keyed:
+    """The distinct (doc_id, text) of a table as ``rows`` (doc long, text string), and the way back.
+
+    ``doc >> shift`` orders rows as their doc_ids do, a null one last; rows of one doc_id
+    differ in the lower bits. Where no two rows share a doc_id, ``doc`` is the doc_id itself
+    and nothing is shuffled; ``names`` (doc, doc_id, digest, copies) is there for other tables only.
+    """
 
-    Rows that share a doc_id count as one document; it has the greatest of their
-    texts. Only tables that have such rows pay for the shuffle; others are told
-    apart by a count over the doc_id column alone.
+    rows: DataFrame
+    shift: int = 0
+    names: DataFrame | None = None
+
+    def again(self, df: DataFrame) -> DataFrame:
+        """``df`` with doc_id in place of doc: a row for each row that was read, equal ones included."""
+        rest = [c for c in df.columns if c != "doc"]
+        if self.names is None:
+            return df.select(_id_of("doc").alias("doc_id"), *rest)
+        out = df.join(self.names.select("doc", "doc_id", "copies"), "doc")
+        return out.withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).select("doc_id", *rest)
+
+    def ids(self, df: DataFrame, column: str) -> DataFrame:
+        """``df`` with the doc_id of the key in ``column`` in its place."""
+        if self.names is None:
+            return df.withColumn(column, _id_of(column))
+        n = self.names.select(F.col("doc").alias("_doc"), F.col("doc_id").alias("_id"))
+        return df.join(n, F.col(column) == n["_doc"]).withColumn(column, F.col("_id")).drop("_doc", "_id")
+
+    def matched(self, docs: DataFrame, chosen: DataFrame, how: str) -> DataFrame:
+        """``docs`` joined (``left_semi``, ``left_anti``) with the keys ``chosen`` (doc); columns stay as they are."""
+        if self.names is None:
+            c = chosen.select(F.col("doc").alias("_doc"))
+            return docs.join(c, F.coalesce(docs["doc_id"].cast("long"), F.lit(NO_ID)) == c["_doc"], how)
+        c = chosen.join(self.names, "doc").select(F.coalesce("doc_id", F.lit(NO_ID)).alias("_id"), F.col("doc_id").isNull().alias("_none"), F.col("digest").alias("_digest"))
+        same = (F.coalesce(docs["doc_id"].cast("long"), F.lit(NO_ID)) == c["_id"]) & (docs["doc_id"].cast("long").isNull() == c["_none"])
+        return docs.join(c, same & F.sha2(docs["text"].cast("string").cast("binary"), 256).eqNullSafe(c["_digest"]), how)
+
+    def one_of_equal(self, docs: DataFrame) -> DataFrame:
+        """One row for each (doc_id, text) of ``docs``; columns stay as they are."""
+        if self.names is None:
+            return docs
+        return docs.withColumns({"_id": F.col("doc_id").cast("long"), "_digest": _digest()}).dropDuplicates(["_id", "_digest"]).drop("_id", "_digest")
+
+
+def _id_of(doc: str) -> Column:
+    return F.when(F.col(doc) != NO_ID, F.col(doc))
+
+
+def keyed(docs: DataFrame, scratch: Scratch) -> Keyed:
+    """Rows with a key of their own for each distinct (doc_id, text).
+
+    Only tables in which rows share a doc_id, null included, pay for the keys: they are told
+    apart by a count over the doc_id column alone. There, distinct rows are numbered along
+    doc_id and a digest of the text by one range shuffle.
     """
-    d = docs.select(*columns)
-    n, most = docs.groupBy("doc_id").count().agg(F.count("*"), F.max("count")).first()
-    if n and most > 1:
-        rest = [c for c in columns if c != "doc_id"]
-        picked = d.groupBy("doc_id").agg(F.max(F.struct(*rest)).alias("_r"))
-        d = picked.select("doc_id", *[F.col(f"_r.{c}").alias(c) for c in rest])
-    return d
+    d = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    most = docs.select(_order().alias("_o")).groupBy("_o").count().agg(F.max("count")).first()[0]
+    if (most or 0) <= 1:
+        return Keyed(d.select(_order().alias("doc"), "text"))
+    one = d.groupBy("doc_id", _digest().alias("digest")).agg(F.first("text").alias("text"), F.count("*").alias("copies"))
+    place = numbered(one, [F.col("doc_id").asc_nulls_last(), F.col("digest")], "_n")
+    sizes = scratch.put(place.groupBy("doc_id").agg(F.min("_n").alias("_first"), F.count("*").alias("_size")), "ids")
+    n, most = sizes.agg(F.sum("_size"), F.max("_size")).first()
+    shift = (most - 1).bit_length()
+    if (n - 1).bit_length() + shift > 62:
+        raise ValueError("too many rows share a doc_id for keys of 64 bits")
+    # an id of one row needs no look-up: its first row is itself
+    shared = sizes.where("_size > 1").select(F.col("doc_id").alias("_id"), "_first")
+    shared = F.broadcast(shared) if shared.count() <= BROADCAST_ROWS else shared
+    place = place.join(shared, F.col("doc_id").eqNullSafe(F.col("_id")), "left").withColumn("_first", F.coalesce("_first", "_n"))
+    key = F.shiftleft("_first", shift) + F.col("_n") - F.col("_first")
+    place = scratch.put(place.select(key.alias("doc"), "doc_id", "digest", "copies", "text"), "keyed")
+    return Keyed(place.select("doc", "text"), shift, place.select("doc", "doc_id", "digest", "copies"))
 
 
 def partitions(spark: SparkSession) -> int:

@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import _symbols as S
-from ._common import NO_ID, Scratch, partitions
+from ._common import Scratch, partitions
 
 ANCHOR, COVER = 0, 1
 ROWS = "kind byte, seed long, context long, doc long, a int, b int"
@@ -49,6 +49,8 @@ class Spec:
     earlier: bool
     #: "bytes" or "words".
     unit: str
+    #: ``doc >> shift`` is the order of a document's id; documents of one id differ below.
+    shift: int = 0
 
     @property
     def left(self) -> int:
@@ -146,8 +148,9 @@ def _emit_anchors(spec: Spec) -> Callable[[Iterator[pa.RecordBatch]], Iterator[p
             at = np.flatnonzero(new)
             group = np.cumsum(new) - 1
             if spec.earlier:
-                first = np.minimum.reduceat(doc, at)[group]
-                done, send = doc > first, doc == first
+                rank = doc >> spec.shift
+                first = np.minimum.reduceat(rank, at)[group]
+                done, send = rank > first, rank == first
                 multi = np.zeros(len(doc), bool)
             else:
                 multi = (np.diff(np.r_[at, len(doc)]) > 1)[group]
@@ -196,11 +199,12 @@ def _decide(spec: Spec) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.Reco
             at = np.flatnonzero(new)
             run_no = np.cumsum(new) - 1
             size = np.diff(np.r_[at, n])
-            first_doc = doc[at][run_no]
+            rank = doc >> spec.shift
+            first_rank = rank[at][run_no]
             if spec.earlier:
-                covered = doc > first_doc
+                covered = rank > first_rank
                 several = np.zeros(len(at), bool)
-                edge_rows = doc == first_doc
+                edge_rows = rank == first_rank
             else:
                 several = (size > 1) | np.maximum.reduceat(multi.astype(np.int8), at).astype(bool)
                 covered = several[run_no]
@@ -216,7 +220,7 @@ def _decide(spec: Spec) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.Reco
             multi = multi | several[run_no]
             said, told = said | tell, told | edge
             last = int(np.flatnonzero(new_seed)[-1])
-            # edges of a seed that has one context so far wait for a second one; they are of one document
+            # edges of a seed that has one context so far wait for a second one; they are of one doc_id
             wait = last + np.flatnonzero(edge_rows[last:] & ~told[last:])
             keep = sorted({last, int(at[-1]), *wait.tolist()})
             held = [x[keep] for x in (seed, context, doc, a, multi, said, told)]
@@ -355,8 +359,9 @@ def covered_intervals(docs: DataFrame, spec: Spec, resolve, scratch: Scratch) ->
     if hot.head(1):
         keys = contexts.join(hot, "seed", "left_semi").mapInArrow(_window_keys(spec), "k1 long, k2 long, doc long, a int, multi boolean")
         if spec.earlier:
-            seen = keys.groupBy("k1", "k2").agg(F.min("doc").alias("first"))
-            keys = keys.join(seen, ["k1", "k2"]).where("doc > first")
+            keys = keys.withColumn("rank", F.shiftright("doc", spec.shift))
+            seen = keys.groupBy("k1", "k2").agg(F.min("rank").alias("first"))
+            keys = keys.join(seen, ["k1", "k2"]).where("rank > first")
         else:
             seen = keys.groupBy("k1", "k2").agg(F.min(F.struct("doc", "a")).alias("x"), F.max(F.struct("doc", "a")).alias("y"), F.max("multi").alias("m")).where("x <> y or m").select("k1", "k2")
             keys = keys.join(seen, ["k1", "k2"])
@@ -368,15 +373,6 @@ def with_spans(docs: DataFrame, spans: DataFrame) -> DataFrame:
     return docs.join(spans, "doc", "left").select("doc", "text", "spans")
 
 
-def keyed(docs: DataFrame) -> DataFrame:
-    """(doc, text): a null id becomes NO_ID, the latest."""
-    return docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc"), F.col("text").cast("string").alias("text"))
-
-
-def doc_id_again() -> F.Column:
-    return F.when(F.col("doc") == NO_ID, F.lit(None).cast("long")).otherwise(F.col("doc")).alias("doc_id")
-
-
 def span_arrays(col: pa.Array, lengths: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """Each document's merged, clipped spans."""
     for spans, n in zip(col, lengths, strict=True):

@@ -11,8 +11,8 @@ span of positions, in any order. Built-in expressions only.
 
 Results by case: a null, empty or wordless text has no words and no hits; a test text
 of fewer words than a window is one window, one without words has none; repeated test
-rows count once; rows of one doc_id are one document (``one_row_per_id``); an empty
-benchmark hits nothing; empty documents give no rows; other columns are ignored.
+rows count once; rows of one doc_id are judged each by its own text, and equal rows get
+equal results, one for each; an empty benchmark hits nothing; empty documents give no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -20,7 +20,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ._common import NO_ID, Scratch, one_row_per_id, table
+from ._common import Keyed, Scratch, keyed, table
 
 #: What stands between words; A-Z are lower-cased, other letters stay.
 GAP = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -111,36 +111,36 @@ class PositionalIndex:
         return places.select("window", "doc", F.explode(within).alias("x")).select("window", "doc", F.col("x.pos").alias("start")).distinct()
 
 
-def hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> tuple[DataFrame, DataFrame, Scratch]:
-    """All documents as (doc, text), and (doc, n_hit, items) of those in which a window occurs."""
+def hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> tuple[Keyed, DataFrame, Scratch]:
+    """All documents under keys, and (doc, n_hit, items) of those in which a window occurs."""
     scratch = Scratch(docs.sparkSession, "decontaminate")
-    rows = one_row_per_id(docs).select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc"), "text")
+    keys = keyed(docs, scratch)
     windows = scratch.put(windows_of(benchmark, window), "windows")
-    found = scratch.put(PositionalIndex(rows, windows, scratch).phrases(windows), "phrases")
+    found = scratch.put(PositionalIndex(keys.rows, windows, scratch).phrases(windows), "phrases")
     ends = found.groupBy("doc", "start").agg(F.max(F.col("start") + F.col("size")).alias("end"))
     covered = ends.selectExpr("doc", "end - greatest(start, coalesce(max(end) OVER (PARTITION BY doc ORDER BY start ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)) AS n")
     n_hit = covered.groupBy("doc").agg(F.sum(F.greatest("n", F.lit(0))).alias("n_hit"))
     items = found.select("doc", "window").distinct().join(windows.select("window", F.explode("items").alias("item")), "window")
     items = items.groupBy("doc").agg(F.sort_array(F.collect_set("item")).alias("items"))
-    return rows, n_hit.join(items, "doc"), scratch
+    return keys, n_hit.join(items, "doc"), scratch
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
     """(doc_id, n_words, n_hit, items): words inside occurrences of test windows, and the items that have them."""
-    rows, found, _ = hits(docs, benchmark, window)
-    size = rows.select("doc", F.size(words_of(F.col("text"))).cast("long").alias("n_words"))
-    out = size.join(found, "doc", "left")
+    keys, found, _ = hits(docs, benchmark, window)
+    size = keys.rows.select("doc", F.size(words_of(F.col("text"))).cast("long").alias("n_words"))
+    out = keys.again(size.join(found, "doc", "left"))
     return out.select(
-        F.when(F.col("doc") != NO_ID, F.col("doc")).alias("doc_id"), "n_words",
+        "doc_id", "n_words",
         F.coalesce(F.col("n_hit"), F.lit(0)).cast("long").alias("n_hit"), F.coalesce("items", F.array().cast("array<string>")).alias("items"),
     )
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
     """``docs`` without those in which a test window occurs; columns stay as they are."""
-    _, found, scratch = hits(docs, benchmark, window)
-    bad = scratch.put(found.select(F.col("doc").alias("_bad_id")), "bad")
-    return docs.join(_bounded(bad), F.coalesce(docs["doc_id"].cast("long"), F.lit(NO_ID)) == bad["_bad_id"], "left_anti")
+    keys, found, scratch = hits(docs, benchmark, window)
+    bad = scratch.put(found.select("doc"), "bad")
+    return keys.matched(docs, _bounded(bad), "left_anti")
 
 
 def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -19,8 +19,9 @@ symmetric difference, so no link is lost), then exactly on whole sets.
 
 Results by case: a null, empty or blank text has an empty set and is linked with
 nothing; a text of fewer words than a shingle has its whole sequence as one; rows of
-one doc_id count once (``one_row_per_id``); a null doc_id is later than all others; an
-empty table gives no rows; other columns are ignored.
+one doc_id with different texts are documents of their own; equal rows get equal results,
+one for each, and one of them passes ``keep_one_of_each_group``; a null doc_id is later
+than all others; an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -33,9 +34,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import _repeats as R
 from . import _symbols as S
-from ._common import Scratch, one_row_per_id, partitions, table
+from ._common import Keyed, Scratch, keyed, partitions, table
 from .components import connected_components
 
 #: Counters of token frequency: their number bounds what is sent to the driver and back (1 MB of ranks).
@@ -219,7 +219,8 @@ class _Join:
     def __init__(self, docs: DataFrame, n: int, percent: int):
         self.spark, self.n, self.percent = docs.sparkSession, n, percent
         self.scratch = Scratch(self.spark, "ngram_join")
-        self.docs = R.keyed(one_row_per_id(docs))
+        self.keys: Keyed = keyed(docs, self.scratch)
+        self.docs = self.keys.rows
         self.parts = partitions(self.spark)
         described = self.scratch.put(self.docs.mapInArrow(_describe(n), _SETS), "sets")
         self.members = described.where("chunk is null").select("doc", "n", "cls")
@@ -276,12 +277,14 @@ class _Join:
         return nodes.join(second, "component", "left").select(F.col("node").alias("cls"), F.coalesce("label", "component").alias("label"))
 
     def groups(self) -> DataFrame:
+        """(doc, n_shingles, component, component_id): each document's group by its least key, and that key's doc_id; both null for a group of its own without shingles."""
         labels = self.scratch.put(self.labels(), "labels")
         whole = self.classes.select("cls", "doc").join(labels, "cls", "left").select("cls", "doc", F.coalesce("label", "cls").alias("label"))
         least = whole.groupBy("label").agg(F.min("doc").alias("component"))
-        whole = self.scratch.put(whole.join(least, "label").select("cls", "component"), "components")
-        out = self.members.join(whole, "cls", "left")
-        return out.select(R.doc_id_again(), F.col("n").cast("long").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component")).otherwise(F.col("doc")).alias("component"))
+        least = self.keys.ids(least.withColumn("component_id", F.col("component")), "component_id")
+        whole = self.scratch.put(whole.join(least, "label").select("cls", "component", "component_id"), "components")
+        out = self.members.join(whole.withColumnRenamed("cls", "_cls"), (F.col("cls") == F.col("_cls")) & (F.col("n") > 0), "left")
+        return out.select("doc", F.col("n").cast("long").alias("n_shingles"), "component", "component_id")
 
 
 def similar_groups(docs: DataFrame, shingle: int = 5, percent: int = 80) -> DataFrame:
@@ -289,14 +292,16 @@ def similar_groups(docs: DataFrame, shingle: int = 5, percent: int = 80) -> Data
 
     A group's id is its smallest doc_id.
     """
-    out = _Join(docs, shingle, percent).groups()
-    return out.select("doc_id", "n_shingles", F.when(F.col("component") == R.NO_ID, F.lit(None).cast("long")).otherwise(F.col("component")).alias("component_id"))
+    join = _Join(docs, shingle, percent)
+    out = join.keys.again(join.groups())
+    return out.select("doc_id", "n_shingles", F.when(F.col("component").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
 
 
 def keep_one_of_each_group(docs: DataFrame, shingle: int = 5, percent: int = 80) -> DataFrame:
-    """``docs`` without the documents of each group but its smallest doc_id; columns stay as they are."""
-    g = similar_groups(docs, shingle, percent).where("doc_id <=> component_id").select(F.col("doc_id").alias("_kept_id"))
-    return docs.join(g, docs["doc_id"].eqNullSafe(g["_kept_id"]), "left_semi")
+    """``docs`` without the documents of each group but one of its smallest doc_id, and with one of equal rows; columns stay as they are."""
+    join = _Join(docs, shingle, percent)
+    kept = join.groups().where("component is null or doc = component").select("doc")
+    return join.keys.one_of_equal(join.keys.matched(docs, kept, "left_semi"))
 
 
 def op6_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -7,8 +7,9 @@ contexts of the anchor through prefix hashes, which gives the outermost windows
 that repeat; their union over a text's anchors is its maximal repeats.
 
 Results by case: null, empty and blank texts have no words; texts under ``width``
-words lose none; rows of one doc_id count once (``one_row_per_id``); an empty
-table gives no rows; other columns are ignored.
+words lose none; rows of one doc_id with different texts are documents of their own;
+equal rows count once and get equal results, one for each; an empty table gives no rows;
+other columns are ignored.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from . import _repeats as R
 from . import _symbols as S
-from ._common import Scratch, one_row_per_id, table
+from ._common import Scratch, keyed, table
 
 WIDTH, SEED = 35, 9
 
@@ -86,10 +87,11 @@ def remove_repeated_passages(docs: DataFrame, width: int = WIDTH, seed: int = SE
     """
     spec = R.Spec(width, seed, False, "words")
     scratch = Scratch(docs.sparkSession, "seed_extend")
-    rows = R.keyed(one_row_per_id(docs))
+    keys = keyed(docs, scratch)
+    rows = keys.rows
     spans = R.covered_intervals(rows, spec, extend_both_ways, scratch)
     out = R.with_spans(rows, spans).mapInArrow(_cut, "doc long, n_words long, n_removed long, removed array<struct<start:long,end:long>>, kept_sha256 string, kept string")
-    return out.select(R.doc_id_again(), "n_words", "n_removed", "removed", "kept_sha256", "kept")
+    return keys.again(out)
 
 
 def op9_seed_extend(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -8,9 +8,9 @@ prefixes cut either order into classes for every depth, and two windows are
 equal where they are in the same right class and the same left class.
 
 Results by case: a null or empty text has no bytes and loses none; texts under
-``width`` bytes lose none; rows of one doc_id count once (``one_row_per_id``); a
-null doc_id is later than all others; an empty table gives no rows; other
-columns are ignored.
+``width`` bytes lose none; rows of one doc_id are scanned each, and none of them is
+earlier than another; a null doc_id is later than all others; equal rows count once and
+get equal results, one for each; an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from . import _repeats as R
 from . import _symbols as S
-from ._common import Scratch, one_row_per_id, table
+from ._common import Scratch, keyed, table
 from .deep_shallow import deep_shallow_order
 
 WIDTH, SEED = 50, 16
@@ -73,8 +73,9 @@ def resolve_by_suffix_order(group, doc, n_left, raw, at, spec, multi) -> tuple[n
         key = _class_rows(by_right, L - o)[rows] * (n + 1) + _class_rows(by_left, o)[rows]
         by = np.argsort(key, kind="stable")
         new = np.flatnonzero(np.r_[True, key[by][1:] != key[by][:-1]])
-        first = np.repeat(np.minimum.reduceat(doc[rows][by], new), np.diff(np.r_[new, len(rows)]))
-        hit = rows[by][first < doc[rows][by]]
+        rank = doc[rows][by] >> spec.shift
+        first = np.repeat(np.minimum.reduceat(rank, new), np.diff(np.r_[new, len(rows)]))
+        hit = rows[by][first < rank]
         lo[hit] = np.where(lo[hit] < 0, o, lo[hit])
         hi[hit] = o
     return lo, hi
@@ -107,12 +108,12 @@ def remove_repeated_strings(docs: DataFrame, width: int = WIDTH, seed: int = SEE
     A byte goes if a ``width``-byte string over it also starts in a document with a
     smaller doc_id. ``kept`` is binary: a cut may split a character.
     """
-    spec = R.Spec(width, seed, True, "bytes")
     scratch = Scratch(docs.sparkSession, "suffix_dedup")
-    rows = R.keyed(one_row_per_id(docs))
+    keys = keyed(docs, scratch)
+    rows, spec = keys.rows, R.Spec(width, seed, True, "bytes", keys.shift)
     spans = R.covered_intervals(rows, spec, resolve_by_suffix_order, scratch)
     out = R.with_spans(rows, spans).mapInArrow(_cut, "doc long, n_bytes long, n_removed long, removed array<struct<start:long,end:long>>, kept_sha256 string, kept binary")
-    return out.select(R.doc_id_again(), "n_bytes", "n_removed", "removed", "kept_sha256", "kept")
+    return keys.again(out)
 
 
 def op2_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
