@@ -1,9 +1,11 @@
 """Sharding by size-tiered compaction.
 
-Arrivals are appended as they come, each task's rows as one small immutable shard.
-Compaction merges neighbours of one size tier (sizes within a factor of ``fan_in``)
-until they reach the target size; a merge reads its shards in order and writes one
-new file, without a shuffle. What the store holds is said by a manifest: each version
+Arrivals are appended in the order of their rows (of files: by name and place in the file,
+however Spark would pack them into tasks), each task's rows as one small immutable shard.
+Compaction merges shards that follow one another, those of one size tier (sizes within a
+factor of ``fan_in``) first, until they reach the target size; a merge reads its shards in
+order and writes one new file, without a shuffle. So the shards, one after another, hold the
+rows in the order of arrival. What the store holds is said by a manifest: each version
 is a new file, written aside and renamed into place, which fails if another writer
 has taken the number. Readers see a whole version or the one before; a task or a
 driver lost in between leaves files that no manifest names, and ``vacuum`` removes them.
@@ -18,8 +20,10 @@ import json
 import uuid
 from dataclasses import asdict, dataclass
 from functools import reduce
+from itertools import accumulate, groupby
 from math import floor, log
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -106,21 +110,22 @@ class ShardStore:
         now = self.version()
         have = self.shards(now)
         seq = max([-1, *(s.seq for s in have)]) + 1
-        new = [Shard(p, b, r, 0, seq + i) for i, (p, b, r) in enumerate(self._written(df, 0))]
+        parts = in_file_order(df)
+        written = [w for lo in range(0, len(parts), MERGES_PER_JOB) for w in self._written(reduce(DataFrame.union, parts[lo : lo + MERGES_PER_JOB]), 0)]
+        new = [Shard(p, b, r, 0, seq + i) for i, (p, b, r) in enumerate(written)]
         return self.commit([*have, *new], now)
 
     def tier(self, size: int) -> int:
         return floor(log(max(size, 1), self.fan_in))
 
     def plan(self, shards: list[Shard]) -> list[list[Shard]]:
-        """Runs of neighbours to merge: those of one tier first; when no tier has enough, whatever small ones are left."""
-        small = [s for s in sorted(shards, key=lambda s: s.seq) if 2 * s.bytes <= self.target]
-        tiers: dict[int, list[Shard]] = {}
-        for s in small:
-            tiers.setdefault(self.tier(s.bytes), []).append(s)
-        full = {t: v for t, v in tiers.items() if len(v) >= self.fan_in}
+        """Runs of shards that follow one another, to merge: those of one tier first; when nowhere enough of a tier stand together, whatever small neighbours are left."""
+        ordered = sorted(shards, key=lambda s: s.seq)
+        small = lambda s: 2 * s.bytes <= self.target
+        tiers = [list(v) for k, v in groupby(ordered, lambda s: self.tier(s.bytes) if small(s) else None) if k is not None]
+        full = [v for v in tiers if len(v) >= self.fan_in]
         out = []
-        for same in full.values() if full else [small]:
+        for same in full or [list(v) for k, v in groupby(ordered, small) if k]:
             run: list[Shard] = []
             for s in same:
                 if run and (sum(x.bytes for x in run) + s.bytes > self.target * 5 // 4 or len(run) >= self.fan_in):
@@ -164,27 +169,70 @@ class ShardStore:
                     self._fs.delete(f.getPath(), False)
 
     def read(self) -> DataFrame | None:
-        """Rows of the newest version with ``_shard``: struct of id (place in the manifest), rows, bytes and level; None if it has no shards."""
+        """Rows of the newest version with ``_shard``: struct of id (place in the manifest), rows, bytes, level and position (place among all rows, shard after shard); None if it has no shards."""
         shards = self.shards()
         if not shards:
             return None
-        names = self.spark.createDataFrame([(s.path.rsplit("/", 1)[-1], i, s.rows, s.bytes, s.level) for i, s in enumerate(shards)], "__shard_file string, id long, rows long, bytes long, level int")
+        starts = accumulate((s.rows for s in shards), initial=0)
+        names = self.spark.createDataFrame([(s.path.rsplit("/", 1)[-1], i, s.rows, s.bytes, s.level, n) for i, (s, n) in enumerate(zip(shards, starts, strict=False))], "__shard_file string, id long, rows long, bytes long, level int, __start long")
         files = self.spark.read.parquet(*[s.path for s in shards])
-        rows = files.select(*[files[c] for c in files.columns], F.col("_metadata.file_name").alias("__shard_file"))
-        about = F.struct(*[names[c] for c in ("id", "rows", "bytes", "level")]).alias("_shard")
+        rows = files.select(*[files[c] for c in files.columns], F.col("_metadata.file_name").alias("__shard_file"), F.col("_metadata.row_index").alias("__row"))
+        about = F.struct(*[names[c] for c in ("id", "rows", "bytes", "level")], (names["__start"] + rows["__row"]).alias("position")).alias("_shard")
         return rows.join(names, "__shard_file").select(*[rows[c] for c in files.columns], about)
 
 
-def shard(docs: DataFrame, target_bytes: int = TARGET_BYTES, fan_in: int = FAN_IN, root: str | None = None) -> DataFrame:
-    """Append ``docs`` to a store, compact it and give each document's shard: (doc_id, shard_id, shard_rows, shard_level)."""
+def in_file_order(df: DataFrame) -> list[DataFrame]:
+    """``df`` in parts that hold its rows in order: partitions as they are, but of a scan of files, which Spark packs by size, by file and place in it.
+
+    Small files that follow one another are one part of one partition, sorted by file and place; a
+    large file is a part of its own, split in order. No shuffle.
+    """
+    plan = df._jdf.queryExecution().analyzed()
+    while plan.nodeName() in ("Project", "Filter", "SubqueryAlias"):
+        plan = plan.children().head()
+    if plan.getClass().getSimpleName() not in ("LogicalRelation", "DataSourceV2Relation"):
+        return [df]
+    spark = df.sparkSession
+    try:
+        # a row for each file
+        files = df.select("_metadata.file_path", "_metadata.file_size").distinct().collect()
+        df.select("_metadata.row_index")
+    except AnalysisException:
+        return [df]
+    size = {r.file_path: r.file_size for r in files}
+    if len(size) < 2:
+        return [df]
+    # a longer number of a part stands later
+    order = sorted(size, key=lambda p: (len(p), p))
+    default = spark._jsparkSession.sessionState().conf()
+    most = min(default.filesMaxPartitionBytes(), max(default.filesOpenCostInBytes(), sum(size.values()) // spark.sparkContext.defaultParallelism))
+    groups: list[list[str]] = []
+    for p in order:
+        if groups and sum(size[x] for x in groups[-1]) + size[p] <= most:
+            groups[-1].append(p)
+        else:
+            groups.append([p])
+    columns = [df[c] for c in df.columns]
+    path, row = F.col("_metadata.file_path"), F.col("_metadata.row_index")
+    out = []
+    for g in groups:
+        part = df.where(path.isin(g))
+        if len(g) > 1:
+            part = part.select(*columns, path.alias("__file"), row.alias("__row")).coalesce(1).sortWithinPartitions(F.length("__file"), "__file", "__row").drop("__file", "__row")
+        out.append(part)
+    return out
+
+
+def shard(docs: DataFrame, target_bytes: int = TARGET_BYTES, fan_in: int = FAN_IN, root: str | None = None, position: bool = False) -> DataFrame:
+    """Append ``docs`` to a store, compact it and give each document's shard: (doc_id, shard_id, shard_rows, shard_level), on request with its position among all rows."""
     spark = docs.sparkSession
     store = ShardStore(spark, root or f"{scratch_root(spark)}/shards-{uuid.uuid4().hex[:12]}", target_bytes, fan_in)
     store.append(docs)
     store.compact()
     rows = store.read()
     if rows is None:
-        return docs.limit(0).selectExpr("doc_id", "0L as shard_id", "0L as shard_rows", "0 as shard_level")
-    return rows.selectExpr("doc_id", "_shard.id as shard_id", "_shard.rows as shard_rows", "_shard.level as shard_level")
+        return docs.limit(0).selectExpr("doc_id", "0L as shard_id", "0L as shard_rows", "0 as shard_level", *["0L as position"] * position)
+    return rows.selectExpr("doc_id", "_shard.id as shard_id", "_shard.rows as shard_rows", "_shard.level as shard_level", *["_shard.position as position"] * position)
 
 
 def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
