@@ -2,11 +2,16 @@
 
 A text's words and a template's are aligned on anchors: words that stand exactly once
 in both, kept in a longest increasing subsequence; each gap between anchors is aligned
-again in the same way, and runs of equal words next to an anchor are taken in. The
-share of the template's words that are aligned is its coverage. Alignment runs over the
-regions around a template's marks (words that the template cannot be reached without),
-each widened by the template's length, so a license anywhere in a long text is seen
-against its own surroundings.
+again in the same way, and runs of equal words next to an anchor are taken in; a gap
+without anchors, and a window in which anchors keep a longer alignment out, take a longest
+common subsequence. The share of the template's words that are aligned is its coverage.
+
+A license is found in any window of twice the template's words and one where coverage
+reaches the threshold, so it is seen against its own surroundings anywhere in a long text.
+Windows are looked at around seeds: the template's rarest words, at one place more than the
+threshold allows to be missing, so that no alignment that reaches it is without one. The
+size of a window's longest common subsequence, by operations on the bits of one number,
+tells first whether it does.
 
 Results by case: a null, empty or wordless text has no licenses; equal rows get equal
 results, one for each; an empty table gives no rows; other columns are ignored.
@@ -18,6 +23,8 @@ import re
 from bisect import bisect_left
 from collections import Counter
 from collections.abc import Iterator
+from dataclasses import dataclass
+from functools import cache
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -36,6 +43,8 @@ TEMPLATES = {
     "ISC": ("Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted", ("granted",)),
     "MPL-2.0": ("This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.", ("mozilla",)),
 }
+#: Words that many texts hold; seeds are taken from them last.
+COMMON = frozenset("a an and any are binary by charge code conditions copy distribute distribution documentation fee files following for form forms free general in is met modify notice of or person provided public purpose software source subject term terms that the this to use version with without work 0 2 3 4".split())
 WORD = re.compile(r"[^\W_]+")
 LEAST_COVERAGE = 0.9
 
@@ -64,6 +73,25 @@ def increasing(pairs: list[tuple[int, int]]) -> list[tuple[int, int]]:
     return out[::-1]
 
 
+def common(a: list[str], b: list[str]) -> list[tuple[int, int]]:
+    """Places of a longest common subsequence, by dynamic programming."""
+    best = [[0] * (len(b) + 1) for _ in range(len(a) + 1)]
+    for i in range(len(a) - 1, -1, -1):
+        row, below = best[i], best[i + 1]
+        for j in range(len(b) - 1, -1, -1):
+            row[j] = below[j + 1] + 1 if a[i] == b[j] else max(below[j], row[j + 1])
+    out, i, j = [], 0, 0
+    while i < len(a) and j < len(b):
+        if a[i] == b[j]:
+            out.append((i, j))
+            i, j = i + 1, j + 1
+        elif best[i + 1][j] >= best[i][j + 1]:
+            i += 1
+        else:
+            j += 1
+    return out
+
+
 def align(a: list[str], b: list[str]) -> list[tuple[int, int]]:
     """Aligned places of ``a`` and ``b``, both increasing."""
     out: list[tuple[int, int]] = []
@@ -82,6 +110,7 @@ def align(a: list[str], b: list[str]) -> list[tuple[int, int]]:
         where = {w: j for j, w in enumerate(b[b0:b1], b0) if once_b[w] == 1}
         anchors = increasing([(i, where[w]) for i, w in enumerate(a[a0:a1], a0) if once_a[w] == 1 and w in where])
         if not anchors:
+            out += [(a0 + i, b0 + j) for i, j in common(a[a0:a1], b[b0:b1])]
             continue
         out += anchors
         edges = [(a0 - 1, b0 - 1), *anchors, (a1, b1)]
@@ -89,31 +118,72 @@ def align(a: list[str], b: list[str]) -> list[tuple[int, int]]:
     return sorted(out)
 
 
+def _lcs_size(a: list[str], masks: dict[str, int], n: int) -> int:
+    """Length of a longest common subsequence of ``a`` and a template of ``n`` words, given by its places as bits for each word."""
+    full = (1 << n) - 1
+    v = full
+    for w in a:
+        if m := masks.get(w):
+            u = v & m
+            v = ((v + u) | (v - u)) & full
+    return n - v.bit_count()
+
+
+@dataclass(frozen=True)
+class Template:
+    words: list[str]
+    #: Aligned words from which coverage reaches the threshold.
+    need: int
+    #: The words at as many places, the rarest ones, as may be missing and one more: one of them is in every such alignment.
+    seeds: frozenset[str]
+    masks: dict[str, int]
+
+
+def prepared(template: str, marks: tuple[str, ...], least: float) -> Template:
+    t = words(template)
+    n = len(t)
+    need = max(1, next((k for k in range(n + 1) if k / n >= least), n + 1))
+    rare = sorted(range(n), key=lambda i: (t[i] not in marks, t[i] in COMMON, -len(t[i]), i))
+    masks: dict[str, int] = {}
+    for i, w in enumerate(t):
+        masks[w] = masks.get(w, 0) | 1 << i
+    return Template(t, need, frozenset(t[i] for i in rare[: n - need + 1]), masks)
+
+
 def scan(text: str | None, templates: dict = TEMPLATES, least: float = LEAST_COVERAGE) -> list[dict]:
     """Licenses of a text: name, coverage, first and last word of the aligned stretch."""
     low = (text or "").lower()
     out = []
     own: list[str] | None = None
     for name, (template, marks) in templates.items():
-        if not any(m in low for m in marks):
+        t = _prepared(template, marks, least)
+        if not any(m in low for m in t.seeds):
             continue
         own = words(low) if own is None else own
-        t = words(template)
-        regions: list[list[int]] = []
+        n = len(t.words)
+        starts: set[int] = set()
         for i, w in enumerate(own):
-            if w in marks:
-                s, e = max(0, i - len(t)), min(len(own), i + len(t) + 1)
-                if regions and s <= regions[-1][1]:
-                    regions[-1][1] = e
-                else:
-                    regions.append([s, e])
-        best = max(((len(p := align(t, own[s:e])) / len(t), -s, p) for s, e in regions), default=None)
-        if best and best[0] >= least:
-            s = -best[1]
-            out.append({"license": name, "coverage": best[0], "first_word": s + best[2][0][1], "last_word": s + best[2][-1][1]})
+            # any window that holds this seed lies within; a subsequence of it is one of the whole
+            if w in t.seeds and _lcs_size(own[max(0, i - 2 * n) : i + 2 * n + 1], t.masks, n) >= t.need:
+                starts.update(range(max(0, i - 2 * n), i + 1))
+        size = {s: _lcs_size(own[s : s + 2 * n + 1], t.masks, n) for s in sorted(starts)}
+        most = max(size.values(), default=0)
+        if most < t.need:
+            continue
+        # of the first windows that have the most, the last one: it starts with an aligned word
+        s = next(s for s in size if size[s] == most)
+        while size.get(s + 1) == most:
+            s += 1
+        p = align(t.words, own[s : s + 2 * n + 1])
+        if len(p) < most:  # the anchors kept a longer alignment out
+            p = common(t.words, own[s : s + 2 * n + 1])
+        out.append({"license": name, "coverage": most / n, "first_word": s + p[0][1], "last_word": s + p[-1][1]})
     return out
 
 
+_prepared = cache(prepared)
+
+
 FOUND = "doc_id long, licenses array<struct<license:string,coverage:double,first_word:int,last_word:int>>"
 _KIND = pa.list_(pa.struct([("license", pa.string()), ("coverage", pa.float64()), ("first_word", pa.int32()), ("last_word", pa.int32())]))
 
