@@ -4,8 +4,9 @@ One pattern finds emails, telephone, card and identity numbers, addresses, secre
 titled names. What an entity is, apart from its spelling, is its canonical form: equal
 forms get one surrogate wherever they stand. It is drawn from a keyed hash of the type
 and the form: digits for digits under the same punctuation, letters of the same script
-and case for letters, hexadecimal for hexadecimal, and for a name a title and given name
-of the same gender and a surname of the same script. A check over the whole corpus draws
+and case for letters, hexadecimal for hexadecimal. A name keeps its title; its given name
+(of the same gender) and its surname (of the same script) are drawn apart, so a surname has
+one surrogate in all forms of a person, and grow with each further draw. A check over the whole corpus draws
 anew, with another salt, for forms whose surrogates meet each other or a real entity.
 Built-in expressions only.
 
@@ -41,6 +42,8 @@ GIVEN = {
 SYLLABLES = {"latin": "ba den fo gar hel ki lor man nor pe ral sen to vik wal zer".split(), "cyrillic": "ба ден фо гар хел ки лор ман нор пе рал сен то вик вал зер".split()}
 ANY = "|".join(PATTERNS.values())
 ROUNDS = 12
+#: Two hexadecimal digits of a hash are drawn for each syllable of a name.
+MOST_SYLLABLES = 2 * ROUNDS
 
 
 def kind_of(surface: Column) -> Column:
@@ -59,6 +62,10 @@ def _number(hex64: Column, start: int, size: int = 7) -> Column:
     return F.conv(F.substring(hex64, start, size), 16, 10).cast("long")
 
 
+def _syllable(hex64: Column, i: Column) -> Column:
+    return F.conv(F.substring(hex64, i * 2 + 9, F.lit(2)), 16, 10).cast("long")
+
+
 def _pick(values: list[str], n: Column) -> Column:
     return F.get(F.array(*[F.lit(v) for v in values]), F.pmod(n, F.lit(len(values))).cast("int"))
 
@@ -81,12 +88,23 @@ def surrogate(kind: Column, form: Column, salt: Column, key: str) -> Column:
     keep = F.when(kind == "phone", F.length(form) - F.least(F.length(form), F.lit(10))).otherwise(F.lit(1))  # country code, card network
     number = F.concat(F.substring(form, F.lit(1), keep), F.substring(long_digits, F.lit(1), F.length(form) - keep))
     secret = F.when(form.rlike("^[0-9a-f]+$"), F.substring(F.concat(h, F.sha2(h, 256)), F.lit(1), F.length(form))).otherwise(F.concat(F.regexp_extract(form, "^(sk-|AKIA)", 1), F.substring(chars(F.regexp_replace(form, "^(sk-|AKIA)", "")), 1, 128)))
-    female, foreign = form.rlike(FEMALE_TITLES), form.rlike(r"\p{IsCyrillic}")
+    # from the second draw on, names grow by syllables, so draws never run out
+    word, foreign = F.substring_index(form, " ", -1), form.rlike(r"\p{IsCyrillic}")
+    syllables = lambda n: F.array_join(F.transform(F.sequence(F.lit(0), F.lit(MOST_SYLLABLES)), lambda i: F.when(i < n, F.when(word.rlike(r"\p{IsCyrillic}"), _pick(SYLLABLES["cyrillic"], _syllable(h, i))).otherwise(_pick(SYLLABLES["latin"], _syllable(h, i)))).otherwise("")), "")
+    surname = F.initcap(syllables(salt + 4))
+    female = form.startswith("f ")
     given = F.when(female & foreign, _pick(GIVEN["f", "cyrillic"], _number(h, 1))).when(foreign, _pick(GIVEN["m", "cyrillic"], _number(h, 1))).when(female, _pick(GIVEN["f", "latin"], _number(h, 1))).otherwise(_pick(GIVEN["m", "latin"], _number(h, 1)))
-    surname = F.initcap(F.when(foreign, F.concat(*[_pick(SYLLABLES["cyrillic"], _number(h, s)) for s in (10, 20, 30, 40)])).otherwise(F.concat(*[_pick(SYLLABLES["latin"], _number(h, s)) for s in (10, 20, 30, 40)])))
+    given = F.concat(F.substring(form, 1, 2), given, syllables(2 * salt))
+    return F.when(kind == "email", email).when(kind == "ip", ip).when(kind == "secret", secret).when(kind == "surname", surname).when(kind == "given", given).otherwise(number)
+
+
+def name_parts(form: Column) -> Column:
+    """A name's parts (kind, form) that have surrogates of their own: its surname, and its given name with the gender of its title."""
     parts = F.split(form, " ")
-    name = F.concat_ws(" ", F.get(parts, F.lit(0)), F.when(F.size(parts) > 2, given), surname)
-    return F.when(kind == "email", email).when(kind == "ip", ip).when(kind == "secret", secret).when(kind == "name", name).otherwise(number)
+    surname = F.struct(F.lit("surname").alias("kind"), F.element_at(parts, -1).alias("form"))
+    gender = F.when(form.rlike(FEMALE_TITLES), F.lit("f ")).otherwise(F.lit("m "))
+    given = F.struct(F.lit("given").alias("kind"), F.concat(gender, F.get(parts, F.lit(1))).alias("form"))
+    return F.when(F.size(parts) > 2, F.array(surname, given)).otherwise(F.array(surname))
 
 
 def rendered(kind: Column, surface: Column, replacement: Column) -> Column:
@@ -126,9 +144,19 @@ def with_surrogates(docs: DataFrame, key: str) -> DataFrame:
     places = scratch.put(some.select("doc_id", "h", F.posexplode("found").alias("pos", "surface")), "places")
     surfaces = places.select("surface").distinct().withColumn("kind", kind_of(F.col("surface"))).withColumn("form", canonical(F.col("kind"), F.col("surface")))
     surfaces = scratch.put(surfaces, "surfaces")
-    forms = scratch.put(surfaces.select("kind", "form").distinct(), "forms")
+    names, others = surfaces.where("kind = 'name'"), surfaces.where("kind <> 'name'")
+    parts = names.select(F.explode(name_parts(F.col("form"))).alias("_part")).select("_part.*")
+    forms = scratch.put(others.select("kind", "form").unionByName(parts).distinct(), "forms")
     chosen = distinct_surrogates(forms, key, scratch)
-    spelled = surfaces.join(chosen, ["kind", "form"]).select("surface", rendered(F.col("kind"), F.col("surface"), F.col("replacement")).alias("new"))
+    whole = others.join(chosen, ["kind", "form"])
+    # a name is put together from its parts, so a surname has one surrogate in all forms of a person
+    named = lambda kind, as_: chosen.where(F.col("kind") == kind).select(F.col("form").alias(f"_{as_}"), F.col("replacement").alias(as_))
+    part = name_parts(F.col("form"))
+    n = names.withColumns({"_last": F.get(part, F.lit(0))["form"], "_first": F.get(part, F.lit(1))["form"]})
+    n = n.join(named("surname", "last"), "_last").join(named("given", "first"), "_first", "left")
+    n = n.withColumn("replacement", F.concat_ws(" ", F.substring_index("form", " ", 1), F.substring("first", 3, 1000), "last"))
+    whole = whole.select("surface", "kind", "replacement").unionByName(n.select("surface", "kind", "replacement"))
+    spelled = whole.select("surface", rendered(F.col("kind"), F.col("surface"), F.col("replacement")).alias("new"))
     spelled = scratch.put(spelled, "spelled")
     # equal rows of one document have one list
     by_doc = places.distinct().join(spelled, "surface").groupBy("doc_id", "h").agg(F.sort_array(F.collect_list(F.struct("pos", "new"))).alias("new"))
