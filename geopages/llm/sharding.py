@@ -11,7 +11,8 @@ has taken the number. Readers see a whole version or the one before; a task or a
 driver lost in between leaves files that no manifest names, and ``vacuum`` removes them.
 
 Results by case: rows, nulls and columns pass through unchanged; an empty table makes a
-version with no shards; equal rows are all kept.
+version with no shards; equal rows are all kept; arrivals with other columns add them, null in rows without, and
+one in which a column has another type is refused.
 """
 
 from __future__ import annotations
@@ -26,6 +27,7 @@ from math import floor, log
 from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructField, StructType
 
 from ._common import scratch_root, table
 
@@ -46,6 +48,19 @@ class Shard:
     seq: int
 
 
+def _all_columns(a: StructType | None, b: StructType) -> StructType:
+    """Columns of both, those of ``a`` first, all nullable; raises where a name has two types."""
+    out = [StructField(f.name, f.dataType) for f in (a or StructType())]
+    types = {f.name.lower(): f.dataType for f in out}
+    for f in b:
+        have = types.get(f.name.lower())
+        if have is None:
+            out.append(StructField(f.name, f.dataType))
+        elif have.simpleString() != f.dataType.simpleString():
+            raise ValueError(f"column {f.name} is {have.simpleString()} in the store, {f.dataType.simpleString()} in the arrival")
+    return StructType(out)
+
+
 class ShardStore:
     def __init__(self, spark: SparkSession, root: str, target_bytes: int = TARGET_BYTES, fan_in: int = FAN_IN):
         self.spark, self.root, self.target, self.fan_in = spark, root.rstrip("/"), target_bytes, fan_in
@@ -65,24 +80,36 @@ class ShardStore:
         names = [s.getPath().getName() for s in self._list(f"{self.root}/_versions")]
         return max([0, *(int(n[1:-5]) for n in names if n.startswith("v") and n.endswith(".json"))])
 
-    def shards(self, version: int | None = None) -> list[Shard]:
+    def _manifest(self, version: int | None) -> dict:
         version = self.version() if version is None else version
         if not version:
-            return []
+            return {"shards": []}
         f = self._fs.open(self._path(f"{self.root}/_versions/v{version:010d}.json"))
         try:
             text = self._jvm.org.apache.commons.io.IOUtils.toString(f, "UTF-8")
         finally:
             f.close()
-        return [Shard(**x) for x in json.loads(text)["shards"]]
+        return json.loads(text)
 
-    def commit(self, shards: list[Shard], after: int) -> int:
-        """Make ``shards`` the version that follows ``after``; raises if another writer has done so."""
+    def shards(self, version: int | None = None) -> list[Shard]:
+        return [Shard(**x) for x in self._manifest(version)["shards"]]
+
+    def schema(self, version: int | None = None) -> StructType | None:
+        """Columns of all arrivals up to a version; None before the first."""
+        manifest = self._manifest(version)
+        if said := manifest.get("schema"):
+            return StructType.fromJson(said)
+        # a manifest without a schema: the columns of its shards
+        return reduce(_all_columns, (self.spark.read.parquet(s["path"]).schema for s in manifest["shards"]), None)
+
+    def commit(self, shards: list[Shard], after: int, schema: StructType | None = None) -> int:
+        """Make ``shards`` the version that follows ``after``; raises if another writer has done so. ``schema`` is that of ``after`` unless given."""
+        schema = schema or self.schema(after)
         target = f"{self.root}/_versions/v{after + 1:010d}.json"
         aside = f"{self.root}/_versions/_{uuid.uuid4().hex}"
         out = self._fs.create(self._path(aside), False)
         try:
-            out.write(bytearray(json.dumps({"version": after + 1, "shards": [asdict(s) for s in sorted(shards, key=lambda s: s.seq)]}).encode()))
+            out.write(bytearray(json.dumps({"version": after + 1, "schema": schema and schema.jsonValue(), "shards": [asdict(s) for s in sorted(shards, key=lambda s: s.seq)]}).encode()))
         finally:
             out.close()
         context = self._jvm.org.apache.hadoop.fs.FileContext.getFileContext(self._path(aside).toUri() if "://" in aside else self._fs.getUri(), self.spark._jsc.hadoopConfiguration())
@@ -109,11 +136,12 @@ class ShardStore:
     def append(self, df: DataFrame) -> int:
         now = self.version()
         have = self.shards(now)
+        schema = _all_columns(self.schema(now), df.schema)
         seq = max([-1, *(s.seq for s in have)]) + 1
         parts = in_file_order(df)
         written = [w for lo in range(0, len(parts), MERGES_PER_JOB) for w in self._written(reduce(DataFrame.union, parts[lo : lo + MERGES_PER_JOB]), 0)]
         new = [Shard(p, b, r, 0, seq + i) for i, (p, b, r) in enumerate(written)]
-        return self.commit([*have, *new], now)
+        return self.commit([*have, *new], now, schema)
 
     def tier(self, size: int) -> int:
         return floor(log(max(size, 1), self.fan_in))
@@ -138,10 +166,9 @@ class ShardStore:
     def compact(self) -> int:
         """Merge until no run is left to merge; each round is one version."""
         now = self.version()
-        schema = None
+        schema = self.schema(now)
         while runs := self.plan(self.shards(now)):
             shards = {s.path: s for s in self.shards(now)}
-            schema = schema or self.spark.read.parquet(next(iter(shards))).schema
             for lo in range(0, len(runs), MERGES_PER_JOB):
                 part = runs[lo : lo + MERGES_PER_JOB]
                 read = lambda s: self.spark.read.schema(schema).parquet(s.path)
@@ -175,7 +202,7 @@ class ShardStore:
             return None
         starts = accumulate((s.rows for s in shards), initial=0)
         names = self.spark.createDataFrame([(s.path.rsplit("/", 1)[-1], i, s.rows, s.bytes, s.level, n) for i, (s, n) in enumerate(zip(shards, starts, strict=False))], "__shard_file string, id long, rows long, bytes long, level int, __start long")
-        files = self.spark.read.parquet(*[s.path for s in shards])
+        files = self.spark.read.schema(self.schema()).parquet(*[s.path for s in shards])
         rows = files.select(*[files[c] for c in files.columns], F.col("_metadata.file_name").alias("__shard_file"), F.col("_metadata.row_index").alias("__row"))
         about = F.struct(*[names[c] for c in ("id", "rows", "bytes", "level")], (names["__start"] + rows["__row"]).alias("position")).alias("_shard")
         return rows.join(names, "__shard_file").select(*[rows[c] for c in files.columns], about)
