@@ -7,8 +7,11 @@ factor of ``fan_in``) first, until they reach the target size; a merge reads its
 order and writes one new file, without a shuffle. So the shards, one after another, hold the
 rows in the order of arrival. What the store holds is said by a manifest: each version
 is a new file, written aside and renamed into place, which fails if another writer
-has taken the number. Readers see a whole version or the one before; a task or a
-driver lost in between leaves files that no manifest names, and ``vacuum`` removes them.
+has taken the number; the loser applies its change to the newer version and tries again.
+Readers see a whole version or the one before. A task or a driver lost in between leaves
+files that no manifest names; ``vacuum`` removes them, but nothing that one of the last
+versions names (an older reader may still hold it) and nothing young enough to belong
+to an arrival that is not committed yet.
 
 Results by case: rows, nulls and columns pass through unchanged; an empty table makes a
 version with no shards; equal rows are all kept; arrivals with other columns add them, null in rows without, and
@@ -18,12 +21,16 @@ one in which a column has another type is refused.
 from __future__ import annotations
 
 import json
+import random
+import time
 import uuid
+from collections.abc import Callable
 from dataclasses import asdict, dataclass
 from functools import reduce
 from itertools import accumulate, groupby
 from math import floor, log
 
+from py4j.protocol import Py4JJavaError
 from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -32,6 +39,10 @@ from pyspark.sql.types import StructField, StructType
 from ._common import scratch_root, table
 
 TARGET_BYTES, FAN_IN = 128 << 20, 8
+#: ``vacuum`` keeps the files of this many newest versions, and files younger than this many seconds.
+KEEP_VERSIONS, GRACE_SECONDS = 10, 24 * 3600
+#: Times that a change is tried against versions of other writers.
+ATTEMPTS = 50
 #: Merges that one Spark job runs side by side.
 MERGES_PER_JOB = 64
 #: Else the merges of one job, each of a single partition, would end up in one file.
@@ -61,6 +72,10 @@ def _all_columns(a: StructType | None, b: StructType) -> StructType:
     return StructType(out)
 
 
+class VersionTaken(RuntimeError):
+    """Another writer has committed the version."""
+
+
 class ShardStore:
     def __init__(self, spark: SparkSession, root: str, target_bytes: int = TARGET_BYTES, fan_in: int = FAN_IN):
         self.spark, self.root, self.target, self.fan_in = spark, root.rstrip("/"), target_bytes, fan_in
@@ -103,7 +118,7 @@ class ShardStore:
         return reduce(_all_columns, (self.spark.read.parquet(s["path"]).schema for s in manifest["shards"]), None)
 
     def commit(self, shards: list[Shard], after: int, schema: StructType | None = None) -> int:
-        """Make ``shards`` the version that follows ``after``; raises if another writer has done so. ``schema`` is that of ``after`` unless given."""
+        """Make ``shards`` the version that follows ``after``; raises VersionTaken if another writer has done so. ``schema`` is that of ``after`` unless given."""
         schema = schema or self.schema(after)
         target = f"{self.root}/_versions/v{after + 1:010d}.json"
         aside = f"{self.root}/_versions/_{uuid.uuid4().hex}"
@@ -114,9 +129,26 @@ class ShardStore:
             out.close()
         context = self._jvm.org.apache.hadoop.fs.FileContext.getFileContext(self._path(aside).toUri() if "://" in aside else self._fs.getUri(), self.spark._jsc.hadoopConfiguration())
         options = self.spark.sparkContext._gateway.new_array(getattr(self._jvm, "org.apache.hadoop.fs.Options$Rename"), 0)
-        context.rename(self._path(aside), self._path(target), options)  # never over a file that is there
+        try:
+            context.rename(self._path(aside), self._path(target), options)  # never over a file that is there
+        except Py4JJavaError as e:
+            self._fs.delete(self._path(aside), False)
+            if self._fs.exists(self._path(target)):
+                raise VersionTaken(f"version {after + 1} exists") from e
+            raise
         return after + 1
 
+    def _change(self, change: Callable[[int, list[Shard]], tuple[list[Shard], StructType | None]]) -> int:
+        """Commit what ``change`` makes of the newest version and its shards, again and again if other writers come first."""
+        for _ in range(ATTEMPTS):
+            now = self.version()
+            shards, schema = change(now, self.shards(now))
+            try:
+                return self.commit(shards, now, schema)
+            except VersionTaken:
+                time.sleep(random.random() / 10)
+        raise VersionTaken(f"{ATTEMPTS} attempts lost against other writers")
+
     # data
 
     def _written(self, df: DataFrame, level: int) -> list[tuple[str, int, int]]:
@@ -134,14 +166,17 @@ class ShardStore:
         return [(*files[n], rows[n]) for n in sorted(files) if rows.get(n)]
 
     def append(self, df: DataFrame) -> int:
-        now = self.version()
-        have = self.shards(now)
-        schema = _all_columns(self.schema(now), df.schema)
-        seq = max([-1, *(s.seq for s in have)]) + 1
+        """Add ``df``'s rows behind all others; a version is made even of an empty table."""
+        _all_columns(self.schema(), df.schema)  # refuses before anything is written
         parts = in_file_order(df)
         written = [w for lo in range(0, len(parts), MERGES_PER_JOB) for w in self._written(reduce(DataFrame.union, parts[lo : lo + MERGES_PER_JOB]), 0)]
-        new = [Shard(p, b, r, 0, seq + i) for i, (p, b, r) in enumerate(written)]
-        return self.commit([*have, *new], now, schema)
+
+        def change(now: int, have: list[Shard]):
+            seq = max([-1, *(s.seq for s in have)]) + 1
+            new = [Shard(p, b, r, 0, seq + i) for i, (p, b, r) in enumerate(written)]
+            return [*have, *new], _all_columns(self.schema(now), df.schema)
+
+        return self._change(change)
 
     def tier(self, size: int) -> int:
         return floor(log(max(size, 1), self.fan_in))
@@ -163,46 +198,64 @@ class ShardStore:
             out.append(run)
         return [r for r in out if len(r) > 1]
 
-    def compact(self) -> int:
-        """Merge until no run is left to merge; each round is one version."""
+    def compact(self, sole: bool = False) -> int:
+        """Merge until no run is left to merge; each round is one version. ``sole``: nobody else reads or writes the store, so merged files go at once."""
         now = self.version()
-        schema = self.schema(now)
         while runs := self.plan(self.shards(now)):
-            shards = {s.path: s for s in self.shards(now)}
+            schema = self.schema(now)
+            read = lambda s: self.spark.read.schema(schema).parquet(s.path)  # noqa: B023, E731
+            done: list[tuple[list[Shard], Shard]] = []
             for lo in range(0, len(runs), MERGES_PER_JOB):
                 part = runs[lo : lo + MERGES_PER_JOB]
-                read = lambda s: self.spark.read.schema(schema).parquet(s.path)
                 merged = [reduce(DataFrame.union, map(read, run)).coalesce(1) for run in part]
                 level = max(s.level for run in part for s in run) + 1
                 for run, (p, b, r) in zip(part, self._written(reduce(DataFrame.union, merged), level), strict=True):
                     assert r == sum(s.rows for s in run), "a merge must keep all rows"
-                    for s in run:
-                        del shards[s.path]
-                    shards[p] = Shard(p, b, r, level, run[0].seq)
-            now = self.commit(list(shards.values()), now)
-            self.vacuum()
+                    done.append((run, Shard(p, b, r, level, run[0].seq)))
+
+            def change(now: int, have: list[Shard], done=done):
+                shards = {s.path: s for s in have}
+                for run, new in done:
+                    if all(s.path in shards for s in run):  # else another compaction has taken one of them
+                        for s in run:
+                            del shards[s.path]
+                        shards[new.path] = new
+                return list(shards.values()), None
+
+            now = self._change(change)
+            if sole:
+                self.vacuum(1, 0)
         return now
 
-    def vacuum(self) -> None:
-        """Remove data that the newest version doesn't name."""
-        live = {self._path(s.path).getName() for s in self.shards()}
+    def vacuum(self, keep_versions: int = KEEP_VERSIONS, grace_seconds: float = GRACE_SECONDS) -> None:
+        """Remove data that none of the last ``keep_versions`` versions names and that is older than ``grace_seconds``.
+
+        An arrival that takes longer than that from its first file to its commit needs a longer grace.
+        """
+        newest = self.version()
+        kept = range(max(1, newest - keep_versions + 1), newest + 1)
+        live = {self._path(s.path).getName() for v in kept for s in self.shards(v)}
+        before = time.time() * 1000 - grace_seconds * 1000
         for d in self._list(f"{self.root}/data"):
             files = self._list(d.getPath().toString())
-            dead = [f for f in files if f.getPath().getName() not in live and f.getPath().getName().endswith(".parquet")]
-            if len(dead) == sum(f.getPath().getName().endswith(".parquet") for f in files):
+            # what isn't a shard (a job's own marks) goes with the last shard of its directory
+            shards = [f for f in files if f.getPath().getName().endswith(".parquet")]
+            dead = [f for f in shards if f.getPath().getName() not in live and f.getModificationTime() <= before]
+            if len(dead) == len(shards) and all(f.getModificationTime() <= before for f in [d, *files]):
                 self._fs.delete(d.getPath(), True)
             else:
                 for f in dead:
                     self._fs.delete(f.getPath(), False)
 
-    def read(self) -> DataFrame | None:
-        """Rows of the newest version with ``_shard``: struct of id (place in the manifest), rows, bytes, level and position (place among all rows, shard after shard); None if it has no shards."""
-        shards = self.shards()
+    def read(self, version: int | None = None) -> DataFrame | None:
+        """Rows of a version, the newest unless given, with ``_shard``: struct of id (place in the manifest), rows, bytes, level and position (place among all rows, shard after shard); None if it has no shards."""
+        version = self.version() if version is None else version
+        shards = self.shards(version)
         if not shards:
             return None
         starts = accumulate((s.rows for s in shards), initial=0)
         names = self.spark.createDataFrame([(s.path.rsplit("/", 1)[-1], i, s.rows, s.bytes, s.level, n) for i, (s, n) in enumerate(zip(shards, starts, strict=False))], "__shard_file string, id long, rows long, bytes long, level int, __start long")
-        files = self.spark.read.schema(self.schema()).parquet(*[s.path for s in shards])
+        files = self.spark.read.schema(self.schema(version)).parquet(*[s.path for s in shards])
         rows = files.select(*[files[c] for c in files.columns], F.col("_metadata.file_name").alias("__shard_file"), F.col("_metadata.row_index").alias("__row"))
         about = F.struct(*[names[c] for c in ("id", "rows", "bytes", "level")], (names["__start"] + rows["__row"]).alias("position")).alias("_shard")
         return rows.join(names, "__shard_file").select(*[rows[c] for c in files.columns], about)
@@ -255,7 +308,7 @@ def shard(docs: DataFrame, target_bytes: int = TARGET_BYTES, fan_in: int = FAN_I
     spark = docs.sparkSession
     store = ShardStore(spark, root or f"{scratch_root(spark)}/shards-{uuid.uuid4().hex[:12]}", target_bytes, fan_in)
     store.append(docs)
-    store.compact()
+    store.compact(sole=root is None)
     rows = store.read()
     if rows is None:
         return docs.limit(0).selectExpr("doc_id", "0L as shard_id", "0L as shard_rows", "0 as shard_level", *["0L as position"] * position)

@@ -41,7 +41,7 @@ def test_store_versions_and_merges(spark, tmp_path):
         store.append(df.where(f"doc_id % 3 = {i}").repartition(8))
     before = store.shards()
     assert store.version() == 3 and len(before) == 24 and sum(s.rows for s in before) == 20_000
-    store.compact()
+    store.compact(sole=True)
     after = store.shards()
     assert sum(s.rows for s in after) == 20_000 and len(after) < 24 and not store.plan(after)
     got = store.read()
