@@ -11,7 +11,7 @@ new phase shares the slots among the others; no document is dropped or repeated.
 
 Results by case: a null source, and one without a target, belong to the rest, which
 has a weight of its own; equal rows are placed one after another; an empty table gives
-no rows; other columns pass through ``mixed`` as they are.
+no rows; other columns, whatever their names, pass through as they are.
 """
 
 from __future__ import annotations
@@ -28,8 +28,10 @@ from ._common import table
 TARGETS = {f"src{i}": 40 - 2 * i for i in range(20)}
 REST, REST_WEIGHT = "", 4
 BLOCK = 64
-#: Rows that one task numbers at once.
-ROWS_PER_TASK = 20_000
+#: Rows that one task numbers at once, and the least number of buckets of a source as a power of two.
+ROWS_PER_TASK, LEAST_BUCKETS = 20_000, 8
+#: Counts of buckets are broadcast up to this many rows, else joined by a shuffle; the result is the same.
+BROADCAST_ROWS = 200_000
 LONGEST_PERIOD = 1 << 16
 
 
@@ -71,27 +73,28 @@ def phases(blocks: dict[str, int], weights: dict[str, int]) -> list[dict]:
     return out
 
 
-def _source(targets: dict[str, int]) -> Column:
-    s = F.col("source").cast("string")
+def _source(docs: DataFrame, targets: dict[str, int]) -> Column:
+    s = docs["source"].cast("string")
     return F.when(s.isin(list(targets)), s).otherwise(F.lit(REST))
 
 
-def schedule(docs: DataFrame, targets: dict[str, int] = TARGETS, rest_weight: int = REST_WEIGHT, block: int = BLOCK, seed: int = 17) -> DataFrame:
-    """``docs`` with one more column, ``_mix``: struct of block, release, deadline, slot and position (the order to read in)."""
+def _scheduled(docs: DataFrame, targets: dict[str, int], rest_weight: int, block: int, seed: int = 17) -> DataFrame:
+    """(_row: struct of the columns of ``docs``, _mix)."""
     weights = {**targets, REST: rest_weight}
     if sum(weights.values()) > LONGEST_PERIOD or any(w != int(w) or w < 1 for w in weights.values()):
         raise ValueError(f"weights must be whole numbers from 1 with a sum of up to {LONGEST_PERIOD}")
     n_rows = docs.count()
-    buckets = 1 << max(4, ceil(log2(n_rows / ROWS_PER_TASK + 1)))
+    buckets = 1 << max(LEAST_BUCKETS, ceil(log2(n_rows / ROWS_PER_TASK + 1)))
     order = F.xxhash64(F.lit(seed), docs["doc_id"])
-    d = docs.select(F.struct(*docs.columns).alias("_row"), _source(targets).alias("_src"), order.alias("_h")).withColumn("_b", F.pmod("_h", F.lit(buckets)).cast("int"))
+    row = F.struct(*[docs["`" + c.replace("`", "``") + "`"] for c in docs.columns])
+    d = docs.select(row.alias("_row"), _source(docs, targets).alias("_src"), order.alias("_h")).withColumn("_b", F.pmod("_h", F.lit(buckets)).cast("int"))
     # a source, hot or not, is numbered in buckets; what stands before a bucket comes from the counts
-    sizes = docs.select(_source(targets).alias("_src"), F.pmod(order, F.lit(buckets)).cast("int").alias("_b")).groupBy("_src", "_b").agg(F.count("*").alias("_n"))
+    sizes = docs.select(_source(docs, targets).alias("_src"), F.pmod(order, F.lit(buckets)).cast("int").alias("_b")).groupBy("_src", "_b").agg(F.count("*").alias("_n"))
     before = sizes.select("_src", "_b", (F.sum("_n").over(W.partitionBy("_src").orderBy("_b")) - F.col("_n")).alias("_before"))
     blocks = {r["_src"]: -(-r["n"] // block) for r in sizes.groupBy("_src").agg(F.sum("_n").alias("n")).collect()}  # a row for each target at most
     plan = docs.sparkSession.createDataFrame([tuple(p.values()) for p in phases(blocks, weights)], "_src string, start long, first long, n long, share long, total long, slots array<long>")
     within = W.partitionBy("_src", "_b").orderBy("_h", F.col("_row.doc_id"), F.xxhash64("_row"))
-    d = d.withColumn("_i", F.row_number().over(within) - 1).join(F.broadcast(before) if buckets * len(weights) <= 200_000 else before, ["_src", "_b"])
+    d = d.withColumn("_i", F.row_number().over(within) - 1).join(F.broadcast(before) if buckets * len(weights) <= BROADCAST_ROWS else before, ["_src", "_b"])
     d = d.withColumn("_i", F.col("_i") + F.col("_before")).withColumn("_k", F.floor(F.col("_i") / block))
     d = d.join(F.broadcast(plan), (d["_src"] == plan["_src"]) & (F.col("_k") >= F.col("first")) & (F.col("_k") < F.col("first") + F.col("n")))
     k = F.col("_k") - F.col("first")
@@ -102,12 +105,20 @@ def schedule(docs: DataFrame, targets: dict[str, int] = TARGETS, rest_weight: in
         (F.col("start") + F.ceil((k + 1) * F.col("total") / F.col("share"))).alias("deadline"),
         slot.alias("slot"), (slot * block + F.pmod("_i", F.lit(block))).alias("position"),
     )
-    return d.select("_row.*", mix.alias("_mix"))
+    return d.select("_row", mix.alias("_mix"))
+
+
+def schedule(docs: DataFrame, targets: dict[str, int] = TARGETS, rest_weight: int = REST_WEIGHT, block: int = BLOCK, seed: int = 17) -> DataFrame:
+    """``docs`` with one more column, ``_mix`` (with more underscores if that is taken): struct of block, release, deadline, slot and position (the order to read in)."""
+    name = "_mix"
+    while name in {c.lower() for c in docs.columns}:
+        name = f"_{name}"
+    return _scheduled(docs, targets, rest_weight, block, seed).select("_row.*", F.col("_mix").alias(name))
 
 
 def mixed(docs: DataFrame, targets: dict[str, int] = TARGETS, rest_weight: int = REST_WEIGHT, block: int = BLOCK) -> DataFrame:
     """``docs`` in the order of the schedule, over range partitions of it; columns stay as they are."""
-    return schedule(docs, targets, rest_weight, block).orderBy("_mix.position").drop("_mix")
+    return _scheduled(docs, targets, rest_weight, block).orderBy("_mix.position").select("_row.*")
 
 
 def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
