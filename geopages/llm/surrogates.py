@@ -12,7 +12,7 @@ Built-in expressions only.
 
 Results by case: a null text stays null; a text without entities stays as it is; equal
 rows get equal results, one for each; an empty table gives no rows; other columns are
-ignored.
+ignored; an entity of any length is replaced whole, at its own length.
 """
 
 from __future__ import annotations
@@ -24,12 +24,12 @@ from ._common import Scratch, table
 
 # Patterns by type, the more specific first; titles and given names by gender.
 PATTERNS = {
-    "email": r"[\p{L}\p{N}._%+-]+@[\p{L}\p{N}-]+(?:\.[\p{L}\p{N}-]+)*\.\p{L}{2,}",
+    "email": r"(?<![\p{L}\p{N}._%+-])[\p{L}\p{N}._%+-]++@[\p{L}\p{N}-]+(?:\.[\p{L}\p{N}-]+)*\.\p{L}{2,}",
     "ip": r"(?<![\d.])(?:\d{1,3}\.){3}\d{1,3}(?![\d]|\.\d)",
     "phone": r"\+\d{1,3}[ .-]?\(?\d{2,4}\)?[ .-]?\d{3,4}[ .-]?\d{4}(?!\d)",
     "identity": r"(?<![\d-])\d{3}-\d{2}-\d{4}(?![\d-])",
     "card": r"(?<!\d)\d{4}(?:[ -]?\d{4}){2}[ -]?\d{1,7}(?!\d)",
-    "secret": r"(?<![0-9A-Za-z])(?:[0-9a-f]{32,128}|sk-[0-9A-Za-z]{20,}|AKIA[0-9A-Z]{16})(?![0-9A-Za-z])",
+    "secret": r"(?<![0-9A-Za-z])(?:[0-9a-f]{32,}+|sk-[0-9A-Za-z]{20,}|AKIA[0-9A-Z]{16})(?![0-9A-Za-z])",
     "name": r"(?<!\p{L})(?:Mrs|Mr|Ms|Herr|Frau|Mme|Sra|Sr|Г-жа|Г-н)\.? \p{Lu}\p{Ll}+(?: (?!(?:Mrs|Mr|Ms|Herr|Frau|Mme|Sra|Sr)(?!\p{L}))\p{Lu}\p{Ll}+)?",
 }
 FEMALE_TITLES = "^(?:Mrs|Ms|Frau|Mme|Sra|Г-жа)"
@@ -87,7 +87,8 @@ def surrogate(kind: Column, form: Column, salt: Column, key: str) -> Column:
     long_digits = F.rpad(digits, 128, "7")
     keep = F.when(kind == "phone", F.length(form) - F.least(F.length(form), F.lit(10))).otherwise(F.lit(1))  # country code, card network
     number = F.concat(F.substring(form, F.lit(1), keep), F.substring(long_digits, F.lit(1), F.length(form) - keep))
-    secret = F.when(form.rlike("^[0-9a-f]+$"), F.substring(F.concat(h, F.sha2(h, 256)), F.lit(1), F.length(form))).otherwise(F.concat(F.regexp_extract(form, "^(sk-|AKIA)", 1), F.substring(chars(F.regexp_replace(form, "^(sk-|AKIA)", "")), 1, 128)))
+    digests = F.array_join(F.transform(F.sequence(F.lit(0), F.floor(F.length(form) / 64).cast("int")), lambda i: F.sha2(F.concat(h, i.cast("string")), 256)), "")
+    secret = F.when(form.rlike("^[0-9a-f]+$"), F.substring(digests, F.lit(1), F.length(form))).otherwise(F.concat(F.regexp_extract(form, "^(sk-|AKIA)", 1), chars(F.regexp_replace(form, "^(sk-|AKIA)", ""))))
     # from the second draw on, names grow by syllables, so draws never run out
     word, foreign = F.substring_index(form, " ", -1), form.rlike(r"\p{IsCyrillic}")
     syllables = lambda n: F.array_join(F.transform(F.sequence(F.lit(0), F.lit(MOST_SYLLABLES)), lambda i: F.when(i < n, F.when(word.rlike(r"\p{IsCyrillic}"), _pick(SYLLABLES["cyrillic"], _syllable(h, i))).otherwise(_pick(SYLLABLES["latin"], _syllable(h, i)))).otherwise("")), "")
@@ -134,14 +135,29 @@ def distinct_surrogates(forms: DataFrame, key: str, scratch: Scratch) -> DataFra
     raise RuntimeError(f"surrogates still collide after {ROUNDS} draws")
 
 
+def _cut(text: Column) -> Column:
+    """A text as array: what stands between entities at even places, entities at odd ones.
+
+    The pattern runs once and puts marks around entities, at which the text is cut. A text that
+    holds such marks itself (noncharacters, which interchanged texts don't use) is matched twice instead.
+    """
+    marked = F.split(F.regexp_replace(text, f"(?:{ANY})", f"{_OPEN}$0{_CLOSE}"), f"[{_OPEN}{_CLOSE}]")
+    found = F.regexp_extract_all(text, F.lit(f"({ANY})"), F.lit(1))
+    twice = F.flatten(F.transform(F.arrays_zip(F.split(text, ANY).alias("a"), found.alias("b")), lambda x: F.when(x["b"].isNull(), F.array(x["a"])).otherwise(F.array(x["a"], x["b"]))))
+    return F.when(text.contains(_OPEN) | text.contains(_CLOSE), twice).otherwise(marked)
+
+
+# Two of Unicode's noncharacters.
+_OPEN, _CLOSE = "\ufdd0", "\ufdd1"
+
+
 def with_surrogates(docs: DataFrame, key: str) -> DataFrame:
     """(doc_id, text, n_entities): every entity replaced."""
     scratch = Scratch(docs.sparkSession, "surrogates")
     d = docs.select("doc_id", F.col("text").cast("string").alias("text"))
-    found = F.regexp_extract_all("text", F.lit(ANY), F.lit(0))
-    d = d.withColumn("found", found).withColumn("h", F.xxhash64("text"))
-    some, none = d.where("size(found) > 0"), d.where("found is null or size(found) = 0")
-    places = scratch.put(some.select("doc_id", "h", F.posexplode("found").alias("pos", "surface")), "places")
+    cut = scratch.put(d.select("doc_id", F.xxhash64("text").alias("h"), _cut(F.col("text")).alias("cut")), "cut")
+    some, none = cut.where("size(cut) > 1"), cut.where("cut is null or size(cut) <= 1")
+    places = scratch.put(some.select("doc_id", "h", F.posexplode("cut").alias("pos", "surface")).where("pos % 2 = 1"), "places")
     surfaces = places.select("surface").distinct().withColumn("kind", kind_of(F.col("surface"))).withColumn("form", canonical(F.col("kind"), F.col("surface")))
     surfaces = scratch.put(surfaces, "surfaces")
     names, others = surfaces.where("kind = 'name'"), surfaces.where("kind <> 'name'")
@@ -159,13 +175,12 @@ def with_surrogates(docs: DataFrame, key: str) -> DataFrame:
     spelled = whole.select("surface", rendered(F.col("kind"), F.col("surface"), F.col("replacement")).alias("new"))
     spelled = scratch.put(spelled, "spelled")
     # equal rows of one document have one list
-    by_doc = places.distinct().join(spelled, "surface").groupBy("doc_id", "h").agg(F.sort_array(F.collect_list(F.struct("pos", "new"))).alias("new"))
+    by_doc = places.distinct().join(spelled, "surface").groupBy("doc_id", "h").agg(F.transform(F.sort_array(F.collect_list(F.struct("pos", "new"))), lambda x: x["new"]).alias("new"))
     by_doc = scratch.put(by_doc, "by_doc").withColumnsRenamed({"doc_id": "_id", "h": "_h"})
     joined = some.join(by_doc, some["doc_id"].eqNullSafe(by_doc["_id"]) & (some["h"] == by_doc["_h"]))
-    pieces = F.split("text", ANY)
-    between = F.concat(F.col("new.new"), F.array(F.lit("")))
-    changed = joined.select("doc_id", F.array_join(F.zip_with(pieces, between, lambda a, b: F.concat(a, b)), "").alias("text"), F.size("new").cast("long").alias("n_entities"))
-    return changed.unionByName(none.select("doc_id", "text", F.lit(0).cast("long").alias("n_entities")))
+    text = F.array_join(F.transform("cut", lambda t, i: F.when(i % 2 == 1, F.get("new", F.floor(i / 2).cast("int"))).otherwise(t)), "")
+    changed = joined.select("doc_id", text.alias("text"), F.size("new").cast("long").alias("n_entities"))
+    return changed.unionByName(none.select("doc_id", F.get("cut", F.lit(0)).alias("text"), F.lit(0).cast("long").alias("n_entities")))
 
 
 def op7_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
