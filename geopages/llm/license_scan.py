@@ -11,7 +11,9 @@ reaches the threshold, so it is seen against its own surroundings anywhere in a
 Windows are looked at around seeds: the template's rarest words, at one place more than the
 threshold allows to be missing, so that no alignment that reaches it is without one. The
 size of a window's longest common subsequence, by operations on the bits of one number,
-tells first whether it does.
+tells first whether it does. Of all windows of a license the fullest is taken first; its
+stretch of words is taken out and the rest is looked at again, so every place comes out.
+Templates are notices and, beside them, full texts of short licenses.
 
 Results by case: a null, empty or wordless text has no licenses; equal rows get equal
 results, one for each; an empty table gives no rows; other columns are ignored.
@@ -25,11 +27,13 @@ from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import cache
+from heapq import heapify, heappop, heappush
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from ._common import table
+from .license_texts import FULL_TEXTS
 
 # Notices by which works name their license, and the words that mark them.
 TEMPLATES = {
@@ -45,6 +49,7 @@ TEMPLATES = {
 }
 #: Words that many texts hold; seeds are taken from them last.
 COMMON = frozenset("a an and any are binary by charge code conditions copy distribute distribution documentation fee files following for form forms free general in is met modify notice of or person provided public purpose software source subject term terms that the this to use version with without work 0 2 3 4".split())
+ALL_TEMPLATES = TEMPLATES | FULL_TEXTS
 WORD = re.compile(r"[^\W_]+")
 LEAST_COVERAGE = 0.9
 
@@ -150,34 +155,49 @@ def prepared(template: str, marks: tuple[str, ...], least: float) -> Template:
     return Template(t, need, frozenset(t[i] for i in rare[: n - need + 1]), masks)
 
 
-def scan(text: str | None, templates: dict = TEMPLATES, least: float = LEAST_COVERAGE) -> list[dict]:
-    """Licenses of a text: name, coverage, first and last word of the aligned stretch."""
-    low = (text or "").lower()
-    out = []
-    own: list[str] | None = None
-    for name, (template, marks) in templates.items():
-        t = _prepared(template, marks, least)
-        if not any(m in low for m in t.seeds):
-            continue
-        own = words(low) if own is None else own
-        n = len(t.words)
-        starts: set[int] = set()
-        for i, w in enumerate(own):
-            # any window that holds this seed lies within; a subsequence of it is one of the whole
-            if w in t.seeds and _lcs_size(own[max(0, i - 2 * n) : i + 2 * n + 1], t.masks, n) >= t.need:
-                starts.update(range(max(0, i - 2 * n), i + 1))
-        size = {s: _lcs_size(own[s : s + 2 * n + 1], t.masks, n) for s in sorted(starts)}
-        most = max(size.values(), default=0)
-        if most < t.need:
+def _places(own: list[str], t: Template) -> Iterator[tuple[int, int, int]]:
+    """First word, last word and aligned words of every place of a template, from the fullest; places don't overlap."""
+    own, n = list(own), len(t.words)
+    starts: set[int] = set()
+    for i, w in enumerate(own):
+        # any window that holds this seed lies within; a subsequence of it is one of the whole
+        if w in t.seeds and _lcs_size(own[max(0, i - 2 * n) : i + 2 * n + 1], t.masks, n) >= t.need:
+            starts.update(range(max(0, i - 2 * n), i + 1))
+    size = {s: _lcs_size(own[s : s + 2 * n + 1], t.masks, n) for s in sorted(starts)}
+    queue = [(-k, s) for s, k in size.items() if k >= t.need]
+    heapify(queue)
+    while queue:
+        most, s = heappop(queue)
+        most = -most
+        if size[s] != most:
             continue
         # of the first windows that have the most, the last one: it starts with an aligned word
-        s = next(s for s in size if size[s] == most)
         while size.get(s + 1) == most:
             s += 1
         p = align(t.words, own[s : s + 2 * n + 1])
         if len(p) < most:  # the anchors kept a longer alignment out
             p = common(t.words, own[s : s + 2 * n + 1])
-        out.append({"license": name, "coverage": most / n, "first_word": s + p[0][1], "last_word": s + p[-1][1]})
+        first, last = s + p[0][1], s + p[-1][1]
+        yield first, last, most
+        own[first : last + 1] = [""] * (last + 1 - first)  # in no template
+        for x in range(first - 2 * n, last + 1):
+            if x in size:
+                size[x] = _lcs_size(own[x : x + 2 * n + 1], t.masks, n)
+                if size[x] >= t.need:
+                    heappush(queue, (-size[x], x))
+
+
+def scan(text: str | None, templates: dict | None = None, least: float = LEAST_COVERAGE) -> list[dict]:
+    """Licenses of a text, by template, the fullest place first: name, coverage, first and last word of the aligned stretch."""
+    low = (text or "").lower()
+    out = []
+    own: list[str] | None = None
+    for name, (template, marks) in (templates or ALL_TEMPLATES).items():
+        t = _prepared(template, marks, least)
+        if not any(m in low for m in t.seeds):
+            continue
+        own = words(low) if own is None else own
+        out += [{"license": name, "coverage": most / len(t.words), "first_word": i, "last_word": j} for i, j, most in _places(own, t)]
     return out
 
 
@@ -198,5 +218,8 @@ def find_licenses(docs: DataFrame) -> DataFrame:
 
 
 def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Licenses of each document in the order of the templates, the greatest coverage of each, and the number of places."""
     out = find_licenses(table(spark, sf_dir, "documents"))
-    return out.selectExpr("doc_id", "size(licenses) as n_licenses", "licenses.license as licenses", "transform(licenses, x -> cast(round(x.coverage * 1000) as int)) as coverage_permille")
+    names = "array_distinct(licenses.license)"
+    best = f"transform({names}, n -> cast(round(array_max(transform(filter(licenses, x -> x.license = n), x -> x.coverage)) * 1000) as int))"
+    return out.selectExpr("doc_id", f"size({names}) as n_licenses", f"{names} as licenses", f"{best} as coverage_permille", "size(licenses) as n_places")

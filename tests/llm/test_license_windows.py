@@ -3,6 +3,7 @@
 import random
 
 from geopages.llm.license_scan import LEAST_COVERAGE, TEMPLATES, scan, words
+from geopages.llm.license_texts import FULL_TEXTS
 
 PROSE = "the quiet harbour of the old town kept its lamps burning and any ship that came in was met by a person with a copy".split()
 
@@ -18,7 +19,10 @@ def _lcs(a, b):
 
 
 def _found(text):
-    return {x["license"]: x["coverage"] for x in scan(text)}
+    out = {}
+    for x in scan(text):
+        out.setdefault(x["license"], x["coverage"])
+    return out
 
 
 def test_notices_without_their_first_mark():
@@ -53,3 +57,30 @@ def test_altered_notices_against_plain_lcs():
         assert got == (want if want >= LEAST_COVERAGE else 0), (name, got, want, text)
         hits += got > 0
     assert hits > 100
+
+
+def test_every_place_of_a_license():
+    mit, gpl = TEMPLATES["MIT"][0], TEMPLATES["GPL-3.0"][0]
+    text = " ".join([*PROSE, mit, *PROSE, gpl, *PROSE, mit, mit, "released under some license", *PROSE])
+    got = scan(text)
+    assert [x["license"] for x in got] == ["MIT"] * 3 + ["GPL-3.0"]
+    spans = sorted((x["first_word"], x["last_word"]) for x in got)
+    assert all(a[1] < b[0] for a, b in zip(spans, spans[1:])) and all(x["coverage"] == 1 for x in got)
+    w = words(text)
+    assert all(w[x["first_word"] : x["last_word"] + 1] == words(TEMPLATES[x["license"]][0]) for x in got)
+
+
+def test_full_texts():
+    for name, (t, _) in FULL_TEXTS.items():
+        w = words(t)
+        cut = " ".join([*PROSE, *w[: len(w) // 2], "changed", *w[len(w) // 2 + 4 :], *PROSE])
+        got = _found(cut)
+        assert got[name] == (len(w) - 4) / len(w), name
+        assert name not in _found(" ".join(w[: len(w) // 2]))
+    # a text and the shorter one within it are both told
+    assert {"BSD-2-Clause-full", "BSD-3-Clause-full", "BSD-3-Clause"} <= set(_found(FULL_TEXTS["BSD-3-Clause-full"][0]))
+
+
+def test_a_very_long_text_with_repeats():
+    text = " ".join(PROSE * 3000 + [TEMPLATES["ISC"][0]] * 5 + PROSE * 3000)
+    assert [x["license"] for x in scan(text)] == ["ISC"] * 5
