@@ -5,9 +5,10 @@ rare to frequent, and two sets of Jaccard similarity t share a token among the f
 n - ceil(t n) + 1 of each. How frequent a token is comes from a table of counts of
 fixed size over all documents. Work is saved by relations between sets, on two levels:
 
-* *Index*: equal sets are one entry. Lists hold entries in blocks of similar size; a
-  probe meets its own block and the next, skips all others, and skips entries whose
-  positions leave too few tokens for the overlap asked for.
+* *Index*: equal sets are one entry. Lists hold entries in narrow blocks of similar size.
+  The smaller set of a pair probes: at the token's position in it, only so many tokens are
+  left, and every block whose sets would need a larger overlap is skipped before the join.
+  Entries whose own position leaves too few tokens are skipped in it.
 * *Answers*: in a first round each entry is compared only with the few entries that
   stand next to it in most of its lists, its likeliest partners. Where that links
   them, it takes over the other's component as its own answer, and the second round
@@ -28,6 +29,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -41,6 +43,10 @@ from .components import connected_components
 #: Counters of token frequency: their number bounds what is sent to the driver and back (1 MB of ranks).
 COUNTERS, CHUNK = 1 << 20, 1 << 14
 SKETCH_BITS = 1024
+#: Blocks of set sizes between a size and the greatest that can be similar to it.
+SIZE_BLOCKS = 4
+#: Sets whose 64-bit class is shared by another set, at most; they are known by another half of their digest.
+MOST_CLASHES = 100_000
 #: Neighbours of an entry that the first round compares it with: those next to it in most lists. The second round has all others.
 NEIGHBOURS = 4
 
@@ -67,8 +73,18 @@ def shingle_sets(batch: pa.RecordBatch, n: int) -> Iterator[np.ndarray]:
                 yield np.zeros(0, np.uint64)
 
 
-def _class_of(s: np.ndarray) -> int:
-    return int.from_bytes(hashlib.blake2b(s.tobytes(), digest_size=8).digest(), "little", signed=True)
+@dataclass(frozen=True)
+class _Classes:
+    """Numbers of sets: half of a 128-bit digest, the other half where that one is known to be shared."""
+
+    shared: frozenset[int] = frozenset()
+    bits: int = 64
+
+    def of(self, s: np.ndarray) -> tuple[int, int]:
+        """The set's class and the half that checks it."""
+        low, high = np.frombuffer(hashlib.blake2b(s.tobytes(), digest_size=16).digest(), np.int64).tolist()
+        low = low if self.bits == 64 else low & ((1 << self.bits) - 1)
+        return (high, low) if low in self.shared else (low, high)
 
 
 def _sketch(s: np.ndarray) -> np.ndarray:
@@ -82,29 +98,30 @@ def _may_differ(percent: int, a: str, b: str) -> str:
     return f"{bits} <= {a}.n + {b}.n - 2 * ceil({percent} * ({a}.n + {b}.n) / {100 + percent})"
 
 
-_SETS = "doc long, n int, cls long, sketch array<long>, chunk int, counts binary"
+_SETS = "doc long, n int, cls long, check long, sketch array<long>, chunk int, counts binary"
 
 
-def _describe(n: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+def _describe(n: int, number: _Classes) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     """A row for each document, and at the end of a task its token counts in chunks."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(COUNTERS, np.int64)
-        names = ["doc", "n", "cls", "sketch", "chunk", "counts"]
+        names = ["doc", "n", "cls", "check", "sketch", "chunk", "counts"]
         for b in batches:
             sizes, classes, sketches = [], [], []
             for s in shingle_sets(b, n):
                 sizes.append(len(s))
-                classes.append(_class_of(s))
+                classes.append(number.of(s))
                 sketches.append(_sketch(s))
                 np.add.at(total, (s >> S.U(44)).astype(np.int64), 1)
             m = len(sizes)
-            yield pa.record_batch([b.column(0), pa.array(sizes, pa.int32()), pa.array(classes, pa.int64()), pa.array(sketches, pa.list_(pa.int64())), pa.nulls(m, pa.int32()), pa.nulls(m, pa.binary())], names=names)
+            cls, check = zip(*classes, strict=True) if m else ((), ())
+            yield pa.record_batch([b.column(0), pa.array(sizes, pa.int32()), pa.array(cls, pa.int64()), pa.array(check, pa.int64()), pa.array(sketches, pa.list_(pa.int64())), pa.nulls(m, pa.int32()), pa.nulls(m, pa.binary())], names=names)
         used = [c for c in range(COUNTERS // CHUNK) if total[c * CHUNK : (c + 1) * CHUNK].any()]
         m = len(used)
         if m:
             blobs = [total[c * CHUNK : (c + 1) * CHUNK].astype(np.uint32).tobytes() for c in used]
-            yield pa.record_batch([pa.nulls(m, pa.int64()), pa.nulls(m, pa.int32()), pa.nulls(m, pa.int64()), pa.nulls(m, pa.list_(pa.int64())), pa.array(used, pa.int32()), pa.array(blobs, pa.binary())], names=names)
+            yield pa.record_batch([pa.nulls(m, pa.int64()), pa.nulls(m, pa.int32()), pa.nulls(m, pa.int64()), pa.nulls(m, pa.int64()), pa.nulls(m, pa.list_(pa.int64())), pa.array(used, pa.int32()), pa.array(blobs, pa.binary())], names=names)
 
     return run
 
@@ -129,14 +146,14 @@ def token_ranks(described: DataFrame) -> np.ndarray:
     return out
 
 
-def _postings(n: int, percent: int, ranks: np.ndarray) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+def _postings(n: int, percent: int, ranks: np.ndarray, number: _Classes) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in (x for y in batches for x in S.slices(y)):
             seen: set[int] = set()
             tokens, classes, sizes = [], [], []
             for s in shingle_sets(b, n):
                 m = len(s)
-                if not m or (c := _class_of(s)) in seen:
+                if not m or (c := number.of(s)[0]) in seen:
                     continue
                 seen.add(c)
                 p = m - -(-percent * m // 100) + 1
@@ -216,15 +233,24 @@ def _whole_sets(n: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.Reco
 
 
 class _Join:
-    def __init__(self, docs: DataFrame, n: int, percent: int):
+    def __init__(self, docs: DataFrame, n: int, percent: int, bits: int = 64):
         self.spark, self.n, self.percent = docs.sparkSession, n, percent
         self.scratch = Scratch(self.spark, "ngram_join")
         self.keys: Keyed = keyed(docs, self.scratch)
         self.docs = self.keys.rows
         self.parts = partitions(self.spark)
-        described = self.scratch.put(self.docs.mapInArrow(_describe(n), _SETS), "sets")
+        self.number = _Classes(bits=bits)
+        while True:
+            described = self.scratch.put(self.docs.mapInArrow(_describe(n, self.number), _SETS), "sets")
+            whole = described.where("chunk is null and n > 0").groupBy("cls").agg(F.min("doc").alias("doc"), F.first("n").alias("n"), F.first("sketch").alias("sketch"), F.min("check").alias("c0"), F.max("check").alias("c1"))
+            self.classes = self.scratch.put(whole, "classes")
+            clash = [r.cls for r in self.classes.where("c0 <> c1").select("cls").limit(MOST_CLASHES + 1).collect()]
+            if not clash:
+                break
+            if len(clash) > MOST_CLASHES or self.number.shared & set(clash):
+                raise RuntimeError("too many different sets share a digest")
+            self.number = _Classes(self.number.shared | set(clash), bits)
         self.members = described.where("chunk is null").select("doc", "n", "cls")
-        self.classes = self.scratch.put(described.where("chunk is null and n > 0").groupBy("cls").agg(F.min("doc").alias("doc"), F.first("n").alias("n"), F.first("sketch").alias("sketch")), "classes")
         self.ranks = token_ranks(described)
 
     def links(self, pairs: DataFrame) -> DataFrame:
@@ -240,7 +266,7 @@ class _Join:
     def labels(self) -> DataFrame:
         """(cls, label) of every class that is linked with another."""
         percent = self.percent
-        rows = self.docs.mapInArrow(_postings(self.n, percent, self.ranks), "token long, cls long, n int, pos int")
+        rows = self.docs.mapInArrow(_postings(self.n, percent, self.ranks, self.number), "token long, cls long, n int, pos int")
         rows = rows.repartition(self.parts, "token").sortWithinPartitions("token", "n", "cls")
         lists = self.scratch.put(rows.mapInArrow(_lists(percent), "token long, cls long, n int, pos int, before long"), "lists")
         near = lists.where("before is not null").groupBy("cls", "before").count()
@@ -257,9 +283,14 @@ class _Join:
         label = lists.join(first.withColumnRenamed("node", "cls"), "cls", "left").select("token", "cls", "n", "pos", F.coalesce("component", "cls").alias("part"))
         label = self.scratch.put(label, "labelled")
         open_lists = label.groupBy("token").agg(F.min("part").alias("x"), F.max("part").alias("y")).where("x <> y").select("token")
-        entry = label.join(open_lists, "token").join(sketch.select("cls", "sketch"), "cls").withColumn("block", F.floor(F.log("n") / F.log(F.lit(100 / percent)) + F.lit(1e-9)).cast("int"))
+        step = (100 / percent) ** (1 / SIZE_BLOCKS)
+        block = F.floor(F.log("n") / F.log(F.lit(step)) + F.lit(1e-9)).cast("int")
+        entry = label.join(open_lists, "token").join(sketch.select("cls", "sketch"), "cls").withColumn("block", block)
         entry = self.scratch.put(entry, "open")
-        probe = entry.withColumn("block", F.explode(F.array(F.col("block"), F.col("block") + 1))).alias("p")
+        # the least overlap with a set of a block is that with its smallest one, or one of the probe's own size
+        smallest = lambda b: F.greatest(F.col("n"), F.ceil(F.pow(F.lit(step), b) * (1 - 1e-6)).cast("int"))
+        within = lambda b: F.col("n") - F.col("pos") >= F.ceil(percent * (F.col("n") + smallest(b)) / (100 + percent))
+        probe = entry.withColumn("block", F.explode(F.filter(F.sequence(F.col("block"), F.col("block") + SIZE_BLOCKS), within))).alias("p")
         meet = probe.join(entry.alias("e"), ["token", "block"]).where("p.part <> e.part and (p.n < e.n or (p.n = e.n and p.cls < e.cls))")
         least = f"ceil({percent} * (p.n + e.n) / {100 + percent})"
         meet = meet.where(f"100 * p.n >= {percent} * e.n and least(p.n - p.pos, e.n - e.pos) >= {least}").where(_may_differ(percent, "p", "e"))

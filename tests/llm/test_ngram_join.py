@@ -54,3 +54,13 @@ def test_components(spark):
     got = {r.node: r.component for r in connected_components(spark.createDataFrame(edges, "u long, v long"), Scratch(spark, "t")).collect()}
     assert got == {**{i: 100 for i in range(100, 161)}, 3: 3, 5: 3, 9: 3}
     assert connected_components(spark.createDataFrame([], "u long, v long"), Scratch(spark, "t")).collect() == []
+
+
+def test_sets_that_share_a_class_are_told_apart(spark):
+    from geopages.llm.ngram_join import _Join
+
+    docs = corpus(6)
+    join = _Join(spark.createDataFrame(docs, "doc_id long, text string"), 3, 90, bits=5)
+    assert join.number.shared
+    got = {r.doc_id: (r.n_shingles, r.component_id if r.component is not None else r.doc_id) for r in join.keys.again(join.groups()).collect()}
+    assert got == brute.op6(docs)
