@@ -1,10 +1,10 @@
 """Substring dedup by seed and extend, over words.
 
-Documents meet on winnowed anchors of ``seed`` words (see ``_repeats``). From each
-shared anchor a match is extended both ways: for every reach to the left, the
-reach to the right that makes up ``width`` words is compared with all other
-contexts of the anchor through prefix hashes, which gives the outermost windows
-that repeat; their union over a text's anchors is its maximal repeats.
+Documents meet on winnowed anchors of ``seed`` words (see ``_repeats``). From a shared
+anchor all its contexts are extended both ways, word by word: they fall into ever
+smaller classes that agree so far, and a context without company leaves. Those that
+still agree over ``width`` words in all repeat; their outermost windows, joined over a
+text's anchors, are its maximal repeats. Words are 64-bit values of their bytes.
 
 Results by case: null, empty and blank texts have no words; texts under ``width``
 words lose none; rows of one doc_id with different texts are documents of their own;
@@ -28,27 +28,46 @@ from ._common import Scratch, keyed, table
 WIDTH, SEED = 35, 9
 
 
+def _extended(classes: np.ndarray, words: np.ndarray, first: np.ndarray, step: int, room: np.ndarray, reach: int) -> list[np.ndarray]:
+    """Classes of matches after 0, 1, ... ``reach`` words from ``first`` in direction ``step``.
+
+    Rows of one class agree on all words so far; a row leaves (-1) when nobody agrees with it or its text ends.
+    """
+    out = [classes]
+    many = int(words.max()) + 1 if len(words) else 1
+    for k in range(reach):
+        rows = np.flatnonzero((out[-1] >= 0) & (room > k))
+        now = np.full(len(classes), -1, np.int64)
+        if len(rows):
+            _, own, size = np.unique(out[-1][rows] * many + words[first[rows] + step * k], return_inverse=True, return_counts=True)
+            now[rows] = np.where(size[own] > 1, own, -1)
+        out.append(now)
+    return out
+
+
 def extend_both_ways(group, doc, n_left, raw, at, spec, multi) -> tuple[np.ndarray, np.ndarray]:
+    """Contexts of one seed extended word by word, all of them at once: to the right over the seed and on, and to the left.
+
+    A window reaches ``o`` words to the left and the rest to the right; it repeats where another
+    context agrees on both. Word values are compared, no hashes of runs.
+    """
     values, at = np.ascontiguousarray(raw).view(np.uint64), at // 8
-    runs, more = S.Runs(values), S.Runs(S.mix(values))
+    _, words = np.unique(values, return_inverse=True)
     n = len(doc)
     lo, hi = np.full(n, -1, np.int64), np.full(n, -1, np.int64)
     anchor = at[:-1] + n_left
-    tag = S.mix(group.astype(np.uint64))
-    for reach in range(spec.left + 1):
-        rows = np.flatnonzero((n_left >= reach) & (anchor - reach + spec.width <= at[1:]))
+    start = group.astype(np.int64)
+    to_right = _extended(start, words, anchor, 1, at[1:] - anchor, spec.width)
+    to_left = _extended(start, words, anchor - 1, -1, n_left, spec.left)
+    for o in range(spec.left + 1):
+        left, right = to_left[o], to_right[spec.width - o]
+        rows = np.flatnonzero((left >= 0) & (right >= 0))
         if not len(rows):
             continue
-        s = anchor[rows] - reach
-        k1, k2 = runs.of(s, s + spec.width) ^ tag[rows], more.of(s, s + spec.width)
-        by = np.lexsort((k2, k1))
-        equal = (k1[by][1:] == k1[by][:-1]) & (k2[by][1:] == k2[by][:-1])
-        hit = np.zeros(len(rows), bool)
-        hit[1:] |= equal
-        hit[:-1] |= equal
-        hit = rows[by][hit]
-        lo[hit] = np.where(lo[hit] < 0, reach, lo[hit])
-        hi[hit] = reach
+        _, own, size = np.unique(left[rows] * (n + 1) + right[rows], return_inverse=True, return_counts=True)
+        hit = rows[size[own] > 1]
+        lo[hit] = np.where(lo[hit] < 0, o, lo[hit])
+        hi[hit] = o
     return lo, hi
 
 
