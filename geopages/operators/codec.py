@@ -9,9 +9,11 @@ decoding is array work; ``interleaved`` has each value behind its marker.
 
 from __future__ import annotations
 
+from bisect import bisect_left
 from dataclasses import dataclass
 
 import numpy as np
+import pyarrow as pa
 
 from . import cost
 
@@ -40,17 +42,71 @@ def codes(bits: np.ndarray) -> np.ndarray:
 
 def _pack(values: np.ndarray, n: int) -> np.ndarray:
     """Bits of ``values``, n each, high first, as an array of 0 and 1."""
-    shifts = np.arange(n - 1, -1, -1, dtype=values.dtype)
-    out = [((values[i : i + _BLOCK, None] >> shifts) & values.dtype.type(1)).astype(np.uint8).ravel() for i in range(0, len(values), _BLOCK)]
+    size = values.dtype.itemsize
+    wide = np.ascontiguousarray(values, values.dtype.newbyteorder(">")).view(np.uint8).reshape(-1, size)
+    out = [np.unpackbits(wide[i : i + _BLOCK], axis=1)[:, 8 * size - n :].ravel() for i in range(0, len(values), _BLOCK)]
     return np.concatenate(out) if out else np.zeros(0, np.uint8)
 
 
-def _unpack(bits: np.ndarray, count: int, n: int, dtype) -> np.ndarray:
-    if not n or not count:
-        return np.zeros(count, dtype)
-    weights = np.left_shift(dtype.type(1), np.arange(n - 1, -1, -1, dtype=dtype))
-    m = bits[: count * n].reshape(count, n)
-    return np.concatenate([(m[i : i + _BLOCK].astype(dtype) * weights).sum(1, dtype=dtype) for i in range(0, count, _BLOCK)])
+class _Bits:
+    """Numbers of up to 64 bits, high bit first, at any bit of a byte string: each is cut out of the eight bytes (and one more) that hold it."""
+
+    def __init__(self, data: bytes | pa.Buffer):
+        own = np.frombuffer(data, np.uint8)
+        self.size = 8 * len(own)
+        self._bytes = np.r_[own, np.zeros(9, np.uint8)]
+        self._words = np.ndarray(len(own) + 1, ">u8", self._bytes, 0, (1,))
+
+    def at(self, places: np.ndarray, n: int, dtype) -> np.ndarray:
+        out = np.empty(len(places), np.uint64)
+        for i in range(0, len(places), 8 * _BLOCK):
+            p = places[i : i + 8 * _BLOCK]
+            byte, shift = p >> 3, (p & 7).astype(np.uint64)
+            v = (self._words[byte].astype(np.uint64) << shift) >> np.uint64(64 - n)
+            if n > 57:  # the last bits of some stand in a ninth byte
+                over = np.uint64(n) + shift
+                rest = np.where(over > 64, over - np.minimum(over, np.uint64(64)), np.uint64(0))
+                v |= self._bytes[byte + 8].astype(np.uint64) >> (np.uint64(8) - rest)
+            out[i : i + 8 * _BLOCK] = v
+        return out.astype(dtype)
+
+    def run(self, start: int, count: int, n: int, dtype) -> np.ndarray:
+        """``count`` numbers of ``n`` bits from bit ``start``."""
+        if start + count * n > self.size:
+            raise ValueError("page too short")
+        return self.at(start + n * np.arange(count, dtype=np.int64), n, dtype)
+
+
+def _interleaved_places(data: bytes | pa.Buffer, start: int, count: int, n: int, full: int) -> np.ndarray:
+    """Bit at which each code begins where a whole value follows each marker.
+
+    Codes between two markers are ``n`` bits apart, so their places agree modulo ``n``, and
+    the next marker is the next run of ``n`` ones at a place of the same remainder.
+    """
+    bits = np.unpackbits(np.frombuffer(data, np.uint8))[start:]
+    sums = np.zeros(len(bits) + 1, np.int32)
+    np.cumsum(bits, out=sums[1:])
+    marks = np.flatnonzero(sums[n:] - sums[: len(sums) - n] == n)
+    rest = marks % n
+    order = np.argsort(rest, kind="stable")
+    cuts = np.searchsorted(rest[order], np.arange(n + 1))
+    marks = marks[order]
+    by_rest: dict[int, list[int]] = {}
+    at, left, first, size = 0, count, [], []
+    while left:
+        r = at % n
+        own = by_rest.get(r)
+        if own is None:
+            own = by_rest[r] = marks[cuts[r] : cuts[r + 1]].tolist()
+        k = bisect_left(own, at)
+        m = min(left, (own[k] - at) // n + 1 if k < len(own) else left)
+        first.append(at)
+        size.append(m)
+        left -= m
+        at += m * n + full
+    size = np.array(size, np.int64)
+    steps = np.arange(count, dtype=np.int64) - np.repeat(np.cumsum(size) - size, size)
+    return start + np.repeat(np.array(first, np.int64), size) + n * steps
 
 
 @dataclass(frozen=True)
@@ -104,7 +160,7 @@ def encode_page(v: np.ndarray, policy: str = "exact", fixed_bits: int | None = N
     return Page(DELTA, n, np.packbits(np.concatenate([*head, *body])).tobytes(), size)
 
 
-def decode_page(tag: int, data: bytes, count: int, dtype=np.float64, stream: str = "split") -> np.ndarray:
+def decode_page(tag: int, data: bytes | pa.Buffer, count: int, dtype=np.float64, stream: str = "split") -> np.ndarray:
     """``count`` values; anything that doesn't add up raises ValueError."""
     dtype = np.dtype(dtype)
     word = np.dtype(np.uint64 if dtype.itemsize == 8 else np.uint32)
@@ -113,45 +169,39 @@ def decode_page(tag: int, data: bytes, count: int, dtype=np.float64, stream: str
         if len(data) != count * word.itemsize:
             raise ValueError("raw page of a wrong length")
         return np.frombuffer(data, dtype).copy()
-    bits = np.unpackbits(np.frombuffer(data, np.uint8))
-    if len(bits) < 8 + full or count < 1:
+    bits = _Bits(data)
+    if bits.size < 8 + full or count < 1:
         raise ValueError("page too short")
-    n = int(_unpack(bits, 1, 8, word)[0])
-    first = _unpack(bits[8:], 1, full, word)
-    rest = bits[8 + full :]
+    n = int(bits.run(0, 1, 8, np.int64)[0])
+    first = bits.run(8, 1, full, word)
+    at = 8 + full
     if tag == CONSTANT:
         return np.repeat(first, count).view(dtype)
     if tag not in (DELTA, RUNS) or not 1 <= n <= full:
         raise ValueError("unknown page")
     marker = word.type((1 << n) - 1)
     if tag == DELTA and stream == "interleaved":
-        out, at, prev = [int(first[0])], 0, int(first[0])
-        for _ in range(count - 1):
-            z = _unpack(rest[at:], 1, n, word)
-            at += n
-            if z[0] == marker:
-                prev = int(_unpack(rest[at:], 1, full, word)[0])
-                at += full
-            else:
-                prev = (prev + int(unzigzag(z)[0])) % (1 << full)
-            out.append(prev)
-        return np.array(out, word).view(dtype)
-    if tag == RUNS:
-        m = int(_unpack(rest, 1, 32, np.dtype(np.uint32))[0])
-        run = _unpack(rest[32:], m, 32, np.dtype(np.uint32)).astype(np.int64)
-        if run.sum() != count - 1:
-            raise ValueError("runs of a wrong length")
-        z = np.repeat(_unpack(rest[32 + 32 * m :], m, n, word), run)
-        rest = rest[32 + (32 + n) * m :]
-    else:
-        if len(rest) < (count - 1) * n:
+        places = _interleaved_places(data, at, count - 1, n, full)
+        if len(places) and places[-1] + n > bits.size:
             raise ValueError("page too short")
-        z = _unpack(rest, count - 1, n, word)
-        rest = rest[(count - 1) * n :]
-    escaped = np.flatnonzero(z == marker)
-    if len(rest) < len(escaped) * full:
-        raise ValueError("page too short")
-    values = _unpack(rest, len(escaped), full, word)
+        z = bits.at(places, n, word)
+        escaped = np.flatnonzero(z == marker)
+        if len(escaped) and places[escaped[-1]] + n + full > bits.size:
+            raise ValueError("page too short")
+        values = bits.at(places[escaped] + n, full, word)
+    else:
+        if tag == RUNS:
+            m = int(bits.run(at, 1, 32, np.int64)[0])
+            run = bits.run(at + 32, m, 32, np.int64)
+            if run.sum() != count - 1:
+                raise ValueError("runs of a wrong length")
+            z = np.repeat(bits.run(at + 32 + 32 * m, m, n, word), run)
+            at += 32 + (32 + n) * m
+        else:
+            z = bits.run(at, count - 1, n, word)
+            at += (count - 1) * n
+        escaped = np.flatnonzero(z == marker)
+        values = bits.run(at, len(escaped), full, word)
     step = unzigzag(z)
     step[escaped] = 0
     sums = np.cumsum(np.r_[first, step], dtype=word)
