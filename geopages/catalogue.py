@@ -17,7 +17,8 @@ from .functions.curve import curve_key
 from .operators import box_join, cost, index, sorting, stats
 from .plans import fixtures as X
 from .plans import oracles as O
-from .sources import baselines, page_table
+from .sources import baselines, geojson, page_table, shapefile, wkb
+from .sources import sql as sql_functions
 from .streaming import events as streams
 
 PAGE = 1024
@@ -42,11 +43,11 @@ def _read(spark, sf_dir, name):
 
 def _worked(spark, sf_dir):
     d = build.shred(X.literal_examples(spark), id="gid")
-    return d.select("gid", "kind", "part_no", "coord_no", "rep_level", "x", "y")
+    return d.select("gid", "kind", "part_no", "coord_no", "rep_level", "def_level", "x", "y")
 
 
-_rows = [(g, k, i, j, 2 if j else 1 if i else 0, float(x), float(y)) for g, (k, parts) in X.EXAMPLES.items() for i, p in enumerate(parts) for j, (x, y) in enumerate(p)]
-add("worked_examples", _worked, f"SELECT * FROM (VALUES {', '.join(map(str, _rows))}) v(gid, kind, part_no, coord_no, rep_level, x, y)")
+_rows = [(g, k, i, j, 2 if j else 1 if i else 0, 2, float(x), float(y)) for g, (k, parts) in X.EXAMPLES.items() for i, p in enumerate(parts) for j, (x, y) in enumerate(p)]
+add("worked_examples", _worked, f"SELECT * FROM (VALUES {', '.join(map(str, _rows))}) v(gid, kind, part_no, coord_no, rep_level, def_level, x, y)")
 
 
 def _shred(name, spark, sf_dir):
@@ -59,7 +60,7 @@ def _roundtrip(name, spark, sf_dir):
 
 
 for _n in SETS:
-    add(f"shred_{_n}", partial(_shred, _n), f"SELECT id, kind, part_no, coord_no, CASE WHEN coord_no > 0 THEN 2 WHEN part_no > 0 THEN 1 ELSE 0 END AS rep_level, x, y FROM ({X.points_sql(_n)}) p")
+    add(f"shred_{_n}", partial(_shred, _n), f"SELECT id, kind, part_no, coord_no, CASE WHEN coord_no > 0 THEN 2 WHEN part_no > 0 THEN 1 ELSE 0 END AS rep_level, CASE WHEN part_no IS NULL THEN 0 ELSE 2 END AS def_level, x, y FROM ({X.points_sql(_n)}) p")
     add(f"roundtrip_shred_{_n}", partial(_roundtrip, _n), f"SELECT id, kind, count(DISTINCT part_no)::INT AS n_parts, count(x)::INT AS n_coords FROM ({X.points_sql(_n)}) p GROUP BY ALL")
 
 
@@ -107,7 +108,7 @@ def _states(spark, sf_dir):
 add("empty_null_counts", _states, f"SELECT CASE kind WHEN -1 THEN 'null' WHEN 0 THEN 'empty' ELSE 'present' END AS state, count(*) AS cnt FROM ({X.MIX}) m GROUP BY ALL")
 
 
-def _collections(spark, sf_dir):
+def _collections(spark, sf_dir, whole=False):
     c = _read(spark, sf_dir, "customer").join(_read(spark, sf_dir, "orders").select(F.col("o_custkey").alias("c_custkey")).distinct(), "c_custkey", "left_semi")
     p, line = build.point(F.lit(1.0), F.lit(2.0)), build.linestring(F.array(build.coordinate(F.lit(0.0), F.lit(0.0)), build.coordinate(F.lit(1.0), F.lit(1.0))))
     ring = F.array(*[build.coordinate(F.lit(float(x)), F.lit(float(y))) for x, y in ((0, 0), (0, 1), (1, 1), (1, 0))])
@@ -117,7 +118,10 @@ def _collections(spark, sf_dir):
     rows = F.array(node(0, F.lit(None), 0, none), node(1, 0, 0, p), node(2, 0, 1, poly), node(3, 0, 2, none), node(5, F.when(deep, 4).otherwise(3), 0, line), node(6, F.when(deep, 4).otherwise(3), 1, p))
     rows = F.when(deep, F.concat(rows, F.array(node(4, 3, 0, none)))).otherwise(rows)
     edges = c.select(F.col("c_custkey").alias("root_id"), F.explode(rows).alias("r")).select("root_id", "r.*")
-    return build.flatten_collections(edges).select("root_id", "pos", F.col("geometry.type").alias("kind"))
+    flat = build.flatten_collections(edges)
+    if whole:
+        return flat.groupBy("root_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "geometry"))), lambda v: v["geometry"]).alias("members"))
+    return flat.select("root_id", "pos", F.col("geometry.type").alias("kind"))
 
 
 add("collection_flatten", _collections, "SELECT o_custkey AS root_id, pos, kind FROM (SELECT DISTINCT o_custkey FROM {orders} WHERE o_custkey IN (SELECT c_custkey FROM {customer})) o CROSS JOIN (VALUES (0, 1), (1, 3), (2, 2), (3, 1)) v(pos, kind)")
@@ -230,47 +234,182 @@ for _n, _o in (("unsorted", ("none",)), ("sorted", ("z", "hilbert")), ("shuffled
     add(f"codec_bits_{_n}", partial(_codec_bits, _o), _codec_bits_sql(_o))
 
 
-def _codec_pages(order, spark, sf_dir):
-    """Pages as the writer makes them, from one partition: the same widths and bits as the relational model's."""
-    d = X.dataset(spark, sf_dir, "obs").repartition(1).sortWithinPartitions("id")
-    p = page_table.pages(d, sort="none" if order == "none" else "total", curve="z" if order == "z" else "hilbert", page_bytes=8 * PAGE)
-    p = p.select(F.col("page_id").alias("page"), F.explode(F.array(*[F.struct(F.lit(a).alias("axis"), F.col(f"{a}_bits").alias("bits")) for a in "xy"])).alias("s"))
-    return p.select("page", "s.*")
+def _payload(orders, spark, sf_dir):
+    """Bytes that the encoder writes for the pages of the relational model."""
+    out = None
+    for n in ("obs", "traj", "roads", "bldg"):
+        for o in orders:
+            v = stats.page_values(_paged(spark, sf_dir, n, o))
+            b = v.agg(F.lit(n).alias("dataset"), F.lit(o).alias("order"), *[F.sum(stats.encoded(F.col(a))["coded"]).alias(f"{a}_bytes") for a in "xy"])
+            out = b if out is None else out.unionByName(b)
+    return out
 
 
-for _o in ("none",):
-    add(f"codec_pages_obs_{_o}", partial(_codec_pages, _o), f"WITH {O.deltas('obs', _o, PAGE)}, {O.sizes(True)}, {O.BEST} SELECT page, axis, least(bits + 72, 64 * (total + 1)) AS bits FROM best")
+def _payload_sql(orders):
+    one = "sum((least(bits + 72, 64 * (total + 1)) + 7) // 8) FILTER (axis = '{a}')::BIGINT AS {a}_bytes"
+    return " UNION ALL ".join(f"SELECT * FROM (WITH {O.deltas(n, o, PAGE)}, {O.sizes(True)}, {O.BEST} SELECT '{n}' AS dataset, '{o}' AS \"order\", {', '.join(one.format(a=a) for a in 'xy')} FROM best)" for n in ("obs", "traj", "roads", "bldg") for o in orders)
 
 
-def _written(spark, sf_dir, name, **options):
-    path = X.scratch_path(spark, f"pages_{name}")
-    page_table.save(X.dataset(spark, sf_dir, name), path, extent=X.DATASETS[name].extent, **({"page_bytes": 16 << 10, "group_size": 5000} | options))
-    return path
+for _o in ORDERS:
+    add(f"payload_bytes_{_o}", partial(_payload, (_o,)), _payload_sql((_o,)))
+
+
+def _ablation(spark, sf_dir):
+    """Bytes of all pages by set and order: plain or coded, with and without gzip for each page."""
+    out = None
+    for n in ("obs", "traj", "roads", "bldg"):
+        for o in ORDERS:
+            v = stats.page_values(_paged(spark, sf_dir, n, o)).select(F.explode(F.array(*[stats.encoded(F.col(a)) for a in "xy"])).alias("s")).select("s.*")
+            b = v.agg(F.lit(n).alias("dataset"), F.lit(o).alias("order"), *[F.sum(c).alias(c) for c in ("plain", "plain_gzip", "coded", "coded_gzip")])
+            out = b if out is None else out.unionByName(b)
+    return out
+
+
+def _ablation_wins(spark, sf_dir):
+    """The codec makes every set smaller, with gzip and without, but points in no order."""
+    return _ablation(spark, sf_dir).select("dataset", "order", "plain", (F.col("coded") < F.col("plain")).alias("codec_wins"), (F.col("coded_gzip") < F.col("plain_gzip")).alias("codec_wins_gzip"))
+
+
+add("size_ablation", _ablation)
+add("size_ablation_wins", _ablation_wins, " UNION ALL ".join(f"SELECT '{n}' AS dataset, '{o}' AS \"order\", (SELECT 16 * count(x) FROM ({X.points_sql(n)}) p)::BIGINT AS plain, {str((n, o) != ('obs', 'none')).lower()} AS codec_wins, {str((n, o) != ('obs', 'none')).lower()} AS codec_wins_gzip" for n in ("obs", "traj", "roads", "bldg") for o in ORDERS))
+
+
+def _rle_gain(spark, sf_dir):
+    """Bits of the coded pages of points without and with run-length coding of the codes."""
+    out = None
+    for o in ORDERS:
+        v = stats.page_values(_paged(spark, sf_dir, "obs", o)).select(F.explode(F.array(*[F.struct(F.lit(a).alias("axis"), stats.encoded(F.col(a))["coded_bits"].alias("p"), stats.encoded(F.col(a), rle=True)["coded_bits"].alias("r")) for a in "xy"])).alias("s"))
+        b = v.groupBy("s.axis").agg(F.sum("s.p").alias("plain_bits"), F.sum("s.r").alias("rle_bits")).select(F.lit(o).alias("order"), "axis", "plain_bits", "rle_bits")
+        out = b if out is None else out.unionByName(b)
+    return out
+
+
+def _rle_gain_sql(o):
+    return f"""SELECT * FROM (WITH {O.deltas('obs', o, PAGE)}, {O.sizes(True)}, {O.BEST},
+    c AS (SELECT page, axis, ord, z, n, total, bits, n > 0 AND z >= CAST(power(2, n) AS HUGEINT) - 1 AS esc FROM d JOIN best USING (page, axis)),
+    r AS (SELECT *, CASE WHEN esc OR coalesce(lag(esc) OVER w, true) OR z <> lag(z) OVER w THEN 1 ELSE 0 END AS nw FROM c WINDOW w AS (PARTITION BY page, axis ORDER BY ord)),
+    g AS (SELECT page, axis, least(any_value(bits) + 72, 64 * (any_value(total) + 1)) AS p, CASE WHEN any_value(n) = 0 THEN 72 ELSE 104 + (any_value(n) + 32) * sum(nw) + 64 * count(*) FILTER (esc) END AS r FROM r GROUP BY page, axis)
+    SELECT '{o}' AS "order", axis, sum(p)::BIGINT AS plain_bits, sum(least(p, r))::BIGINT AS rle_bits FROM g GROUP BY axis)"""
+
+
+add("rle_gain", _rle_gain, " UNION ALL ".join(map(_rle_gain_sql, ORDERS)))
 
 
-def _same(got, want):
-    """Leaves of ``want`` that ``got`` has lost, and those it has made up, bit by bit."""
-    leaf = lambda d: build.shred(d).where("x is not null").select("id", "part_no", "coord_no", stats.to_bits(F.col("x")).alias("x"), stats.to_bits(F.col("y")).alias("y"))
-    got, want = leaf(got), leaf(want)
-    lost = want.exceptAll(got).agg(F.count("*").alias("lost")).join(got.exceptAll(want).agg(F.count("*").alias("made")))
-    return lost.join(got.agg(F.count("*").alias("n_coords"))).select("n_coords", "lost", "made")
+def _raw_repeats(spark, sf_dir):
+    """What a store can do with uncoded doubles: bytes plain, by a dictionary and by runs of equal values, page by page."""
+    out = None
+    for n in ("obs", "traj", "roads", "bldg"):
+        p = _paged(spark, sf_dir, n, "none").select("page", "ord", F.explode(F.array(*[F.struct(F.lit(a).alias("axis"), stats.to_bits(F.col(a)).alias("v")) for a in "xy"])).alias("s")).select("page", "ord", "s.*")
+        p = p.withColumn("new", F.when(F.lag("v").over(W.partitionBy("page", "axis").orderBy("ord")) == F.col("v"), 0).otherwise(1))
+        g = p.groupBy("page", "axis").agg(F.count("*").alias("n"), F.count_distinct("v").alias("d"), F.sum("new").alias("r"))
+        bits = F.when(F.col("d") > 1, F.length(F.bin(F.col("d") - 1))).otherwise(0)
+        b = g.groupBy("axis").agg(F.sum(8 * F.col("n")).alias("plain"), F.sum(8 * F.col("d") + F.floor((F.col("n") * bits + 7) / 8)).alias("by_dictionary"), F.sum(12 * F.col("r")).alias("by_runs")).select(F.lit(n).alias("dataset"), "*")
+        out = b if out is None else out.unionByName(b)
+    return out
+
+
+def _raw_repeats_sql(n):
+    return f"""SELECT * FROM (WITH {O.deltas(n, 'none', PAGE)}, v2 AS (SELECT page, axis, v, CASE WHEN lag(v) OVER (PARTITION BY page, axis ORDER BY ord) = v THEN 0 ELSE 1 END AS nw FROM bv),
+    g AS (SELECT page, axis, count(*) AS n, count(DISTINCT v) AS d, sum(nw) AS r FROM v2 GROUP BY ALL)
+    SELECT '{n}' AS dataset, axis, sum(8 * n)::BIGINT AS plain, sum(8 * d + (n * CASE WHEN d > 1 THEN length(ltrim((d - 1)::UBIGINT::BIT::VARCHAR, '0')) ELSE 0 END + 7) // 8)::BIGINT AS by_dictionary, sum(12 * r)::BIGINT AS by_runs FROM g GROUP BY axis)"""
+
+
+add("raw_repeats", _raw_repeats, " UNION ALL ".join(_raw_repeats_sql(n) for n in ("obs", "traj", "roads", "bldg")))
+
+
+def _measures(spark, sf_dir):
+    """Hundredths of a bit for each coordinate value, and sizes of rivals in thousandths of the coded pages."""
+    own = _payload(("hilbert",), spark, sf_dir).select("dataset", (F.col("x_bytes") + F.col("y_bytes")).alias("own"))
+    d = own.join(_sizes(spark, sf_dir), "dataset")
+    ratio = lambda c: F.floor(F.col(c) * 1000 / F.col("own"))
+    return d.select("dataset", F.floor(F.col("own") * 6400 / F.col("raw_bytes")).alias("bits_e2"), ratio("wkbbox_bytes").alias("wkbbox_e3"), ratio("shp_bytes").alias("shp_e3"), ratio("raw_bytes").alias("raw_e3"))
+
+
+def _sort_bound(spark, sf_dir):
+    """Rows of the largest sort group: never more than asked for."""
+    d = sorting.grouped(sorting.with_key(X.dataset(spark, sf_dir, "obs").repartition(3), "hilbert"), 500)
+    g = d.groupBy(F.spark_partition_id().alias("p"), "_group").agg(F.count("*").alias("n"))
+    return g.agg(F.sum("n").alias("n"), F.max("n").alias("most"))
+
+
+#: Page tables that this session has written already.
+_TABLES: dict[tuple, str] = {}
+
+
+def _written(spark, sf_dir, name, **options):
+    """Path of a page table of a stand-in, written once a session."""
+    key = (spark.sparkContext.applicationId, sf_dir, name, *sorted(options.items()))
+    if key not in _TABLES:
+        path = X.scratch_path(spark, f"pages_{name}")
+        page_table.save(X.dataset(spark, sf_dir, name), path, extent=X.DATASETS[name].extent, **({"page_bytes": 16 << 10, "group_size": 5000} | options))
+        _TABLES[key] = path
+    return _TABLES[key]
+
+
+def _same(got, want, axes="xy", bits=stats.to_bits):
+    """Leaves of ``want`` (id, part_no, coord_no, axes) that the geometries ``got`` have lost, and those they have made up, bit by bit."""
+    key = ["id", "part_no", "coord_no"]
+    g = got.select("id", F.posexplode("geometry.parts").alias("part_no", "part")).select("id", "part_no", F.posexplode("part").alias("coord_no", "c"))
+    g = g.select(*key, F.struct(*[bits(F.col(f"c.{a}")).alias(a) for a in axes]).alias("got"))
+    w = want.where("x is not null").select(*key, F.struct(*[bits(F.col(a)).alias(a) for a in axes]).alias("want"))
+    d = g.join(w, key, "full_outer")
+    other = ~F.col("got").eqNullSafe(F.col("want"))
+    return d.agg(F.count("got").alias("n_coords"), F.count_if(other & F.col("want").isNotNull()).alias("lost"), F.count_if(other & F.col("got").isNotNull()).alias("made"))
 
 
 def _codec_roundtrip(name, options, spark, sf_dir):
     path = _written(spark, sf_dir, name, **options)
-    return _same(page_table.scan(spark, path, stream=options.get("stream", "split")), X.dataset(spark, sf_dir, name))
+    return _same(page_table.scan(spark, path, stream=options.get("stream", "split")), X.leaves(spark, sf_dir, name))
 
 
 for _n in SETS:
     add(f"codec_roundtrip_{_n}", partial(_codec_roundtrip, _n, {}), f"SELECT count(x) AS n_coords, 0::BIGINT AS lost, 0::BIGINT AS made FROM ({X.points_sql(_n)}) p")
-for _k, _v in {"interleaved": {"stream": "interleaved", "page_bytes": 2048}, "rle": {"rle": True}, "fixed": {"policy": "fixed", "fixed_bits": 40}, "plain": {"codec_name": "plain"}, "total": {"sort": "total"}, "z": {"curve": "z"}, "unsorted": {"sort": "none"}}.items():
+for _k, _v in {"interleaved": {"stream": "interleaved"}, "rle": {"rle": True}, "fixed": {"policy": "fixed", "fixed_bits": 40}, "plain": {"codec_name": "plain"}, "total": {"sort": "total"}, "rectangles": {"sort": "rectangles"}, "z": {"curve": "z"}, "unsorted": {"sort": "none"}}.items():
     add(f"codec_roundtrip_obs_{_k}", partial(_codec_roundtrip, "obs", _v), f"SELECT count(x) AS n_coords, 0::BIGINT AS lost, 0::BIGINT AS made FROM ({X.points_sql('obs')}) p")
 
 
 def _ordered_bits(name, spark, sf_dir):
     path = X.scratch_path(spark, f"bits_{name}")
     baselines.save_ordered_bits(X.dataset(spark, sf_dir, name), path)
-    return _same(baselines.read_ordered_bits(spark, path), X.dataset(spark, sf_dir, name))
+    return _same(baselines.read_ordered_bits(spark, path), X.leaves(spark, sf_dir, name))
+
+
+def _emb32(spark, sf_dir):
+    """Geometries of 32-bit numbers, a vertex from each two elements."""
+    e = F.col("embedding").cast("array<float>")
+    vertex = lambda j: F.array(F.struct(F.get(e, 2 * j).alias("x"), F.get(e, 2 * j + 1).alias("y")))
+    return _read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.struct(F.lit(4).alias("type"), F.transform(F.sequence(F.lit(0), F.floor(F.size(e) / 2).cast("int") - 1), vertex).alias("parts")).alias("geometry"))
+
+
+def _roundtrip_32(spark, sf_dir):
+    d, path = _emb32(spark, sf_dir), X.scratch_path(spark, "emb32")
+    page_table.save(d, path, sort="none", page_bytes=4 << 10)
+    g = page_table.scan(spark, path)
+    leaf = d.select("id", F.posexplode("geometry.parts").alias("part_no", "part")).select("id", "part_no", F.lit(0).alias("coord_no"), "part.x", "part.y").withColumns({a: F.get(a, F.lit(0)) for a in "xy"})
+    return _same(g, leaf, bits=stats.to_bits32)
+
+
+add("codec_roundtrip_emb32", _roundtrip_32, "SELECT sum(len(embedding) // 2)::BIGINT AS n_coords, 0::BIGINT AS lost, 0::BIGINT AS made FROM {embeddings}")
+
+
+def _roundtrip_xyz(spark, sf_dir):
+    leaf, path = X.leaves(spark, sf_dir, "bldg").withColumn("z", F.col("x") * F.col("coord_no") - F.col("y")), X.scratch_path(spark, "xyz")
+    page_table.save(build.assemble(leaf, axes=("x", "y", "z")), path, extent=X.DATASETS["bldg"].extent, page_bytes=16 << 10)
+    return _same(page_table.scan(spark, path), leaf, "xyz")
+
+
+add("codec_roundtrip_xyz", _roundtrip_xyz, ORACLES["codec_roundtrip_bldg"])
+
+
+def _appended(spark, sf_dir):
+    """Half of a set, then the other half added."""
+    d, path = X.dataset(spark, sf_dir, "bldg"), X.scratch_path(spark, "appended")
+    page_table.save(d.where("id % 2 = 0"), path, page_bytes=16 << 10, extent=X.DATASETS["bldg"].extent)
+    page_table.append(d.where("id % 2 = 1"), path, page_bytes=16 << 10, extent=X.DATASETS["bldg"].extent)
+    return _same(page_table.scan(spark, path), X.leaves(spark, sf_dir, "bldg"))
+
+
+add("append_pages", _appended, ORACLES["codec_roundtrip_bldg"])
 
 
 def _compact(spark, sf_dir):
@@ -281,7 +420,7 @@ def _compact(spark, sf_dir):
     page_table.compact(spark, small, path, extent=X.DATASETS["bldg"].extent)
     pages = lambda p, n: spark.read.parquet(p).agg(F.count("*").alias(n))
     fewer = pages(path, "after").join(pages(small, "before")).select((F.col("after") < F.col("before")).alias("fewer_pages"))
-    return _same(page_table.scan(spark, path), d).join(fewer)
+    return _same(page_table.scan(spark, path), X.leaves(spark, sf_dir, "bldg")).join(fewer)
 
 
 for _n in SETS:
@@ -369,7 +508,22 @@ add("grid_partition", lambda s, d: sorting.grid(X.leaves(s, d, "obs_li"), X.DATA
     f"SELECT CAST(least(15, floor((y + 90) / 180 * 16)) * 16 + least(15, floor((x + 180) / 360 * 16)) AS BIGINT) AS cell, count(*) AS cnt FROM ({X.points_sql('obs_li')}) p GROUP BY ALL")
 add("tile_partition", lambda s, d: sorting.tiles(X.leaves(s, d, "obs_li"), 8, 8).groupBy(F.col("cell").cast("int")).agg(F.count("*").alias("cnt"), F.min("x").alias("x_min"), F.max("y").alias("y_max")),
     f"SELECT slab * 8 + tile AS cell, count(*) AS cnt, min(x) AS x_min, max(y) AS y_max FROM (SELECT *, (ntile(8) OVER (PARTITION BY slab ORDER BY y, x, id) - 1)::INT AS tile FROM (SELECT *, (ntile(8) OVER (ORDER BY x, y, id) - 1)::INT AS slab FROM ({X.points_sql('obs_li')}) p)) GROUP BY ALL")
-add("rstar_partition", lambda s, d: (lambda p: sorting.assign(p, sorting.rectangles(p, 2000)).groupBy("cell").agg(F.count("*").alias("cnt")))(X.leaves(s, d, "obs_li")))
+
+
+def _rstar_boxes(points, capacity, most_sampled=sorting.MOST_SAMPLED):
+    d = sorting.partitioned(points, capacity, most_sampled=most_sampled)
+    return d, index.page_boxes(d, ("cell",)).withColumnRenamed("cell", "page")
+
+
+def _rstar(most_sampled, spark, sf_dir):
+    """Rectangles keep to their capacity, hold every point once and their tight boxes share no area."""
+    d, b = _rstar_boxes(X.leaves(spark, sf_dir, "obs_li").select("id", "x", "y"), 2000, most_sampled)
+    q = index.quality(b).select(F.col("overlap").alias("shared_area"))
+    return b.agg(F.sum("n").alias("n"), F.count_if(F.col("n") > 2000).alias("too_full")).join(q)
+
+
+for _n, _k in (("rstar_partition", sorting.MOST_SAMPLED), ("rstar_partition_small_sample", 2_000)):
+    add(_n, partial(_rstar, _k), "SELECT count(*) AS n, 0::BIGINT AS too_full, 0.0::DOUBLE AS shared_area FROM {lineitem}")
 
 # index
 
@@ -394,14 +548,45 @@ for _o in ORDERS:
         r = X.RECTS["medium"]
         return b.agg(F.sum(F.when(index.meets(r), 1).otherwise(0)).alias("by_box"), F.sum(F.when(index.mask_meets(r), 1).otherwise(0)).alias("by_mask"))
 
-    add(f"cell_mask_{_o}", _mask)
+    _x0, _y0, _x1, _y1 = X.RECTS["medium"]
+    _side = lambda a, c: f"b.{a}_min + (b.{a}_max - b.{a}_min) * {c} / 8"
+    _cell = lambda a: f"CASE WHEN b.{a}_max > b.{a}_min THEN least(7, floor((p.{a} - b.{a}_min) / (b.{a}_max - b.{a}_min) * 8))::INT ELSE 0 END"
+    add(f"cell_mask_{_o}", _mask, f"""WITH {O.paged('obs', _o, PAGE)}, b AS (SELECT page, min(x) AS x_min, max(x) AS x_max, min(y) AS y_min, max(y) AS y_max FROM paged GROUP BY page),
+    c AS (SELECT DISTINCT page, {_cell('x')} AS cx, {_cell('y')} AS cy FROM paged p JOIN b USING (page)),
+    m AS (SELECT page, x_max >= {_x0}::DOUBLE AND x_min <= {_x1}::DOUBLE AND y_max >= {_y0}::DOUBLE AND y_min <= {_y1}::DOUBLE AS whole,
+      bool_or({_side('x', 'cx')} <= {_x1}::DOUBLE AND {_side('x', '(cx + 1)')} >= {_x0}::DOUBLE AND {_side('y', 'cy')} <= {_y1}::DOUBLE AND {_side('y', '(cy + 1)')} >= {_y0}::DOUBLE) AS part FROM c JOIN b USING (page) GROUP BY ALL)
+    SELECT (count(*) FILTER (whole))::BIGINT AS by_box, (count(*) FILTER (whole AND part))::BIGINT AS by_mask FROM m""")
 
     def _quality(spark, sf_dir, o=_o):
-        """Box area in ten-thousandths of the domain, rounded down."""
+        """Area of boxes and of what pairs of them share, in ten-thousandths of the domain, rounded down."""
         q = index.quality(index.page_boxes(_paged(spark, sf_dir, "obs", o)))
-        return q.select("pages", F.floor(F.col("area") / (360.0 * 180.0) * 10000).alias("area_e4"))
+        part = lambda c: F.floor(F.round(F.col(c) / (360.0 * 180.0) * 10000, 6))
+        return q.select("pages", part("area").alias("area_e4"), part("overlap").alias("overlap_e4"))
+
+    _part = lambda v: f"floor(round({v} / (360.0 * 180.0) * 10000, 6))::BIGINT"
+    add(f"index_quality_{_o}", _quality, f"""WITH {O.paged('obs', _o, PAGE)}, {_b},
+    s AS (SELECT coalesce(sum((least(l.x_max, r.x_max) - greatest(l.x_min, r.x_min)) * (least(l.y_max, r.y_max) - greatest(l.y_min, r.y_min))), 0) AS shared FROM b l JOIN b r ON l.page < r.page AND l.x_min <= r.x_max AND l.x_max >= r.x_min AND l.y_min <= r.y_max AND l.y_max >= r.y_min)
+    SELECT count(*) AS pages, {_part("sum((x_max - x_min) * (y_max - y_min))")} AS area_e4, {_part("(SELECT shared FROM s)")} AS overlap_e4 FROM b""")
 
-    add(f"index_quality_{_o}", _quality, f"WITH {O.paged('obs', _o, PAGE)}, {_b} SELECT count(*) AS pages, floor(sum((x_max - x_min) * (y_max - y_min)) / (360.0 * 180.0) * 10000)::BIGINT AS area_e4 FROM b")
+
+def _rstar_quality(spark, sf_dir):
+    """The arm without overlap beside the best curve: no shared area, and less area in all."""
+    _, b = _rstar_boxes(X.leaves(spark, sf_dir, "obs").select("id", "x", "y"), PAGE)
+    q = index.quality(b).select(F.col("area").alias("own"), F.col("overlap").alias("shared_area"))
+    h = index.quality(index.page_boxes(_paged(spark, sf_dir, "obs", "hilbert"))).select("area")
+    return q.join(h).select("shared_area", (F.col("own") < F.col("area")).alias("less_than_hilbert"))
+
+
+def _rstar_windows(spark, sf_dir):
+    """Points of each window through the rectangles' boxes."""
+    d, b = _rstar_boxes(X.leaves(spark, sf_dir, "obs").select("id", "x", "y"), PAGE)
+    w = X.run_sql(spark, sf_dir, X.WINDOWS)
+    hit = index.windows_meet(w, b).select("s_suppkey", "qx0", "qy0", "qx1", "qy1", F.col("page").alias("cell"))
+    return d.join(hit, "cell").where("x >= qx0 and x <= qx1 and y >= qy0 and y <= qy1").groupBy("s_suppkey").agg(F.count("*").alias("cnt"))
+
+
+add("index_quality_rstar", _rstar_quality, "SELECT 0.0::DOUBLE AS shared_area, true AS less_than_hilbert")
+add("prune_rstar", _rstar_windows, f"SELECT s_suppkey, count(*) AS cnt FROM ({X.WINDOWS}) w JOIN ({X.points_sql('obs')}) p ON x >= qx0 AND x <= qx1 AND y >= qy0 AND y <= qy1 GROUP BY s_suppkey")
 
 
 def _range(name, rect, spark, sf_dir):
@@ -420,24 +605,74 @@ def _range_sql(name, rect):
     return f"SELECT id, count(x)::INT AS n_coords FROM ({X.points_sql(name)}) p GROUP BY id {where}"
 
 
+def _small_rect(name):
+    """A window below a ten-thousandth of that area."""
+    return {"traj": (-8.6105, 41.151, -8.61025, 41.1512), "roads": (-125.038, 24.881, -124.545, 25.084)}.get(name, (-82.6, 41.712, -82.139, 41.879))
+
+
+def _window(name, size):
+    return X.RECTS[size] if name == "obs" else _small_rect(name) if size == "small" else _rel_rect(name)
+
+
 for _n in SETS:
     add(f"range_none_{_n}", partial(_range, _n, None), _range_sql(_n, None))
-    _r = X.RECTS["medium"] if _n == "obs" else _rel_rect(_n)
-    add(f"range_medium_{_n}", partial(_range, _n, _r), _range_sql(_n, _r))
-for _k in ("small", "far"):
-    add(f"range_{_k}_obs", partial(_range, "obs", X.RECTS[_k]), _range_sql("obs", X.RECTS[_k]))
+    for _k in ("small", "medium"):
+        add(f"range_{_k}_{_n}", partial(_range, _n, _window(_n, _k)), _range_sql(_n, _window(_n, _k)))
+add("range_far_obs", partial(_range, "obs", X.RECTS["far"]), _range_sql("obs", X.RECTS["far"]))
+
+
+def _selectivity(spark, sf_dir):
+    """Share of each window in the extent that a set covers, in millionths, and the geometries that meet it."""
+    out = None
+    for n in SETS:
+        path = _written(spark, sf_dir, n)
+        e = page_table.extent_of(spark, path)
+        for k in ("small", "medium"):
+            r = _window(n, k)
+            hit = page_table.scan(spark, path, r).agg(F.count("*").alias("n_hit"))
+            part = F.floor((r[2] - r[0]) * (r[3] - r[1]) / ((F.col("x_max") - F.col("x_min")) * (F.col("y_max") - F.col("y_min"))) * 1e6)
+            b = e.select(F.lit(n).alias("dataset"), F.lit(k).alias("size"), part.alias("area_ppm"), F.col("n").alias("n_total")).join(hit)
+            out = b if out is None else out.unionByName(b)
+    return out
+
+
+def _selectivity_sql(n, k):
+    r = _window(n, k)
+    area = (r[2] - r[0]) * (r[3] - r[1])
+    return f"SELECT '{n}' AS dataset, '{k}' AS size, (SELECT floor({area!r}::DOUBLE / ((max(x) - min(x)) * (max(y) - min(y))) * 1000000.0::DOUBLE)::BIGINT FROM ({X.points_sql(n)}) p) AS area_ppm, (SELECT count(DISTINCT id) FROM ({X.points_sql(n)}) p) AS n_total, (SELECT count(*) FROM ({_range_sql(n, r)}) h) AS n_hit"
+
+
+add("window_selectivity", _selectivity, " UNION ALL ".join(_selectivity_sql(n, k) for n in SETS for k in ("small", "medium")))
+
+
+def _pruning(spark, sf_dir):
+    """The medium window on a table in one order along the curve: files left out by the manifest, pages and bytes by their bounds.
+
+    Most trips (traj) meet their window, so there is little to leave out.
+    """
+    out = None
+    for n in SETS:
+        path, r = _written(spark, sf_dir, n, sort="total", page_bytes=2 << 10), _window(n, "medium")
+        files = len(page_table.pruned(spark, path, r).inputFiles()), len(spark.read.parquet(path).inputFiles())
+        b = page_table.prune_report(spark, path, r).select(F.lit(n).alias("dataset"), (2 * F.col("pages_hit") < F.col("pages_total")).alias("half_the_pages"), (2 * F.col("bytes_read") < F.col("bytes_total")).alias("half_the_bytes"), F.lit(files[0] <= files[1]).alias("no_more_files"))
+        b = b.join(page_table.scan(spark, path, r).agg(F.count("*").alias("n_hit")))
+        out = b if out is None else out.unionByName(b)
+    return out
+
+
+add("pruned_reads", _pruning, " UNION ALL ".join(f"SELECT '{n}' AS dataset, {str(n != 'traj').lower()} AS half_the_pages, {str(n != 'traj').lower()} AS half_the_bytes, true AS no_more_files, (SELECT count(*) FROM ({_range_sql(n, _window(n, 'medium'))}) h) AS n_hit" for n in SETS))
 
 
 def _wkb_range(name, rect, spark, sf_dir):
     path = X.scratch_path(spark, f"wkb_{name}")
-    baselines.save_wkb(X.dataset(spark, sf_dir, name), path)
-    d = baselines.read_wkb(spark, path, rect)
-    return d.select("id", geom.n_coords(baselines.parse_wkb(F.col("wkb"))).alias("n_coords"))
+    wkb.save_wkb(X.dataset(spark, sf_dir, name), path)
+    d = wkb.read_wkb(spark, path, rect)
+    return d.select("id", geom.n_coords(wkb.parse_wkb(F.col("wkb"))).alias("n_coords"))
 
 
-add("range_wkbbox_small_obs", partial(_wkb_range, "obs", X.RECTS["small"]), _range_sql("obs", X.RECTS["small"]))
-add("range_wkbbox_medium_obs", partial(_wkb_range, "obs", X.RECTS["medium"]), _range_sql("obs", X.RECTS["medium"]))
-add("range_wkbbox_medium_bldg", partial(_wkb_range, "bldg", _rel_rect("bldg")), _range_sql("bldg", _rel_rect("bldg")))
+for _n in SETS:
+    for _k in ("small", "medium"):
+        add(f"range_wkbbox_{_k}_{_n}", partial(_wkb_range, _n, _window(_n, _k)), _range_sql(_n, _window(_n, _k)))
 
 
 def _windows(spark, sf_dir):
@@ -507,7 +742,7 @@ def _sizes(spark, sf_dir):
     for n in SETS:
         d = X.dataset(spark, sf_dir, n)
         g = F.col("geometry")
-        b = d.agg(F.lit(n).alias("dataset"), F.sum(baselines.wkb_size(g)).alias("wkb_bytes"), F.sum(baselines.wkb_size(g) + 32).alias("wkbbox_bytes"), F.sum(baselines.shapefile_size(g)).alias("shp_bytes"), F.sum(16 * geom.n_coords(g)).alias("raw_bytes"))
+        b = d.agg(F.lit(n).alias("dataset"), F.sum(wkb.wkb_size(g)).alias("wkb_bytes"), F.sum(wkb.wkb_size(g) + 32).alias("wkbbox_bytes"), F.sum(shapefile.shapefile_size(g)).alias("shp_bytes"), F.sum(16 * geom.n_coords(g)).alias("raw_bytes"))
         out = b if out is None else out.unionByName(b)
     return out
 
@@ -521,16 +756,59 @@ def _sizes_sql(n):
 
 
 add("size_analytic", _sizes, " UNION ALL ".join(_sizes_sql(n) for n in SETS))
+add("size_measures", _measures, f"""SELECT dataset, own * 6400 // raw_bytes AS bits_e2, wkbbox_bytes * 1000 // own AS wkbbox_e3, shp_bytes * 1000 // own AS shp_e3, raw_bytes * 1000 // own AS raw_e3
+  FROM (SELECT dataset, x_bytes + y_bytes AS own FROM ({ORACLES['payload_bytes_hilbert']}) p) o JOIN ({ORACLES['size_analytic']}) s USING (dataset)""")
+add("sort_bound", _sort_bound, "SELECT count(*) AS n, 500::BIGINT AS most FROM {events}")
 
 
 def _wkb_made(spark, sf_dir):
     """Bytes really made, against the formula."""
-    d = baselines.with_wkb(X.dataset(spark, sf_dir, "lots")).select("id", F.length("wkb").alias("made"))
-    return d.join(X.dataset(spark, sf_dir, "lots").select("id", baselines.wkb_size(F.col("geometry")).alias("size")), "id").agg(F.count("*").alias("n"), F.sum(F.abs(F.col("made") - F.col("size"))).alias("off"))
+    d = wkb.with_wkb(X.dataset(spark, sf_dir, "lots")).select("id", F.length("wkb").alias("made"))
+    return d.join(X.dataset(spark, sf_dir, "lots").select("id", wkb.wkb_size(F.col("geometry")).alias("size")), "id").agg(F.count("*").alias("n"), F.sum(F.abs(F.col("made") - F.col("size"))).alias("off"))
 
 
 add("wkb_bytes_made", _wkb_made, f"SELECT count(DISTINCT id) AS n, 0::BIGINT AS off FROM ({X.points_sql('lots')}) p")
-add("wkb_roundtrip_lots", lambda s, d: baselines.with_wkb(X.dataset(s, d, "lots")).select("id", baselines.parse_wkb(F.col("wkb")).alias("geometry")).select("id", F.col("geometry.type").alias("kind"), geom.n_parts(F.col("geometry")).alias("n_parts"), geom.n_coords(F.col("geometry")).alias("n_coords")), ORACLES["roundtrip_shred_lots"])
+
+
+def _rival(arm, name, spark, sf_dir):
+    """A set through a rival format and back."""
+    d, path = X.dataset(spark, sf_dir, name), X.scratch_path(spark, f"{arm}_{name}")
+    if arm == "wkb":
+        wkb.save_wkb(d, path)
+        back = wkb.read_wkb(spark, path).select("id", wkb.parse_wkb(F.col("wkb")).alias("geometry"))
+    elif arm == "shapefile":
+        shapefile.save_shapefiles(d, path, compressed=name == "lots")
+        back = shapefile.read_shapefiles(spark, path)
+    else:
+        geojson.save_geojson(d, path, "gzip" if name == "lots" else "none", one_file=name == "traj")
+        back = geojson.read_geojson(spark, path)
+    kinds = back.agg(F.count_distinct("id").alias("n_geoms"), F.sum(F.col("geometry.type") * (F.col("id") % 7 + 1)).alias("kinds"))
+    return _same(back, X.leaves(spark, sf_dir, name)).join(kinds)
+
+
+for _n in SETS:
+    for _k in ("wkb", "shapefile", "geojson"):
+        add(f"{_k}_roundtrip_{_n}", partial(_rival, _k, _n), f"SELECT count(x) AS n_coords, 0::BIGINT AS lost, 0::BIGINT AS made, count(DISTINCT id) AS n_geoms, (SELECT sum(kind * (id % 7 + 1))::BIGINT FROM (SELECT DISTINCT id, kind FROM ({X.points_sql(_n)}) q) k) AS kinds FROM ({X.points_sql(_n)}) p")
+
+
+def _members(text, spark, sf_dir):
+    """Flattened collections as one collection each, through its binary or text form and back."""
+    edges = _collections(spark, sf_dir, whole=True)
+    if text:
+        path = X.scratch_path(spark, "collections")
+        inner = lambda m: F.concat(F.lit('{"type":"GeometryCollection","geometries":['), F.array_join(m, ","), F.lit("]}"))
+        m = F.transform("members", lambda x: geojson.geojson(x))
+        # the last two members stand in a collection of their own
+        edges.select("root_id", inner(F.concat(F.slice(m, 1, 2), F.array(inner(F.slice(m, 3, 2))))).alias("text")).write.parquet(path)
+        edges, back = spark.read.parquet(path), geojson.parse_geojson_collection("text")
+    else:
+        back = wkb.parse_wkb_collection(wkb.as_wkb_collection(F.col("members")))
+    back = edges.select("root_id", back.alias("m"))
+    return back.select("root_id", F.posexplode("m").alias("pos", "g")).select("root_id", "pos", F.col("g.type").alias("kind"))
+
+
+add("collection_wkb", partial(_members, False), ORACLES["collection_flatten"])
+add("collection_geojson", partial(_members, True), ORACLES["collection_flatten"])
 
 
 def _csv(spark, sf_dir):
@@ -552,21 +830,20 @@ def _wkt(spark, sf_dir):
 add("wkt_text", _wkt, f"SELECT id, 'POLYGON (' || string_agg(ring, ', ' ORDER BY part_no) || ')' AS text FROM (SELECT id, part_no, '(' || string_agg(xi || ' ' || yi, ', ' ORDER BY coord_no) || ')' AS ring FROM ({X.DATASETS['bldg'].sql}) l GROUP BY id, part_no) r GROUP BY id")
 
 
-def _geojson(spark, sf_dir):
-    path = X.scratch_path(spark, "geojson")
-    baselines.save_geojson(X.dataset(spark, sf_dir, "bldg"), path)
-    d = baselines.read_geojson(spark, path)
-    c = F.from_json("coordinates", "array<array<array<double>>>")
-    return d.select("id", F.aggregate(c, F.lit(0), lambda a, r: a + F.size(r)).alias("n_coords"))
+def _json(spark, sf_dir):
+    path, p = X.scratch_path(spark, "json"), X.leaves(spark, sf_dir, "obs")
+    baselines.save_json_points(p, path)
+    d = baselines.read_json_points(spark, path).select("id", build.point("x", "y").alias("geometry"))
+    return _same(d, p)
 
 
-add("geojson_parse_back", _geojson, f"SELECT id, count(x)::INT AS n_coords FROM ({X.points_sql('bldg')}) p GROUP BY id")
+add("json_points", _json, ORACLES["codec_roundtrip_obs"])
 
 
 def _shp(spark, sf_dir):
     out = None
     for n in ("obs", "bldg"):
-        b = baselines.shape_files(X.dataset(spark, sf_dir, n)).agg(F.lit(n).alias("dataset"), F.sum(F.length("shp") - 100 + F.length("shx") - 100).alias("record_bytes"))
+        b = shapefile.shape_files(X.dataset(spark, sf_dir, n)).agg(F.lit(n).alias("dataset"), F.sum(F.length("shp") - 100 + F.length("shx") - 100).alias("record_bytes"))
         out = b if out is None else out.unionByName(b)
     return out
 
@@ -622,7 +899,7 @@ add("filter_attr_rect", lambda s, d: _bldg_attrs(s, d).where(F.col("o_orderstatu
     f"SELECT id FROM ({_range_sql('bldg', _rel_rect('bldg'))}) r JOIN {{orders}} ON id = o_orderkey WHERE o_orderstatus = 'F'")
 add("topk_vertices", lambda s, d: X.dataset(s, d, "roads").select("id", geom.n_coords(F.col("geometry")).alias("n")).orderBy(F.desc("n"), "id").limit(20), f"SELECT id, count(x)::INT AS n FROM ({X.points_sql('roads')}) p GROUP BY id ORDER BY n DESC, id LIMIT 20")
 _d2 = "(x - 20.0) * (x - 20.0) + (y + 30.0) * (y + 30.0)"
-add("knn_points", lambda s, d: X.leaves(s, d, "obs").selectExpr("id", f"{_d2} as d2").orderBy("d2", "id").limit(10).select("id"), f"SELECT id FROM ({X.points_sql('obs')}) p ORDER BY {_d2}, id LIMIT 10")
+add("knn_points", lambda s, d: page_table.nearest(s, _written(s, d, "obs", sort="total", page_bytes=2 << 10), 20.0, -30.0, 10).select("id"), f"SELECT id FROM ({X.points_sql('obs')}) p ORDER BY {_d2}, id LIMIT 10")
 add("agg_distinct_coords", lambda s, d: X.leaves(s, d, "obs").agg(F.count_distinct("x", "y").alias("n")), f"SELECT count(*) AS n FROM (SELECT DISTINCT x, y FROM ({X.points_sql('obs')}) p) q")
 _two = (X.RECTS["medium"], (10.0, -60.0, 30.0, -20.0))
 for _k, _sql in (("intersect", "INTERSECT"), ("subtract", "EXCEPT"), ("union", "UNION")):
@@ -655,6 +932,16 @@ def _asof(spark, sf_dir):
 add("asof_traj", _asof, "SELECT event_id, last_value(CASE WHEN event_type = 'purchase' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS last_purchase FROM {events}")
 
 
+def _functions(spark, sf_dir):
+    """Registered functions over a view of a page table."""
+    sql_functions.register(spark)
+    page_table.scan(spark, _written(spark, sf_dir, "bldg")).createOrReplaceTempView("geopages_bldg")
+    return spark.sql("SELECT geo_kind(geometry) AS kind, count(*) AS n, sum(geo_parts(geometry)) AS rings, sum(geo_vertices(geometry)) AS vertices, max(geo_box(geometry).x_max) AS x_max FROM geopages_bldg WHERE geo_meets(geometry, -99, 36, -92, 43) GROUP BY 1")
+
+
+add("sql_functions", _functions, f"SELECT 'POLYGON' AS kind, count(*) AS n, sum(p)::BIGINT AS rings, sum(c)::BIGINT AS vertices, max(x1) AS x_max FROM (SELECT id, count(DISTINCT part_no) AS p, count(x) AS c, min(x) AS x0, max(x) AS x1, min(y) AS y0, max(y) AS y1 FROM ({X.points_sql('bldg')}) p GROUP BY id) g WHERE x1 >= -99 AND x0 <= -92 AND y1 >= 36 AND y0 <= 43")
+
+
 def _sql(spark, sf_dir):
     X.dataset(spark, sf_dir, "obs").createOrReplaceTempView("geopages_obs")
     return spark.sql("SELECT geometry.type AS kind, count(*) AS n, max(geometry.parts[0][0].x) AS x_max FROM geopages_obs GROUP BY 1")

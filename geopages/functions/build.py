@@ -128,21 +128,29 @@ def split_polygons(parts: Column) -> Column:
 # leaves
 
 
-def shred(df: DataFrame, geometry: str = "geometry", id: str = "id") -> DataFrame:
-    """Leaf rows as a column store sees them: kind, part and coordinate numbers, repetition level, x, y."""
+def shred(df: DataFrame, geometry: str = "geometry", id: str = "id", nullable: bool = False) -> DataFrame:
+    """Leaf rows as a column store sees them: kind, part and coordinate numbers, repetition and definition level, x, y.
+
+    The repetition level is that of the list that goes on (0: a new record). The definition level
+    counts what is there on the way to a coordinate: 0 without parts, 1 for a part without
+    coordinates, 2 for a coordinate; one more each where the geometry itself may be null.
+    """
     d = df.select(id, F.col(f"{geometry}.type").alias("kind"), F.posexplode_outer(f"{geometry}.parts").alias("part_no", "part"))
     d = d.select(id, "kind", "part_no", F.posexplode_outer("part").alias("coord_no", "c"))
     rep = F.when(F.col("coord_no") > 0, 2).when(F.col("part_no") > 0, 1).otherwise(0)
-    return d.select(id, "kind", "part_no", "coord_no", rep.alias("rep_level"), F.col("c.x").alias("x"), F.col("c.y").alias("y"))
+    define = F.when(F.col("coord_no").isNotNull(), 2).when(F.col("part_no").isNotNull(), 1).otherwise(0)
+    define = define + F.when(F.col("kind").isNotNull(), 1).otherwise(0) if nullable else define
+    return d.select(id, "kind", "part_no", "coord_no", rep.alias("rep_level"), define.alias("def_level"), F.col("c.x").alias("x"), F.col("c.y").alias("y"))
 
 
-def assemble(leaves: DataFrame, id: str = "id") -> DataFrame:
-    """Geometries from leaf rows (id, kind, part_no, coord_no, x, y), in any order."""
-    c = F.array_sort(F.collect_list(F.struct("coord_no", F.struct("x", "y").alias("c"))))
+def assemble(leaves: DataFrame, id: str = "id", axes: tuple[str, ...] = ("x", "y")) -> DataFrame:
+    """Geometries from leaf rows (id, kind, part_no, coord_no and the axes), in any order."""
+    none = f"array<array<struct<{','.join(f'{a}:double' for a in axes)}>>>"
+    c = F.array_sort(F.collect_list(F.struct("coord_no", F.struct(*axes).alias("c"))))
     parts = leaves.where("part_no is not null").groupBy(id, "kind", "part_no").agg(F.transform(c, lambda v: v["c"]).alias("part"))
     p = F.array_sort(F.collect_list(F.struct("part_no", "part")))
     whole = parts.groupBy(id, "kind").agg(F.transform(p, lambda v: v["part"]).alias("parts"))
-    bare = leaves.where("part_no is null").select(id, "kind", F.array().cast("array<array<struct<x:double,y:double>>>").alias("parts"))
+    bare = leaves.where("part_no is null").select(id, "kind", F.array().cast(none).alias("parts"))
     g = F.when(F.col("kind").isNotNull(), F.struct(F.col("kind").cast("int").alias("type"), "parts"))
     return whole.unionByName(bare).select(id, g.alias("geometry"))
 

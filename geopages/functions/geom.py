@@ -30,10 +30,17 @@ def is_empty(g: Column) -> Column:
     return g["type"] == int(Kind.EMPTY)
 
 
+def _lone(g: Column, axis: str) -> Column:
+    """A value of a point's only vertex; null for NaN."""
+    v = F.get(F.get(g["parts"], F.lit(0)), F.lit(0))[axis]
+    return F.when(~F.isnan(v), v)
+
+
 def box(g: Column) -> Column:
-    """struct x_min, y_min, x_max, y_max; its fields are null without coordinates. NaN takes no part."""
+    """struct x_min, y_min, x_max, y_max; its fields are null without coordinates. NaN takes no part. A point's box needs no array work."""
     axis = lambda n: F.filter(F.transform(_coords(g), lambda c: c[n]), lambda v: ~F.isnan(v))
-    return F.struct(F.array_min(axis("x")).alias("x_min"), F.array_min(axis("y")).alias("y_min"), F.array_max(axis("x")).alias("x_max"), F.array_max(axis("y")).alias("y_max"))
+    bound = lambda f, n: F.when(g["type"] == int(Kind.POINT), _lone(g, n)).otherwise(f(axis(n)))
+    return F.struct(bound(F.array_min, "x").alias("x_min"), bound(F.array_min, "y").alias("y_min"), bound(F.array_max, "x").alias("x_max"), bound(F.array_max, "y").alias("y_max"))
 
 
 def intersects(a: Column, x0, y0, x1, y1) -> Column:
@@ -63,8 +70,11 @@ def centre(g: Column, how: str = "box") -> Column:
         c = _coords(g)
         mean = lambda n: F.aggregate(c, F.lit(0.0), lambda a, v: a + v[n]) / F.size(c)
         return F.struct(mean("x").alias("x"), mean("y").alias("y"))
-    b = box(g)
-    return F.struct(((b["x_min"] + b["x_max"]) / 2).alias("x"), ((b["y_min"] + b["y_max"]) / 2).alias("y"))
+    if how == "box":
+        axis = lambda n: F.filter(F.transform(_coords(g), lambda c: c[n]), lambda v: ~F.isnan(v))
+        middle = lambda n: F.when(g["type"] == int(Kind.POINT), _lone(g, n)).otherwise((F.array_min(axis(n)) + F.array_max(axis(n))) / 2)
+        return F.struct(middle("x").alias("x"), middle("y").alias("y"))
+    raise ValueError(f"no such point: {how}")
 
 
 def contains_point(ring: Column, x, y) -> Column:

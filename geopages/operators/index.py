@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.curve import WORLD, Extent
 from . import box_join
 
 Rect = tuple[float, float, float, float]
@@ -22,7 +23,7 @@ def meets(rect: Rect) -> Column:
     return (F.col("x_max") >= x0) & (F.col("x_min") <= x1) & (F.col("y_max") >= y0) & (F.col("y_min") <= y1)
 
 
-#: Windows that are sent to every task at most (32 bytes of bounds each, and their other columns).
+#: Windows that are sent to every task at most (32 bytes of bounds each, and their other columns); both ways give the same pairs.
 MOST_WINDOWS = 100_000
 
 
@@ -33,10 +34,15 @@ def windows_meet(windows: DataFrame, boxes: DataFrame, most: int = MOST_WINDOWS)
     return boxes.join(F.broadcast(windows), (F.col("x_max") >= F.col("qx0")) & (F.col("x_min") <= F.col("qx1")) & (F.col("y_max") >= F.col("qy0")) & (F.col("y_min") <= F.col("qy1")))
 
 
-def quality(boxes: DataFrame) -> DataFrame:
-    """Pages, their total area and margin."""
+def quality(boxes: DataFrame, extent: Extent = WORLD, page: str = "page") -> DataFrame:
+    """Pages, their total area and margin, and the area that pairs of pages share, from a grid join of the boxes with themselves."""
     w, h = F.col("x_max") - F.col("x_min"), F.col("y_max") - F.col("y_min")
-    return boxes.agg(F.count("*").alias("pages"), F.sum(w * h).alias("area"), F.sum(w + h).alias("margin"))
+    one = boxes.agg(F.count("*").alias("pages"), F.sum(w * h).alias("area"), F.sum(w + h).alias("margin"))
+    a = boxes.select(F.col(page).alias("_l"), *box_join.LEFT)
+    b = boxes.select(F.col(page).alias("_r"), *[F.col(x).alias(y) for x, y in zip(box_join.LEFT, box_join.RIGHT, strict=True)])
+    side = lambda axis: F.least(f"{axis}_max", f"q{axis}1") - F.greatest(f"{axis}_min", f"q{axis}0")
+    shared = box_join.meet(a, b, extent).where("_l < _r").agg(F.coalesce(F.sum(side("x") * side("y")), F.lit(0.0)).alias("overlap"))
+    return one.crossJoin(F.broadcast(shared))  # a row with a row
 
 
 def cell_mask(paged: DataFrame, boxes: DataFrame, k: int = 8) -> DataFrame:

@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..functions import geom
 from ..functions.curve import WORLD, Extent, curve_key
@@ -72,51 +76,142 @@ def share_start(part: Column, n: Column, k: int) -> Column:
 # rectangles
 
 
-def split_sample(points: np.ndarray, capacity: int, min_fill: float = 0.3) -> list[tuple[float, float, float, float]]:
-    """Rectangles that tile the plane, by splits of a sample: along the axis and at the place of least overlap-free margin, both sides filled at least ``min_fill``."""
-    inf = float("inf")
-    out, todo = [], [(points, (-inf, -inf, inf, inf))]
+#: Most rows of a sample for rectangles, and rows of it that each rectangle should have: together they bound the tree that every task gets (some 100,000 nodes).
+MOST_SAMPLED, SAMPLED_EACH = 1_000_000, 20
+
+
+@dataclass(frozen=True)
+class Splits:
+    """Rectangles that tile the plane, as a tree of splits: of each node the axis (-1 at a leaf), the value, where the sides go on (a leaf: its number)."""
+
+    axis: np.ndarray
+    value: np.ndarray
+    low: np.ndarray
+    high: np.ndarray
+    #: Rows that a leaf is meant to hold.
+    capacity: int
+
+    def leaf_of(self, x: np.ndarray, y: np.ndarray) -> np.ndarray:
+        """Numbers of the leaves that hold points; half-open, so each point has one."""
+        node = np.zeros(len(x), np.int64)
+        inner = np.flatnonzero(self.axis[node] >= 0)
+        while len(inner):
+            at = node[inner]
+            v = np.where(self.axis[at] == 0, x[inner], y[inner])
+            node[inner] = np.where(v < self.value[at], self.low[at], self.high[at])
+            inner = inner[self.axis[node[inner]] >= 0]
+        return self.low[node]
+
+    def boxes(self) -> list[tuple[float, float, float, float]]:
+        """Rectangles by their leaves' numbers; the outer ones are open to infinity."""
+        inf = float("inf")
+        out, todo = {}, [(0, (-inf, -inf, inf, inf))]
+        while todo:
+            i, r = todo.pop()
+            a = int(self.axis[i])
+            if a < 0:
+                out[int(self.low[i])] = r
+                continue
+            left, right = list(r), list(r)
+            left[2 + a] = right[a] = float(self.value[i])
+            todo += [(int(self.low[i]), tuple(left)), (int(self.high[i]), tuple(right))]
+        return [out[k] for k in sorted(out)]
+
+
+def _best_split(p: np.ndarray, min_fill: float) -> tuple[int, float] | None:
+    """Axis and value of a split as an R*-tree makes them: the axis of least margin over all allowed places, on it the place of least area.
+
+    The tight boxes of the sides never overlap, since points of one value stay together.
+    """
+    least = max(1, int(min_fill * len(p)))
+    best = None
+    for axis in (0, 1):
+        s = p[p[:, axis].argsort(kind="stable")]
+        lo, hi = np.minimum.accumulate(s), np.maximum.accumulate(s)
+        lo2, hi2 = np.minimum.accumulate(s[::-1])[::-1], np.maximum.accumulate(s[::-1])[::-1]
+        at = np.arange(least, len(p) - least + 1)
+        at = at[at < len(p)]
+        at = at[s[at - 1, axis] < s[at, axis]]
+        if len(at):
+            first, second = hi[at - 1] - lo[at - 1], hi2[at] - lo2[at]
+            margin = (first.sum(1) + second.sum(1)).mean()
+            if best is None or margin < best[0]:
+                k = int((first.prod(1) + second.prod(1)).argmin())
+                best = margin, axis, float(s[at[k], axis])
+    return best and best[1:]
+
+
+def split_points(points: np.ndarray, capacity: int, min_fill: float = 0.3) -> Splits:
+    """Splits of points (rows of x, y) until no rectangle holds more than ``capacity``, but for points in one place."""
+    axis, value, low, high, leaves = [], [], [], [], 0
+    todo = [(points, -1, False)]
     while todo:
-        p, r = todo.pop()
-        if len(p) <= capacity:
-            out.append(r)
-            continue
-        least = max(1, int(min_fill * len(p)))
-        best = None
-        for axis in (0, 1):
-            s = p[p[:, axis].argsort(kind="stable")]
-            lo, hi = np.minimum.accumulate(s), np.maximum.accumulate(s)
-            lo2, hi2 = np.minimum.accumulate(s[::-1])[::-1], np.maximum.accumulate(s[::-1])[::-1]
-            at = np.arange(least, len(p) - least + 1)
-            at = at[s[at - 1, axis] < s[at, axis]] if len(at) and at[-1] < len(p) else at[:-1][s[at[:-1] - 1, axis] < s[at[:-1], axis]]
-            if len(at):
-                margin = (hi[at - 1] - lo[at - 1]).sum(1) + (hi2[at] - lo2[at]).sum(1)
-                k = int(margin.argmin())
-                if best is None or margin[k] < best[0]:
-                    best = margin[k], axis, float(s[at[k], axis])
-        if best is None:  # all in one place
-            out.append(r)
+        p, parent, is_high = todo.pop()
+        i = len(axis)
+        if parent >= 0:
+            (high if is_high else low)[parent] = i
+        split = _best_split(p, min_fill) if len(p) > capacity else None
+        axis.append(-1 if split is None else split[0])
+        value.append(0.0 if split is None else split[1])
+        low.append(leaves if split is None else -1)
+        high.append(-1)
+        if split is None:
+            leaves += 1
             continue
-        _, axis, v = best
-        left, right = list(r), list(r)
-        left[2 + axis], right[axis] = v, v
-        todo += [(p[p[:, axis] >= v], tuple(right)), (p[p[:, axis] < v], tuple(left))]
-    return sorted(out)
+        side = p[:, split[0]] >= split[1]
+        todo += [(p[side], i, True), (p[~side], i, False)]
+    return Splits(np.array(axis, np.int8), np.array(value), np.array(low, np.int64), np.array(high, np.int64), capacity)
 
 
-def rectangles(points: DataFrame, capacity: int = 10_000, min_fill: float = 0.3, sample_rows: int = 100_000, seed: int = 7) -> list[tuple[float, float, float, float]]:
-    """Rectangles for ``capacity`` points each, from a sample of bounded size."""
+def rectangles(points: DataFrame, capacity: int = 10_000, min_fill: float = 0.3, seed: int = 7, most_sampled: int = MOST_SAMPLED) -> Splits:
+    """Splits for ``capacity`` points a rectangle from a sample that grows with their number up to a bound.
+
+    Beyond it the rectangles are made larger, as ``capacity`` of the result says; ``partitioned`` splits those again.
+    """
     n = points.count()
-    share = min(1.0, sample_rows / max(n, 1))
-    s = np.array([(r.x, r.y) for r in points.select("x", "y").sample(share, seed).limit(2 * sample_rows).collect()]).reshape(-1, 2)
-    return split_sample(s, max(1, int(capacity * share)), min_fill)
+    wanted = min(most_sampled, max(100_000, SAMPLED_EACH * -(-n // capacity)))
+    share = min(1.0, wanted / max(n, 1))
+    s = points.select("x", "y").where("x is not null and y is not null and not isnan(x) and not isnan(y)")
+    s = s.sample(share, seed).limit(2 * wanted) if share < 1 else s
+    s = np.array([(r.x, r.y) for r in s.collect()]).reshape(-1, 2)
+    own = capacity if share == 1 else max(capacity, int(SAMPLED_EACH / share))
+    tree = split_points(s, max(1, int(own * share)), min_fill)
+    return Splits(tree.axis, tree.value, tree.low, tree.high, own)
+
 
+def assign(points: DataFrame, tree: Splits) -> DataFrame:
+    """``points`` with the number of their rectangle, by walks down the tree for whole batches: no join, no shuffle."""
 
-def assign(points: DataFrame, boxes: list[tuple[float, float, float, float]]) -> DataFrame:
-    """``points`` with the number of their rectangle; half-open, so each point has one."""
-    b = points.sparkSession.createDataFrame([(i, *map(float, r)) for i, r in enumerate(boxes)], "cell long, bx0 double, by0 double, bx1 double, by1 double")
-    inside = (F.col("x") >= F.col("bx0")) & (F.col("x") < F.col("bx1")) & (F.col("y") >= F.col("by0")) & (F.col("y") < F.col("by1"))
-    return points.join(F.broadcast(b), inside).drop("bx0", "by0", "bx1", "by1")
+    @F.arrow_udf(T.LongType())
+    def leaf(x: pa.Array, y: pa.Array) -> pa.Array:
+        nan = float("nan")
+        return pa.array(tree.leaf_of(*(v.fill_null(nan).to_numpy(zero_copy_only=False) for v in (x, y))))
+
+    return points.withColumn("cell", leaf(F.col("x").cast("double"), F.col("y").cast("double")))
+
+
+def partitioned(points: DataFrame, capacity: int = 10_000, min_fill: float = 0.3, most_sampled: int = MOST_SAMPLED) -> DataFrame:
+    """``points`` with ``cell``: rectangles of up to ``capacity`` points (more only in one place), however many points there are.
+
+    Rectangles that turn out too full, by the luck or the bound of the sample, are split again by all their own points, each in one group.
+    """
+    tree = rectangles(points, capacity, min_fill, most_sampled=most_sampled)
+    d = assign(points, tree)
+    # as many rows as the tree has leaves at most
+    full = [r.cell for r in d.groupBy("cell").count().where(F.col("count") > capacity).select("cell").collect()]
+    if not full:
+        return d
+
+    def split(group: pa.Table) -> pa.Table:
+        x, y = (group.column(a).combine_chunks().fill_null(float("nan")).to_numpy(zero_copy_only=False).astype(float) for a in "xy")
+        real = ~(np.isnan(x) | np.isnan(y))
+        own = split_points(np.stack([x[real], y[real]], 1), capacity, min_fill).leaf_of(x, y)
+        first = group.column("cell").to_numpy()
+        return group.set_column(group.schema.get_field_index("cell"), "cell", pa.array((first << 24) + own))
+
+    cells = F.broadcast(d.sparkSession.createDataFrame([(c,) for c in full], "cell long"))
+    again = d.join(cells, "cell", "left_semi").groupBy("cell").applyInArrow(split, d.schema)
+    return d.join(cells, "cell", "left_anti").withColumn("cell", F.shiftleft("cell", 24)).select(d.columns).unionByName(again)
 
 
 def grid(points: DataFrame, extent: Extent, cells: int) -> DataFrame:

@@ -96,3 +96,34 @@ def empirical_bits(paged: DataFrame, share: float = 0.01, seed: int = 7) -> Data
         paged = paged.where(F.pmod(F.xxhash64(F.lit(seed), "sort_group", "page"), F.lit(1 << 20)) < int(share * (1 << 20)))
     h = width_histogram(deltas(paged), ["axis"])
     return cost.best_page_bits(h, ["axis"]).select("axis", "n", "bits")
+
+
+_PAGE_SIZES = T.StructType([T.StructField(n, T.LongType()) for n in ("plain", "plain_gzip", "coded", "coded_gzip", "coded_bits")])
+
+
+def encoded(values: Column, **options) -> Column:
+    """Sizes of a page of an array of doubles: bytes plain and as the codec writes them, each also after gzip, and the bits that the model foretells."""
+
+    @F.arrow_udf(_PAGE_SIZES)
+    def sizes(v: pa.Array) -> pa.Array:
+        import zlib
+
+        import numpy as np
+
+        from . import codec
+
+        flat, at = v.values.to_numpy(zero_copy_only=False), v.offsets.to_numpy()
+        rows = []
+        for a, b in zip(at[:-1], at[1:], strict=True):
+            own = np.ascontiguousarray(flat[a:b])
+            p = codec.encode_page(own, **options)
+            rows.append((own.nbytes, len(zlib.compress(own.tobytes(), 6, 31)), len(p.data), len(zlib.compress(p.data, 6, 31)), p.predicted_bits))
+        return pa.StructArray.from_arrays([pa.array([r[i] for r in rows], pa.int64()) for i in range(5)], names=_PAGE_SIZES.names)
+
+    return sizes(values)
+
+
+def page_values(paged: DataFrame) -> DataFrame:
+    """(page, x, y): each page's values in order, as arrays."""
+    rows = F.array_sort(F.collect_list(F.struct("ord", "x", "y")))
+    return paged.groupBy("page").agg(rows.alias("r")).select("page", F.col("r.x").alias("x"), F.col("r.y").alias("y"))

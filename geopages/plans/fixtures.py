@@ -81,7 +81,7 @@ DATASETS = {
         100_000, Extent(-120.0, 20.0, -56.0, 52.0), ("orders", "customer"),
     ),
     "obs_li": Dataset(
-        f"""SELECT row_number() OVER (ORDER BY (l_orderkey * 2654435761 + l_linenumber * 40503) % 2147483648, l_orderkey, l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice, l_discount, l_tax, l_returnflag, l_linestatus, l_shipdate) AS id,
+        f"""SELECT (((l_orderkey * 8 + l_linenumber) * 32768 + l_partkey % 32768) * 1024 + l_suppkey % 1024) * 1024 + {_extended} % 1024 AS id,
         1 AS kind, 0 AS part_no, 0 AS coord_no,
         ((l_suppkey * 7919 + l_partkey * 13) % 3600) * 1000 - 1800000 + {_extended} % 1000 AS xi, (l_partkey * 104729 % 1800) * 1000 - 900000 + l_orderkey * 31 % 1000 AS yi FROM {{lineitem}}""",
         10_000, WORLD, ("lineitem",),

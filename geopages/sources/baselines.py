@@ -1,227 +1,22 @@
-"""Formats to compare with: WKB with box columns, WKT, GeoJSON, Shapefile, plain doubles, ordered bits."""
+"""Other layouts to compare with: plain doubles, ordered bits, CSV and JSON rows. Rival formats have modules of their own (``wkb``, ``shapefile``, ``geojson``)."""
 
 from __future__ import annotations
 
-import struct
 from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
-from ..functions import geom
-from ..functions.build import Kind, geometry_type, split_polygons
-from ..operators.index import Rect, meets
+from ..functions.build import geometry_type
 
 
-def wkb(kind: int, parts: list[list[tuple[float, float]]]) -> bytes:
-    """Little-endian well-known binary."""
-    head = lambda k: struct.pack("<BI", 1, k)
-    ring = lambda p: struct.pack(f"<I{2 * len(p)}d", len(p), *[v for c in p for v in c])
-    if kind == Kind.POINT:
-        return head(1) + struct.pack("<2d", *parts[0][0])
-    if kind == Kind.LINESTRING:
-        return head(2) + ring(parts[0])
-    if kind == Kind.POLYGON:
-        return head(3) + struct.pack("<I", len(parts)) + b"".join(map(ring, parts))
-    if kind == Kind.MULTIPOINT:
-        return head(4) + struct.pack("<I", len(parts)) + b"".join(head(1) + struct.pack("<2d", *p[0]) for p in parts)
-    if kind == Kind.MULTILINESTRING:
-        return head(5) + struct.pack("<I", len(parts)) + b"".join(head(2) + ring(p) for p in parts)
-    if kind == Kind.MULTIPOLYGON:
-        polygons: list[list] = []
-        for p in parts:
-            area = sum((p[i][0] - p[0][0]) * (p[i + 1][1] - p[0][1]) - (p[i + 1][0] - p[0][0]) * (p[i][1] - p[0][1]) for i in range(len(p) - 1))
-            if not polygons or area < 0:
-                polygons.append([])
-            polygons[-1].append(p)
-        return head(6) + struct.pack("<I", len(polygons)) + b"".join(wkb(Kind.POLYGON, q) for q in polygons)
-    return head(7) + struct.pack("<I", 0)
-
-
-def from_wkb(data: bytes) -> tuple[int, list[list[tuple[float, float]]]]:
-    def read(at: int):
-        order = "<" if data[at] == 1 else ">"
-        (kind,) = struct.unpack_from(order + "I", data, at + 1)
-        at += 5
-        if kind == 1:
-            return 1, [[struct.unpack_from(order + "2d", data, at)]], at + 16
-        (n,) = struct.unpack_from(order + "I", data, at)
-        at += 4
-        if kind == 2:
-            v = struct.unpack_from(f"{order}{2 * n}d", data, at)
-            return 2, [list(zip(v[::2], v[1::2], strict=True))], at + 16 * n
-        parts = []
-        for _ in range(n):
-            if kind == 3:
-                (m,) = struct.unpack_from(order + "I", data, at)
-                v = struct.unpack_from(f"{order}{2 * m}d", data, at + 4)
-                parts.append(list(zip(v[::2], v[1::2], strict=True)))
-                at += 4 + 16 * m
-            else:
-                _, inner, at = read(at)
-                parts += inner
-        return 0 if kind == 7 else kind, parts, at
-
-    return read(0)[:2]
-
-
-def _to_wkb(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        out = [None if g is None else wkb(g["type"], [[(c["x"], c["y"]) for c in p] for p in g["parts"]]) for g in b.column(1).to_pylist()]
-        yield pa.record_batch([b.column(0), pa.array(out, pa.binary()), *b.columns[2:]], names=["id", "wkb", "x_min", "y_min", "x_max", "y_max"])
-
-
-def with_wkb(df: DataFrame) -> DataFrame:
-    """(id, wkb, x_min, y_min, x_max, y_max)."""
-    b = geom.box(F.col("geometry"))
-    d = df.select(F.col("id").cast("long").alias("id"), "geometry", b.alias("b")).select("id", "geometry", "b.x_min", "b.y_min", "b.x_max", "b.y_max")
-    return d.mapInArrow(_to_wkb, "id long, wkb binary, x_min double, y_min double, x_max double, y_max double")
-
-
-def save_wkb(df: DataFrame, path: str, compression: str = "none") -> None:
-    with_wkb(df).write.mode("overwrite").option("compression", compression).parquet(path)
-
-
-@F.arrow_udf(geometry_type())
-def parse_wkb(v: pa.Array) -> pa.Array:
-    rows = [None if b is None else from_wkb(b) for b in v.to_pylist()]
-    point = pa.struct([("x", pa.float64()), ("y", pa.float64())])
-    kind = pa.struct([("type", pa.int32()), ("parts", pa.list_(pa.list_(point)))])
-    return pa.array([None if r is None else {"type": r[0], "parts": [[{"x": x, "y": y} for x, y in p] for p in r[1]]} for r in rows], kind)
-
-
-def read_wkb(spark: SparkSession, path: str, rect: Rect | None = None) -> DataFrame:
-    t = spark.read.parquet(path)
-    return t.where(meets(rect)) if rect is not None else t
-
-
-def wkb_size(g: Column) -> Column:
-    """Bytes of the binary form, without making it."""
-    parts = g["parts"]
-    n = F.size(parts)
-    each = lambda base, per: F.aggregate(parts, F.lit(base), lambda a, p: a + per + 16 * F.size(p))
-    polygons = F.size(split_polygons(parts))
-    return (
-        F.when(g["type"] == 1, F.lit(21)).when(g["type"] == 2, 9 + 16 * F.size(F.get(parts, F.lit(0)))).when(g["type"] == 3, each(9, 4))
-        .when(g["type"] == 4, 9 + 21 * n).when(g["type"] == 5, each(9, 9)).when(g["type"] == 6, each(9, 4) + 9 * polygons).otherwise(F.lit(9))
-    )
-
-
-def shapefile_size(g: Column) -> Column:
-    """Bytes of a record, its header and its index entry."""
-    n, m = geom.n_parts(g), geom.n_coords(g)
-    body = F.when(g["type"] == 1, F.lit(20)).when(g["type"] == 4, 40 + 16 * m).when(g["type"].isin(2, 3, 5, 6), 44 + 4 * n + 16 * m).otherwise(F.lit(4))
-    return body + 16
-
-
-def geojson(g: Column) -> Column:
-    """Text of the geometry member; collections and empties are null."""
-    xy = lambda c: F.array(c["x"], c["y"])
-    ring = lambda p: F.transform(p, xy)
-    text = lambda kind, coords: F.concat(F.lit(f'{{"type":"{kind}","coordinates":'), F.to_json(coords), F.lit("}"))
-    parts = g["parts"]
-    return (
-        F.when(g["type"] == 1, text("Point", xy(F.get(F.get(parts, F.lit(0)), F.lit(0))))).when(g["type"] == 2, text("LineString", ring(F.get(parts, F.lit(0)))))
-        .when(g["type"] == 3, text("Polygon", F.transform(parts, ring))).when(g["type"] == 4, text("MultiPoint", F.transform(F.flatten(parts), xy)))
-        .when(g["type"] == 5, text("MultiLineString", F.transform(parts, ring))).when(g["type"] == 6, text("MultiPolygon", F.transform(split_polygons(parts), lambda p: F.transform(p, ring))))
-    )
-
-
-def save_geojson(df: DataFrame, path: str, compression: str = "none") -> None:
-    line = F.concat(F.lit('{"type":"Feature","id":'), F.col("id").cast("string"), F.lit(',"geometry":'), F.coalesce(geojson(F.col("geometry")), F.lit("null")), F.lit("}"))
-    df.select(line.alias("value")).write.mode("overwrite").option("compression", compression).text(path)
-
-
-def read_geojson(spark: SparkSession, path: str) -> DataFrame:
-    """(id, type, coordinates as JSON text)."""
-    t = spark.read.text(path)
-    get = lambda p: F.get_json_object("value", p)
-    return t.select(get("$.id").cast("long").alias("id"), get("$.geometry.type").alias("type"), get("$.geometry.coordinates").alias("coordinates"))
-
-
-SHAPE = {Kind.POINT: 1, Kind.LINESTRING: 3, Kind.POLYGON: 5, Kind.MULTIPOINT: 8, Kind.MULTILINESTRING: 3, Kind.MULTIPOLYGON: 5}
-
-
-def shape_record(number: int, kind: int, parts: list[list[tuple[float, float]]]) -> bytes:
-    """A record of the main file: big-endian header, little-endian body."""
-    points = [c for p in parts for c in p]
-    body = struct.pack("<i", SHAPE.get(kind, 0))
-    if kind == Kind.POINT:
-        body += struct.pack("<2d", *points[0])
-    elif kind:
-        xs, ys = [p[0] for p in points], [p[1] for p in points]
-        body += struct.pack("<4d", min(xs), min(ys), max(xs), max(ys))
-        if kind == Kind.MULTIPOINT:
-            body += struct.pack("<i", len(points))
-        else:
-            starts = [sum(map(len, parts[:i])) for i in range(len(parts))]
-            body += struct.pack(f"<2i{len(parts)}i", len(parts), len(points), *starts)
-        body += struct.pack(f"<{2 * len(points)}d", *[v for p in points for v in p])
-    return struct.pack(">2i", number, len(body) // 2) + body
-
-
-def shape_files(df: DataFrame, most: int = 1_000_000) -> DataFrame:
-    """(part, shp, shx): main and index file of each run of up to ``most`` geometries of a partition."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from pyspark import TaskContext
-
-        part, n, made = TaskContext.get().partitionId(), 0, 0
-        shp, shx = bytearray(), bytearray()
-
-        def whole(body: bytes) -> bytes:
-            return struct.pack(">7i", 9994, 0, 0, 0, 0, 0, (100 + len(body)) // 2) + struct.pack("<2i8d", 1000, 0, *[0.0] * 8) + body
-
-        def out():
-            return pa.record_batch([pa.array([part * 1_000_000 + made]), pa.array([whole(bytes(shp))], pa.binary()), pa.array([whole(bytes(shx))], pa.binary())], names=["part", "shp", "shx"])
-
-        for b in batches:
-            for g in b.column(0).to_pylist():
-                n += 1
-                r = shape_record(n, g["type"], [[(c["x"], c["y"]) for c in p] for p in g["parts"]]) if g else shape_record(n, 0, [])
-                shx += struct.pack(">2i", (100 + len(shp)) // 2, (len(r) - 8) // 2)
-                shp += r
-                if n == most:
-                    yield out()
-                    n, made, shp, shx = 0, made + 1, bytearray(), bytearray()
-        if n:
-            yield out()
-
-    return df.select("geometry").mapInArrow(run, "part long, shp binary, shx binary")
-
-
-def read_shapes(data: bytes) -> list[tuple[int, list[list[tuple[float, float]]]]]:
-    """(shape type, parts) of a main file."""
-    out, at = [], 100
-    while at < len(data):
-        (words,) = struct.unpack_from(">i", data, at + 4)
-        body = data[at + 8 : at + 8 + 2 * words]
-        at += 8 + 2 * words
-        (kind,) = struct.unpack_from("<i", body)
-        if kind == 1:
-            out.append((1, [[struct.unpack_from("<2d", body, 4)]]))
-        elif kind == 8:
-            (n,) = struct.unpack_from("<i", body, 36)
-            v = struct.unpack_from(f"<{2 * n}d", body, 40)
-            out.append((8, [[p] for p in zip(v[::2], v[1::2], strict=True)]))
-        elif kind:
-            m, n = struct.unpack_from("<2i", body, 36)
-            starts = [*struct.unpack_from(f"<{m}i", body, 44), n]
-            v = struct.unpack_from(f"<{2 * n}d", body, 44 + 4 * m)
-            p = list(zip(v[::2], v[1::2], strict=True))
-            out.append((kind, [p[a:b] for a, b in zip(starts, starts[1:], strict=False)]))
-        else:
-            out.append((0, []))
-    return out
-
-
-def save_plain(df: DataFrame, path: str, compression: str = "none") -> None:
-    """The nested column itself, doubles uncoded."""
-    df.select("id", "geometry").write.mode("overwrite").option("compression", compression).parquet(path)
+def save_plain(df: DataFrame, path: str, compression: str = "none", dictionary: bool = True) -> None:
+    """The nested column itself, doubles uncoded; ``dictionary``: repeated values by dictionary and runs of its numbers, where Parquet finds that smaller."""
+    df.select("id", "geometry").write.mode("overwrite").option("compression", compression).option("parquet.enable.dictionary", str(dictionary).lower()).parquet(path)
 
 
 def _recoded(to_bits: bool, schema: pa.Schema) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
@@ -272,3 +67,12 @@ def save_csv_points(points: DataFrame, path: str, compression: str = "none") ->
 
 def read_csv_points(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.schema("id long, x double, y double").csv(path)
+
+
+def save_json_points(points: DataFrame, path: str, compression: str = "none") -> None:
+    """(id, x, y) as one JSON object a line."""
+    points.select("id", "x", "y").write.mode("overwrite").option("compression", compression).json(path)
+
+
+def read_json_points(spark: SparkSession, path: str) -> DataFrame:
+    return spark.read.schema("id long, x double, y double").json(path)

@@ -9,6 +9,7 @@ cut needs no shuffle, and encoding runs in the same stage as the sort.
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -17,10 +18,11 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
+from ..functions import geom
 from ..functions.build import geometry_type
 from ..functions.curve import WORLD, Extent
 from ..operators import codec, sorting
-from ..operators.index import Rect, meets
+from ..operators.index import Rect, meets, windows_meet
 
 #: Axes by the dimensions of coordinates.
 AXES = "xyzm"
@@ -152,6 +154,9 @@ def _cut(schema: pa.Schema, budget: int, options: dict | None) -> Callable[[Iter
 def pages(df: DataFrame, geometry: str = "geometry", id: str = "id", sort: str = "grouped", curve: str = "hilbert", extent: Extent = WORLD, curve_bits: int = 16, group_size: int = 1_000_000, page_bytes: int = 1 << 20, codec_name: str = "bitdelta", policy: str = "exact", fixed_bits: int | None = None, min_saving: float = 0.0, stream: str = "split", rle: bool = False, attributes: tuple[str, ...] = ()) -> DataFrame:
     """Rows of a page table, before they are written.
 
+    ``sort``: ``grouped`` (bounded groups along the curve, no shuffle), ``total`` (one order along it),
+    ``rectangles`` (R*-style rectangles from a sample, whose pages don't overlap for points) or ``none``.
+
     Coordinates may have up to four axes, of doubles or floats; the page columns tell which. A
     null geometry stays null; a null id or coordinate raises ValueError.
     Each of ``attributes`` becomes a list column ``attr_<name>`` in the order of ``ids``, so a
@@ -160,6 +165,11 @@ def pages(df: DataFrame, geometry: str = "geometry", id: str = "id", sort: str =
     d = df.select(F.col(id).cast("long").alias("id"), F.col(geometry).alias("geometry"), *[F.col(a).alias(f"attr_{a}") for a in attributes])
     if sort == "none":
         d = d.withColumn("_group", F.lit(0).cast("long"))
+    elif sort == "rectangles":
+        at = geom.centre(F.col("geometry"))
+        d = d.withColumns({"x": at["x"], "y": at["y"]})
+        d = sorting.assign(d, sorting.rectangles(d, max(1, page_bytes // 8)))
+        d = d.repartitionByRange("cell", "id").sortWithinPartitions("cell", "id").withColumnRenamed("cell", "_group")
     else:
         d = sorting.with_key(d, curve, "geometry", extent, curve_bits)
         d = sorting.grouped(d, group_size) if sort == "grouped" else sorting.total(d)
@@ -332,11 +342,6 @@ def scan_windows(spark: SparkSession, path: str, windows: DataFrame) -> DataFram
     Few windows go to the scan as rectangles of their own, more as the box around all; pages
     that no window needs are then left out by a join on their names.
     """
-    from functools import reduce
-
-    from ..functions import geom
-    from ..operators.index import windows_meet
-
     few = windows.where("qx0 is not null and qy0 is not null and qx1 is not null and qy1 is not null").select("qx0", "qy0", "qx1", "qy1")
     rects = [tuple(r) for r in few.limit(MOST_PUSHED + 1).collect()]
     around = tuple(few.agg(F.min("qx0"), F.min("qy0"), F.max("qx1"), F.max("qy1")).first())
@@ -354,8 +359,6 @@ def nearest(spark: SparkSession, path: str, x: float, y: float, k: int) -> DataF
     The farthest corners of the pages' boxes, counted from the nearest page on, say how far the
     k-th can be at most; only pages within that distance are decoded.
     """
-    from ..functions import geom
-
     away = lambda lo, hi, v: F.greatest(F.col(lo) - v, F.lit(v) - F.col(hi), F.lit(0.0))
     far = lambda lo, hi, v: F.greatest(F.abs(F.col(lo) - v), F.abs(F.col(hi) - v))
     square = lambda a, b: a * a + b * b

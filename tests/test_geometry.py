@@ -72,9 +72,13 @@ def test_rectangles_tile_the_plane(spark):
 
     r = np.random.default_rng(3)
     p = r.normal(0, 1, (5000, 2))
-    boxes = sorting.split_sample(p, 200, 0.3)
+    tree = sorting.split_points(p, 200, 0.3)
+    boxes = tree.boxes()
     inside = [(p[:, 0] >= b[0]) & (p[:, 0] < b[2]) & (p[:, 1] >= b[1]) & (p[:, 1] < b[3]) for b in boxes]
     assert (np.sum(inside, 0) == 1).all() and max(x.sum() for x in inside) <= 200 and min(x.sum() for x in inside) >= 40
-    assert sorting.split_sample(np.ones((50, 2)), 10) == [(-np.inf, -np.inf, np.inf, np.inf)]
-    d = spark.createDataFrame([(i, float(x), float(y)) for i, (x, y) in enumerate(p)], "id long, x double, y double")
-    assert sorting.assign(d, sorting.rectangles(d, 200)).count() == 5000
+    assert (np.argmax(inside, 0) == tree.leaf_of(p[:, 0], p[:, 1])).all()
+    assert sorting.split_points(np.ones((50, 2)), 10).boxes() == [(-np.inf, -np.inf, np.inf, np.inf)]
+    d = spark.createDataFrame([(i, float(x), float(y)) for i, (x, y) in enumerate(p)] + [(9000, float("nan"), 1.0), (9001, None, 1.0)], "id long, x double, y double")
+    for sampled in (1_000_000, 100):
+        cells = sorting.partitioned(d, 200, most_sampled=sampled)
+        assert cells.count() == 5002 and cells.groupBy("cell").count().agg({"count": "max"}).first()[0] <= 202

@@ -5,7 +5,7 @@ from pyspark.sql import types as T
 from geopages.functions import build, geom
 from geopages.operators import index, sorting, stats
 from geopages.plans import fixtures as X
-from geopages.sources import baselines, page_table
+from geopages.sources import page_table
 
 SF = "/root/testdata/sf0.001"
 
@@ -80,20 +80,81 @@ def test_wrapped_differences(spark):
         assert r.d == want and r.w == (2 * want if want >= 0 else -2 * want - 1).bit_length()
 
 
-def test_formats(spark, tmp_path):
-    d = X.literal_examples(spark).withColumn("id", F.substring("gid", 2, 1).cast("long")).select("id", "geometry")
-    for r in d.collect():
-        parts = [[(c.x, c.y) for c in p] for p in r.geometry.parts]
-        assert baselines.from_wkb(baselines.wkb(r.geometry.type, parts)) == (r.geometry.type, parts)
-    f = baselines.shape_files(d.where("id in (2, 3, 5)").coalesce(1), most=2).collect()
-    assert len(f) == 2 and all(int.from_bytes(x.shp[24:28], "big") * 2 == len(x.shp) for x in f)
-    assert baselines.read_shapes(bytes(f[0].shp))[0] == (3, [[(1.0, 1.0), (2.0, 3.0), (1.0, 4.0)]])
-    baselines.save_geojson(d, f"{tmp_path}/j")
-    got = {r.id: r.coordinates for r in baselines.read_geojson(spark, f"{tmp_path}/j").collect()}
-    assert got[1] == "[3.0,2.0]" and got[6].startswith("[[[[2.0,4.0]") and got[6].count("]]]") >= 1
-
-
 def test_entry_and_names(spark):
     assert entry.entry(spark).count() > 0
     q, o = entry.queries(), entry.oracle_sql()
     assert set(o) <= set(q) and len(q) > 120
+
+
+def test_what_a_page_table_refuses(spark, tmp_path):
+    import pytest
+
+    d = X.literal_examples(spark).select(F.lit(None).cast("long").alias("id"), "geometry")
+    with pytest.raises(Exception, match="id is null"):
+        page_table.save(d, f"{tmp_path}/n")
+    c = spark.range(1).select("id", F.expr("named_struct('type', 1, 'parts', array(array(named_struct('x', 1.0D, 'y', cast(null as double)))))").alias("geometry"))
+    with pytest.raises(Exception, match="coordinate is null"):
+        page_table.save(c, f"{tmp_path}/c")
+    w = spark.range(1).select("id", F.expr("named_struct('type', 1, 'parts', array(array(named_struct('x', 1L, 'y', 2L))))").alias("geometry"))
+    with pytest.raises(ValueError, match="double"):
+        page_table.save(w, f"{tmp_path}/w")
+
+
+def test_axes_and_widths_round_trip(spark, tmp_path):
+    for coord in ("double", "float"):
+        for dims in (2, 3, 4):
+            axes = "xyzm"[:dims]
+            rows = [(i, None if i % 7 == 0 else {"type": 2, "parts": [[{a: float((i * k + j) % 5) / 4 - k for k, a in enumerate(axes)} for j in range(i % 5 + 2)]]}) for i in range(300)]
+            d = spark.createDataFrame(rows, T.StructType([T.StructField("id", T.LongType()), T.StructField("geometry", build.geometry_type(dims, coord))]))
+            page_table.save(d, f"{tmp_path}/{coord}{dims}", page_bytes=512)
+            back = page_table.scan(spark, f"{tmp_path}/{coord}{dims}")
+            assert back.schema["geometry"].dataType == build.geometry_type(dims, coord)
+            key = lambda r: (r.id, str(r.geometry))
+            assert sorted(map(key, back.collect())) == sorted(map(key, d.collect()))
+
+
+def test_manifest_leaves_out_files_and_knows_no_others(spark, tmp_path):
+    path = f"{tmp_path}/m"
+    d = X.dataset(spark, "/root/testdata/sf0.01", "obs")
+    was = spark.conf.get("spark.sql.adaptive.coalescePartitions.enabled")
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    try:
+        page_table.save(d.where("id % 2 = 0"), path, sort="total", page_bytes=4096)
+    finally:
+        spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", was)
+    r = X.RECTS["small"]
+    all_files = len(spark.read.parquet(path).inputFiles())
+    assert len(page_table.pruned(spark, path, r).inputFiles()) < all_files == 8
+    assert len(page_table.pruned(spark, path, r, most=0).inputFiles()) == all_files
+    far = page_table.scan(spark, path, (500.0, 500.0, 501.0, 501.0))
+    assert far.count() == 0
+    page_table.append(d.where("id % 2 = 1"), path, sort="none", page_bytes=4096, index=False)  # the manifest doesn't know these
+    want = X.leaves(spark, "/root/testdata/sf0.01", "obs").where(f"x between {r[0]} and {r[2]} and y between {r[1]} and {r[3]}")
+    assert {x.id for x in page_table.scan(spark, path, r).collect()} == {x.id for x in want.collect()}
+    page_table.write_manifest(spark, path)
+    assert {x.id for x in page_table.scan(spark, path, r).collect()} == {x.id for x in want.collect()}
+
+
+def test_windows_one_by_one_and_around_all(spark, tmp_path, monkeypatch):
+    d = X.dataset(spark, SF, "bldg")
+    page_table.save(d, f"{tmp_path}/w", page_bytes=2048, extent=X.DATASETS["bldg"].extent)
+    w = spark.createDataFrame([(k, -119.0 + 5 * k, 26.0 + k, -116.0 + 5 * k, 30.0 + k) for k in range(8)] + [(99, None, 1.0, 2.0, 3.0)], "k int, qx0 double, qy0 double, qx1 double, qy1 double")
+    b = d.select("id", geom.box(F.col("geometry")).alias("b")).select("id", "b.*")
+    want = sorted((r.k, r.id) for r in b.join(w, F.expr("x_max >= qx0 and x_min <= qx1 and y_max >= qy0 and y_min <= qy1")).collect())
+    assert want
+    for most in (32, 2):
+        monkeypatch.setattr(page_table, "MOST_PUSHED", most)
+        assert sorted((r.k, r.id) for r in page_table.scan_windows(spark, f"{tmp_path}/w", w).collect()) == want
+    assert page_table.scan_windows(spark, f"{tmp_path}/w", w.where("k = 99")).count() == 0
+
+
+def test_nearest(spark, tmp_path):
+    d = X.dataset(spark, SF, "bldg").unionByName(mixed_rows(spark))
+    page_table.save(d, f"{tmp_path}/k", page_bytes=1024, sort="total", extent=X.DATASETS["bldg"].extent)
+    x, y = -97.3, 38.1
+    boxes = d.select("id", geom.box(F.col("geometry")).alias("b")).where("b.x_min is not null").collect()
+    away = lambda r: max(r.b.x_min - x, x - r.b.x_max, 0.0) ** 2 + max(r.b.y_min - y, y - r.b.y_max, 0.0) ** 2
+    for k in (1, 7, 5000):
+        want = sorted((away(r), r.id) for r in boxes)[:k]
+        got = page_table.nearest(spark, f"{tmp_path}/k", x, y, k).collect()
+        assert [r.id for r in got] == [i for _, i in want]
