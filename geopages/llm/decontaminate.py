@@ -25,8 +25,10 @@ from ._common import Keyed, Scratch, keyed, table
 #: What stands between words; A-Z are lower-cased, other letters stay.
 GAP = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 WINDOW = 10
-#: Test vocabulary and windows are broadcast up to this many rows, else they are joined by shuffles.
+#: Test vocabulary and windows are broadcast up to this many rows, else they are joined by shuffles; the result is the same.
 BROADCAST_ROWS = 200_000
+#: Parts into which the rows of a term are dealt in such a shuffle, so that a very common term is no task of its own.
+SALTS = 32
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -39,6 +41,15 @@ def _bounded(df: DataFrame) -> DataFrame:
     return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
 
 
+def _met(many: DataFrame, few: DataFrame, key: str) -> DataFrame:
+    """Rows of ``many`` (doc, pos, ...) joined with a written table: by broadcast if it is small enough, else by the key and a salt."""
+    if few.count() <= BROADCAST_ROWS:
+        return many.join(F.broadcast(few), key)
+    dealt = F.pmod(F.xxhash64("doc", "pos"), F.lit(SALTS)).cast("int")
+    salts = F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)))
+    return many.withColumn("_salt", dealt).join(few.withColumn("_salt", salts), [key, "_salt"]).drop("_salt")
+
+
 def windows_of(items: DataFrame, window: int) -> DataFrame:
     """(item_id, window, terms): every ``window`` consecutive words of each item, or all of them where there are fewer."""
     w = items.select("item_id", words_of(F.col("text")).alias("w")).where(F.size("w") > 0).distinct()
@@ -59,7 +70,7 @@ class PositionalIndex:
         if names.groupBy("t").count().where("count > 1").head(1):
             raise ValueError("two test terms share a hash")
         tokens = docs.select("doc", F.posexplode(words_of(F.col("text"))).alias("pos", "term"))
-        postings = tokens.join(_bounded(names), "term").select("t", "doc", F.col("pos").cast("int").alias("pos"))
+        postings = _met(tokens, names, "term").select("t", "doc", F.col("pos").cast("int").alias("pos"))
         self.postings = scratch.put(postings, "postings")
         self.frequency = scratch.put(self.postings.groupBy("t").agg(F.count("*").alias("df")), "frequency")
 
@@ -72,18 +83,18 @@ class PositionalIndex:
     def phrases(self, windows: DataFrame) -> DataFrame:
         """(doc, start, window, size): every occurrence of every window."""
         ranked = self.scratch.put(self._ranked(windows), "ranked")
-        few = lambda df: _bounded(self.scratch.put(df, "terms"))
+        few = lambda df: self.scratch.put(df, "terms")
         first = few(ranked.select("window", "size", F.col("ranked")[0]["t"].alias("t"), F.col("ranked")[0]["at"].alias("at")))
-        found = self.postings.join(first, "t").select("doc", (F.col("pos") - F.col("at")).alias("start"), "window", "size").where("start >= 0")
+        found = _met(self.postings, first, "t").select("doc", (F.col("pos") - F.col("at")).alias("start"), "window", "size").where("start >= 0")
         # the second rarest term in the same way: its postings, moved, meet the candidates
         second = few(ranked.where("size > 1").select("window", F.col("ranked")[1]["t"].alias("t"), F.col("ranked")[1]["at"].alias("at")))
-        again = self.postings.join(second, "t").select("doc", (F.col("pos") - F.col("at")).alias("start"), "window")
+        again = _met(self.postings, second, "t").select("doc", (F.col("pos") - F.col("at")).alias("start"), "window")
         one = found.where("size = 1")
         found = found.where("size > 1").join(again, ["doc", "start", "window"], "left_semi")
         found = self.scratch.put(found.unionByName(one).distinct(), "candidates")
         # the others, of the documents that are left
         more = ranked.where("size > 2").select("window", F.explode(F.slice("ranked", F.lit(3), F.greatest(F.col("size") - 2, F.lit(0)))).alias("x")).select("window", "x.t", "x.at")
-        asked = found.join(few(more), "window").select("doc", "start", "window", "t", (F.col("start") + F.col("at")).alias("pos"))
+        asked = found.join(_bounded(few(more)), "window").select("doc", "start", "window", "t", (F.col("start") + F.col("at")).alias("pos"))
         kept = self._of_documents(found.select("doc").distinct())
         met = asked.join(kept, ["doc", "pos", "t"]).groupBy("doc", "start", "window").agg(F.count("*").alias("met"))
         return found.join(met, ["doc", "start", "window"], "left").where("coalesce(met, 0) = greatest(size - 2, 0)").select("doc", "start", "window", "size")
@@ -105,7 +116,7 @@ class PositionalIndex:
         """
         t = phrases.select("window", F.explode(F.array_distinct("terms")).alias("term")).select("window", F.xxhash64("term").alias("t"))
         need = t.groupBy("window").agg(F.count("*").alias("need"))
-        hit = self.postings.join(_bounded(self.scratch.put(t, "terms")), "t").withColumn("range", F.explode(F.array(F.floor(F.col("pos") / span), F.floor(F.col("pos") / span) - 1)))
+        hit = _met(self.postings, self.scratch.put(t, "terms"), "t").withColumn("range", F.explode(F.array(F.floor(F.col("pos") / span), F.floor(F.col("pos") / span) - 1)))
         places = hit.groupBy("window", "doc", "range").agg(F.array_sort(F.collect_list(F.struct("pos", "t"))).alias("p"), F.count_distinct("t").alias("n")).join(need, "window").where("n = need")
         within = F.filter("p", lambda x: F.size(F.array_distinct(F.transform(F.filter("p", lambda y: (y["pos"] >= x["pos"]) & (y["pos"] < x["pos"] + span)), lambda y: y["t"]))) == F.col("need"))
         return places.select("window", "doc", F.explode(within).alias("x")).select("window", "doc", F.col("x.pos").alias("start")).distinct()
