@@ -11,10 +11,11 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.sorting import numbered
+from ..sources.scratch import delete_at_exit
 
 #: Stands for a null doc_id inside an operator: later than every real one.
 NO_ID = 2**63 - 1
-#: Shared doc_ids are broadcast up to this many, else joined by a shuffle.
+#: Shared doc_ids are broadcast up to this many, else joined by a shuffle; the result is the same.
 BROADCAST_ROWS = 200_000
 
 _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
@@ -45,12 +46,14 @@ class Scratch:
     """Tables that one run of an operator writes to the shared folder to cut its lineage.
 
     A written table outlives the executors that made it, and the shuffle files
-    behind it are removed as soon as it is written.
+    behind it are removed as soon as it is written. Results are read from such tables
+    lazily, so they stay until the driver ends, and go then.
     """
 
     def __init__(self, spark: SparkSession, what: str):
         self.spark = spark
         self.root = f"{scratch_root(spark)}/{what}-{uuid.uuid4().hex[:12]}"
+        delete_at_exit(spark, self.root)
         self._n = 0
 
     def put(self, df: DataFrame, name: str = "t") -> DataFrame:
@@ -72,6 +75,19 @@ class Scratch:
                 hdfs_delete(self.spark, path)
 
 
+def column_of(df: DataFrame, name: str) -> Column:
+    """A top-level column of ``df``, whatever stands in its name."""
+    return df["`" + name.replace("`", "``") + "`"]
+
+
+def unused(df: DataFrame, name: str) -> str:
+    """``name``, with underscores before it until ``df`` has no such column."""
+    have = {c.lower() for c in df.columns}
+    while name.lower() in have:
+        name = f"_{name}"
+    return name
+
+
 def hdfs_delete(spark: SparkSession, path: str) -> None:
     p = spark._jvm.org.apache.hadoop.fs.Path(path)
     p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
@@ -126,7 +142,8 @@ class Keyed:
         """One row for each (doc_id, text) of ``docs``; columns stay as they are."""
         if self.names is None:
             return docs
-        return docs.withColumns({"_id": F.col("doc_id").cast("long"), "_digest": _digest()}).dropDuplicates(["_id", "_digest"]).drop("_id", "_digest")
+        a, b = unused(docs, "_id"), unused(docs, "_digest")
+        return docs.withColumns({a: F.col("doc_id").cast("long"), b: _digest()}).dropDuplicates([a, b]).drop(a, b)
 
 
 def _id_of(doc: str) -> Column:

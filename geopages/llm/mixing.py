@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ._common import table
+from ._common import column_of, table, unused
 
 #: Target weights, as whole numbers; their sum is the longest period of the schedule.
 TARGETS = {f"src{i}": 40 - 2 * i for i in range(20)}
@@ -86,7 +86,7 @@ def _scheduled(docs: DataFrame, targets: dict[str, int], rest_weight: int, block
     n_rows = docs.count()
     buckets = 1 << max(LEAST_BUCKETS, ceil(log2(n_rows / ROWS_PER_TASK + 1)))
     order = F.xxhash64(F.lit(seed), docs["doc_id"])
-    row = F.struct(*[docs["`" + c.replace("`", "``") + "`"] for c in docs.columns])
+    row = F.struct(*[column_of(docs, c) for c in docs.columns])
     d = docs.select(row.alias("_row"), _source(docs, targets).alias("_src"), order.alias("_h")).withColumn("_b", F.pmod("_h", F.lit(buckets)).cast("int"))
     # a source, hot or not, is numbered in buckets; what stands before a bucket comes from the counts
     sizes = docs.select(_source(docs, targets).alias("_src"), F.pmod(order, F.lit(buckets)).cast("int").alias("_b")).groupBy("_src", "_b").agg(F.count("*").alias("_n"))
@@ -110,10 +110,7 @@ def _scheduled(docs: DataFrame, targets: dict[str, int], rest_weight: int, block
 
 def schedule(docs: DataFrame, targets: dict[str, int] = TARGETS, rest_weight: int = REST_WEIGHT, block: int = BLOCK, seed: int = 17) -> DataFrame:
     """``docs`` with one more column, ``_mix`` (with more underscores if that is taken): struct of block, release, deadline, slot and position (the order to read in)."""
-    name = "_mix"
-    while name in {c.lower() for c in docs.columns}:
-        name = f"_{name}"
-    return _scheduled(docs, targets, rest_weight, block, seed).select("_row.*", F.col("_mix").alias(name))
+    return _scheduled(docs, targets, rest_weight, block, seed).select("_row.*", F.col("_mix").alias(unused(docs, "_mix")))
 
 
 def mixed(docs: DataFrame, targets: dict[str, int] = TARGETS, rest_weight: int = REST_WEIGHT, block: int = BLOCK) -> DataFrame:

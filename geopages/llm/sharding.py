@@ -36,7 +36,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructField, StructType
 
-from ._common import scratch_root, table
+from ._common import column_of, scratch_root, table, unused
 
 TARGET_BYTES, FAN_IN = 128 << 20, 8
 #: ``vacuum`` keeps the files of this many newest versions, and files younger than this many seconds.
@@ -248,7 +248,7 @@ class ShardStore:
                     self._fs.delete(f.getPath(), False)
 
     def read(self, version: int | None = None) -> DataFrame | None:
-        """Rows of a version, the newest unless given, with ``_shard``: struct of id (place in the manifest), rows, bytes, level and position (place among all rows, shard after shard); None if it has no shards."""
+        """Rows of a version, the newest unless given, with ``_shard`` (with more underscores if that is taken): struct of id (place in the manifest), rows, bytes, level and position (place among all rows, shard after shard); None if it has no shards."""
         version = self.version() if version is None else version
         shards = self.shards(version)
         if not shards:
@@ -256,9 +256,9 @@ class ShardStore:
         starts = accumulate((s.rows for s in shards), initial=0)
         names = self.spark.createDataFrame([(s.path.rsplit("/", 1)[-1], i, s.rows, s.bytes, s.level, n) for i, (s, n) in enumerate(zip(shards, starts, strict=False))], "__shard_file string, id long, rows long, bytes long, level int, __start long")
         files = self.spark.read.schema(self.schema(version)).parquet(*[s.path for s in shards])
-        rows = files.select(*[files[c] for c in files.columns], F.col("_metadata.file_name").alias("__shard_file"), F.col("_metadata.row_index").alias("__row"))
-        about = F.struct(*[names[c] for c in ("id", "rows", "bytes", "level")], (names["__start"] + rows["__row"]).alias("position")).alias("_shard")
-        return rows.join(names, "__shard_file").select(*[rows[c] for c in files.columns], about)
+        rows = files.select(F.struct(*[column_of(files, c) for c in files.columns]).alias("__row"), F.col("_metadata.file_name").alias("__shard_file"), F.col("_metadata.row_index").alias("__place"))
+        about = F.struct("id", "rows", "bytes", "level", (F.col("__start") + F.col("__place")).alias("position"))
+        return rows.join(names, "__shard_file").select("__row.*", about.alias(unused(files, "_shard")))
 
 
 def in_file_order(df: DataFrame) -> list[DataFrame]:
@@ -292,13 +292,14 @@ def in_file_order(df: DataFrame) -> list[DataFrame]:
             groups[-1].append(p)
         else:
             groups.append([p])
-    columns = [df[c] for c in df.columns]
+    columns = [column_of(df, c) for c in df.columns]
+    file, place = unused(df, "__file"), unused(df, "__place")
     path, row = F.col("_metadata.file_path"), F.col("_metadata.row_index")
     out = []
     for g in groups:
         part = df.where(path.isin(g))
         if len(g) > 1:
-            part = part.select(*columns, path.alias("__file"), row.alias("__row")).coalesce(1).sortWithinPartitions(F.length("__file"), "__file", "__row").drop("__file", "__row")
+            part = part.select(*columns, path.alias(file), row.alias(place)).coalesce(1).sortWithinPartitions(F.length(file), file, place).drop(file, place)
         out.append(part)
     return out
 
@@ -312,7 +313,8 @@ def shard(docs: DataFrame, target_bytes: int = TARGET_BYTES, fan_in: int = FAN_I
     rows = store.read()
     if rows is None:
         return docs.limit(0).selectExpr("doc_id", "0L as shard_id", "0L as shard_rows", "0 as shard_level", *["0L as position"] * position)
-    return rows.selectExpr("doc_id", "_shard.id as shard_id", "_shard.rows as shard_rows", "_shard.level as shard_level", *["_shard.position as position"] * position)
+    at = unused(docs, "_shard")
+    return rows.selectExpr("doc_id", f"{at}.id as shard_id", f"{at}.rows as shard_rows", f"{at}.level as shard_level", *[f"{at}.position as position"] * position)
 
 
 def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
