@@ -127,6 +127,41 @@ def _collections(spark, sf_dir, whole=False):
 add("collection_flatten", _collections, "SELECT o_custkey AS root_id, pos, kind FROM (SELECT DISTINCT o_custkey FROM {orders} WHERE o_custkey IN (SELECT c_custkey FROM {customer})) o CROSS JOIN (VALUES (0, 1), (1, 3), (2, 2), (3, 1)) v(pos, kind)")
 
 
+def _levels(spark, sf_dir):
+    """Bits of levels that each leaf costs, by variant of the type."""
+    kinds = {"required": build.geometry_type(), "three_axes": build.geometry_type(3), "floats": build.geometry_type(coord="float"), "collection": build.collection_type()}
+    rows = [(v, leaf, *bits) for v, t in kinds.items() for leaf, bits in build.level_bits(t).items()]
+    rows += [("optional", leaf, *bits) for leaf, bits in build.level_bits(kinds["required"], nullable=True).items()]
+    return spark.createDataFrame(rows, "variant string, leaf string, rep_bits int, def_bits int")
+
+
+# Two bits of repetition and two of definition level for each coordinate value
+_levels_rows = [(v, leaf, *((0, 0) if leaf == "type" else (2, 2))) for v, axes in (("required", "xy"), ("three_axes", "xyz"), ("floats", "xy")) for leaf in ("type", *(f"parts.{a}" for a in axes))]
+_levels_rows += [("collection", "type", 1, 1), ("collection", "parts.x", 2, 2), ("collection", "parts.y", 2, 2), ("optional", "type", 0, 1), ("optional", "parts.x", 2, 2), ("optional", "parts.y", 2, 2)]
+add("level_bits", _levels, f"SELECT * FROM (VALUES {', '.join(map(str, _levels_rows))}) v(variant, leaf, rep_bits, def_bits)")
+
+
+def _multipoints(spark, sf_dir):
+    """Points in parts of their own, and all in one part: the same leaves."""
+    g = X.dataset(spark, sf_dir, "traj").select("id", F.flatten("geometry.parts").alias("c"))
+    own, one = build.multipoint(F.col("c")), build.multipoint(F.col("c"), one_part=True)
+    return g.select("id", geom.n_parts(own).alias("parts_each"), geom.n_parts(one).alias("parts_one"), geom.n_coords(own).alias("coords_each"), geom.n_coords(one).alias("coords_one"))
+
+
+add("multipoint_variants", _multipoints, f"SELECT id, count(x)::INT AS parts_each, 1 AS parts_one, count(x)::INT AS coords_each, count(x)::INT AS coords_one FROM ({X.points_sql('traj')}) p GROUP BY id")
+
+
+def _representatives(spark, sf_dir):
+    """Places by which lines are sorted: centre of the box, first vertex, mean of vertices (on whole numbers, so that sums are exact)."""
+    d = X.run_sql(spark, sf_dir, X.DATASETS["roads"].sql).select("id", "kind", "part_no", "coord_no", F.col("xi").cast("double").alias("x"), F.col("yi").cast("double").alias("y"))
+    g = build.assemble(d)
+    at = {how: geom.centre(F.col("geometry"), how) for how in ("box", "first", "mean")}
+    return g.select("id", *[c[a].alias(f"{how}_{a}") for how, c in at.items() for a in "xy"])
+
+
+add("representative_points", _representatives, "SELECT id, " + ", ".join(f"(min({a}i) + max({a}i))::DOUBLE / 2 AS box_{a}, arg_min({a}i, part_no * 1000 + coord_no)::DOUBLE AS first_{a}, sum({a}i)::DOUBLE / count(*) AS mean_{a}" for a in "xy") + f" FROM ({X.DATASETS['roads'].sql}) l GROUP BY id")
+
+
 def _validate(spark, sf_dir):
     d = X.dataset(spark, sf_dir, "bldg").select("geometry").unionByName(X.literal_examples(spark).select("geometry"))
     v = d.select(geom.validate(F.col("geometry")).alias("v"))
@@ -621,6 +656,31 @@ for _n in SETS:
 add("range_far_obs", partial(_range, "obs", X.RECTS["far"]), _range_sql("obs", X.RECTS["far"]))
 
 
+def _exact(name, spark, sf_dir):
+    return page_table.scan(spark, _written(spark, sf_dir, name), _exact_rect(name), exact=True).select("id")
+
+
+def _exact_rect(name):
+    """Windows that some boxes meet and their geometries don't."""
+    return _window(name, "medium")
+
+
+def _exact_sql(name):
+    x0, y0, x1, y1 = (f"{v!r}::DOUBLE" for v in _exact_rect(name))
+    side = lambda x, y: f"((nx - x) * ({y} - y) - (ny - y) * ({x} - x))"
+    corners = ", ".join(side(x, y) for x in (x0, x1) for y in (y0, y1))
+    crosses = f"CASE WHEN nx IS NOT NULL AND ny <> y AND (y > {y0}) <> (ny > {y0}) AND {x0} < (nx - x) * ({y0} - y) / (ny - y) + x THEN 1 ELSE 0 END"
+    areal = "kind IN (3, 6)"
+    return f"""SELECT id FROM (SELECT *, lead(x) OVER r AS nx, lead(y) OVER r AS ny FROM ({X.points_sql(name)}) p WINDOW r AS (PARTITION BY id, part_no ORDER BY coord_no)) e GROUP BY id, kind
+    HAVING bool_or(x >= {x0} AND x <= {x1} AND y >= {y0} AND y <= {y1})
+      OR bool_or(nx IS NOT NULL AND greatest(x, nx) >= {x0} AND least(x, nx) <= {x1} AND greatest(y, ny) >= {y0} AND least(y, ny) <= {y1} AND least({corners}) <= 0 AND greatest({corners}) >= 0)
+      OR ({areal} AND sum({crosses}) % 2 = 1)"""
+
+
+for _n in ("roads", "bldg"):
+    add(f"range_exact_{_n}", partial(_exact, _n), _exact_sql(_n))
+
+
 def _selectivity(spark, sf_dir):
     """Share of each window in the extent that a set covers, in millionths, and the geometries that meet it."""
     out = None

@@ -87,6 +87,28 @@ def contains_point(ring: Column, x, y) -> Column:
     return F.pmod(F.aggregate(edges, F.lit(0), lambda n, i: n + F.when(ring[i]["y"] == ring[i + 1]["y"], 0).when(crosses(i), 1).otherwise(0)), F.lit(2)) == 1
 
 
+def _edges_meet(coords: Column, x0, y0, x1, y1) -> Column:
+    """Does an edge of a chain of coordinates meet a closed rectangle? Its box does, and not all corners lie strictly on one side of it."""
+    def meets(i):
+        a, b = coords[i], coords[i + 1]
+        near = (F.greatest(a["x"], b["x"]) >= x0) & (F.least(a["x"], b["x"]) <= x1) & (F.greatest(a["y"], b["y"]) >= y0) & (F.least(a["y"], b["y"]) <= y1)
+        side = lambda x, y: (b["x"] - a["x"]) * (y - a["y"]) - (b["y"] - a["y"]) * (x - a["x"])
+        corners = [side(x, y) for x in (x0, x1) for y in (y0, y1)]
+        return near & (F.least(*corners) <= 0) & (F.greatest(*corners) >= 0)
+
+    return F.when(F.size(coords) > 1, F.exists(F.sequence(F.lit(0), F.size(coords) - 2), meets)).otherwise(False)
+
+
+def intersects_exactly(g: Column, x0: float, y0: float, x1: float, y1: float) -> Column:
+    """Does the geometry itself, not only its box, meet a closed rectangle? Vertices within, edges across it or, for areas, its corner in the interior."""
+    x0, y0, x1, y1 = (F.lit(float(v)) for v in (x0, y0, x1, y1))
+    parts = g["parts"]
+    inside = F.exists(parts, lambda p: F.exists(p, lambda c: (c["x"] >= x0) & (c["x"] <= x1) & (c["y"] >= y0) & (c["y"] <= y1)))
+    across = g["type"].isin(2, 3, 5, 6) & F.exists(parts, lambda p: _edges_meet(p, x0, y0, x1, y1))
+    around = F.aggregate(parts, F.lit(0), lambda a, r: a + F.when(F.size(r) > 1, contains_point(r, x0, y0)).otherwise(False).cast("int"))
+    return inside | across | (g["type"].isin(3, 6) & (around % 2 == 1))
+
+
 def translate(g: Column, dx, dy) -> Column:
     move = lambda c: F.struct((c["x"] + dx).alias("x"), (c["y"] + dy).alias("y"))
     return F.struct(g["type"].alias("type"), F.transform(g["parts"], lambda p: F.transform(p, move)).alias("parts"))

@@ -307,10 +307,11 @@ def _decoded(t: DataFrame, rect: Rect | None = None, stream: str = "split", attr
     return t.mapInArrow(_decode(rect, stream, to_arrow_schema(kind)), kind)
 
 
-def scan(spark: SparkSession, path: str, rect: Rect | None = None, stream: str = "split", kinds: tuple[int, ...] = (), attributes: tuple[str, ...] = ()) -> DataFrame:
+def scan(spark: SparkSession, path: str, rect: Rect | None = None, stream: str = "split", kinds: tuple[int, ...] = (), attributes: tuple[str, ...] = (), exact: bool = False) -> DataFrame:
     """(id, geometry, attributes) of a page table. The rectangle and kinds must be given here: no filter gets below the decoder later.
 
-    A rectangle works on two levels: files by the manifest, then pages by their bounds.
+    A rectangle works on two levels: files by the manifest, then pages by their bounds. Geometries
+    come out whose boxes meet it; with ``exact``, those that meet it themselves.
     """
     t = pruned(spark, path, rect)
     if rect is not None:
@@ -318,6 +319,8 @@ def scan(spark: SparkSession, path: str, rect: Rect | None = None, stream: str =
     if kinds:
         t = t.where(F.exists("type_runs", lambda r: r["type"].isin(*kinds)))
     d = _decoded(t, rect, stream, attributes)
+    if rect is not None and exact:
+        d = d.where(geom.intersects_exactly(F.col("geometry"), *rect))
     return d.where(F.col("geometry.type").isin(*kinds)) if kinds else d
 
 

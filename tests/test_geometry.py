@@ -82,3 +82,17 @@ def test_rectangles_tile_the_plane(spark):
     for sampled in (1_000_000, 100):
         cells = sorting.partitioned(d, 200, most_sampled=sampled)
         assert cells.count() == 5002 and cells.groupBy("cell").count().agg({"count": "max"}).first()[0] <= 202
+
+
+def test_exact_meeting(spark):
+    ring = lambda *p: [{"x": float(x), "y": float(y)} for x, y in p]
+    square, hole = ring((0, 0), (0, 10), (10, 10), (10, 0), (0, 0)), ring((4, 4), (6, 4), (6, 6), (4, 6), (4, 4))
+    cases = [
+        ((3, [square]), (2, 2, 3, 3), True), ((3, [square, hole]), (4.5, 4.5, 5.5, 5.5), False), ((3, [square, hole]), (4.5, 4.5, 6.5, 5), True),
+        ((3, [ring((0, 0), (0, 10), (1, 10), (1, 1), (10, 1), (10, 0), (0, 0))]), (3, 3, 9, 9), False), ((2, [ring((0, 0), (10, 10))]), (0, 5, 3, 9), False),
+        ((2, [ring((0, 0), (10, 10))]), (4, 5, 6, 6), True), ((2, [ring((0, 0), (10, 0))]), (2, 0, 3, 1), True), ((1, [ring((1, 1))]), (1, 1, 1, 1), True), ((1, [ring((1, 2))]), (1, 1, 1, 1), False),
+        ((5, [ring((0, 0), (1, 0)), ring((0, 9), (9, 0))]), (5, 5, 9, 9), False), ((4, [ring((0, 0)), ring((9, 9))]), (1, 1, 8, 8), False), ((3, [square]), (-5, -5, 20, 20), True), ((0, []), (0, 0, 1, 1), False),
+    ]
+    for (kind, parts), r, want in cases:
+        d = spark.createDataFrame([({"type": kind, "parts": parts},)], T.StructType([T.StructField("g", build.geometry_type())]))
+        assert d.select(geom.intersects_exactly(F.col("g"), *r).alias("v")).first().v is want, (kind, parts, r)
