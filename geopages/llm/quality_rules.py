@@ -17,6 +17,8 @@ table gives no rows; other columns are ignored.
 
 from __future__ import annotations
 
+from math import log2, sqrt
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -39,8 +41,9 @@ WINDOW = 8
 MIN_WORDS, MAX_REPEATED = 20, 30
 #: Fewest words (characters) of a text whose word (class) histogram is judged or goes into a reference.
 GUARD_WORDS, GUARD_CHARS = 100, 400
-#: Greatest distance of a kept text.
-MAX_WORD_DISTANCE, MAX_CLASS_DISTANCE = 0.305, 0.27
+#: Greatest distances of a kept text. That of words is a share of the distance that a text with none of
+#: the common words has, which depends on how common they are in the references; classes can differ wholly.
+MAX_WORD_SHARE, MAX_CLASS_DISTANCE = 0.9, 0.27
 
 
 def _shifted(a: str, b: int, n: Column) -> Column:
@@ -118,6 +121,16 @@ def js_distance(counts: Column, total: Column, reference: list[float]) -> Column
     return F.when(total > 0, F.sqrt(F.greatest(F.lit(0.0), F.aggregate(parts, F.lit(0.0), lambda a, x: a + x) / 2)))
 
 
+def bare_distance(refs: dict[str, dict[str, list[float]]]) -> float:
+    """Distance to the nearest reference of a text with no common word of any language: the greatest there is for words."""
+    out = []
+    for r in refs.values():
+        common, other = 1 - r["words"][-1], r["words"][-1]
+        m = (1 + other) / 2
+        out.append(sqrt(max(0.0, (common + log2(1 / m) + (other * log2(other / m) if other else 0.0)) / 2)))
+    return min(out, default=1.0)
+
+
 def judge(docs: DataFrame) -> DataFrame:
     """A row for each document: its counts, distances to the nearest references, base_failed and kept."""
     scratch = Scratch(docs.sparkSession, "quality_rules")
@@ -128,7 +141,7 @@ def judge(docs: DataFrame) -> DataFrame:
     cls = nearest([js_distance(F.col("classes"), F.col("n_chars"), r["classes"]) for _, r in sorted(refs.items())])
     d = feats.withColumn("word_distance", F.when(F.col("n_words") >= GUARD_WORDS, word)).withColumn("class_distance", F.when(F.col("n_chars") >= GUARD_CHARS, cls))
     failed = (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > MAX_REPEATED * F.col("n_words"))
-    fits = (F.coalesce("word_distance", F.lit(0.0)) <= MAX_WORD_DISTANCE) & (F.coalesce("class_distance", F.lit(0.0)) <= MAX_CLASS_DISTANCE)
+    fits = (F.coalesce("word_distance", F.lit(0.0)) <= MAX_WORD_SHARE * bare_distance(refs)) & (F.coalesce("class_distance", F.lit(0.0)) <= MAX_CLASS_DISTANCE)
     return d.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", failed.alias("base_failed"), (~failed & fits).alias("kept"), "word_distance", "class_distance")
 
 
@@ -180,6 +193,7 @@ tot AS (SELECT lang AS l, sum(n_words) AS n FROM f SEMI JOIN guard USING (rid) G
 wref AS (SELECT voc.l, b, sum(cnt.n) AS n FROM guard JOIN voc ON voc.l = guard.lang LEFT JOIN cnt ON cnt.rid = guard.rid AND cnt.v = voc.v GROUP BY ALL),
 wshare AS (SELECT l, b, v, coalesce(wref.n, 0)::DOUBLE / tot.n AS q FROM wref JOIN tot USING (l) JOIN voc USING (l, b)),
 oshare AS (SELECT l, (tot.n - sum(coalesce(wref.n, 0)))::DOUBLE / tot.n AS q FROM wref JOIN tot USING (l) GROUP BY l, tot.n),
+bare AS (SELECT coalesce(min(sqrt(greatest(0.0, (1 - q + log2(1 / ((1 + q) / 2)) + CASE WHEN q > 0 THEN q * log2(q / ((1 + q) / 2)) ELSE 0 END) / 2))), 1) AS d FROM oshare),
 bins AS (
   SELECT f.rid, s.l, coalesce(cnt.n, 0)::DOUBLE / n_words AS p, s.q FROM f CROSS JOIN wshare s LEFT JOIN cnt ON cnt.rid = f.rid AND cnt.v = s.v WHERE n_words >= {GUARD_WORDS}
   UNION ALL
@@ -191,7 +205,7 @@ cbins AS (SELECT f.rid, s.l, unnest([{', '.join(f'f.c{i}::DOUBLE / n_chars' for
 cd AS (SELECT rid, min(d) AS d FROM (SELECT rid, l, {js} AS d FROM cbins GROUP BY ALL) GROUP BY rid)
 SELECT doc_id, n_words::BIGINT AS n_words, (n_chars - c1)::BIGINT AS word_chars, n_symbols::BIGINT AS n_symbols, (len(lines) - len(list_distinct(lines)))::BIGINT AS n_dup_lines,
   coalesce(n_repeat, 0)::BIGINT AS n_repeat_words, (n_words < {MIN_WORDS} OR 100 * coalesce(n_repeat, 0) > {MAX_REPEATED} * n_words) AS base_failed,
-  NOT (n_words < {MIN_WORDS} OR 100 * coalesce(n_repeat, 0) > {MAX_REPEATED} * n_words) AND coalesce(wd.d, 0) <= {MAX_WORD_DISTANCE} AND coalesce(cd.d, 0) <= {MAX_CLASS_DISTANCE} AS kept
+  NOT (n_words < {MIN_WORDS} OR 100 * coalesce(n_repeat, 0) > {MAX_REPEATED} * n_words) AND coalesce(wd.d, 0) <= {MAX_WORD_SHARE} * (SELECT d FROM bare) AND coalesce(cd.d, 0) <= {MAX_CLASS_DISTANCE} AS kept
 FROM f LEFT JOIN rep USING (rid) LEFT JOIN wd USING (rid) LEFT JOIN cd USING (rid)
 """
 
