@@ -18,7 +18,9 @@ NO_ID = 2**63 - 1
 #: Shared doc_ids are broadcast up to this many, else joined by a shuffle; the result is the same.
 BROADCAST_ROWS = 200_000
 
-_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+#: Settings while a scratch table is written: shuffle files go with it, and Python gets Arrow batches
+#: of so many bytes, not rows, however long the texts are.
+_WRITING = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "spark.sql.execution.arrow.maxBytesPerBatch": str(6 << 20)}
 _local_dir: str | None = None
 
 
@@ -59,12 +61,14 @@ class Scratch:
     def put(self, df: DataFrame, name: str = "t") -> DataFrame:
         self._n += 1
         path = f"{self.root}/{self._n:03d}_{name}"
-        was = self.spark.conf.get(_CLEANUP, "false")
-        self.spark.conf.set(_CLEANUP, "true")
+        was = {k: self.spark.conf.get(k, None) for k in _WRITING}
+        for k, v in _WRITING.items():
+            self.spark.conf.set(k, v)
         try:
             df.write.mode("overwrite").parquet(path)
         finally:
-            self.spark.conf.set(_CLEANUP, was)
+            for k, v in was.items():
+                self.spark.conf.unset(k) if v is None else self.spark.conf.set(k, v)
         out = self.spark.read.schema(df.schema).parquet(path)
         out._scratch_path = path
         return out

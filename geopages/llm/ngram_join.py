@@ -53,7 +53,7 @@ NEIGHBOURS = 4
 
 def shingle_sets(batch: pa.RecordBatch, n: int) -> Iterator[np.ndarray]:
     """Each text's sorted distinct shingle hashes; A-Z are lower-cased first."""
-    for part in S.slices(batch):
+    for part in S.slices(batch, most=2 << 20):
         raw, borders = S.raw_texts(part.column(1))
         raw = S.LOWER[raw]
         start, end, at = S.word_spans(raw, borders)
