@@ -1002,6 +1002,16 @@ def _functions(spark, sf_dir):
 add("sql_functions", _functions, f"SELECT 'POLYGON' AS kind, count(*) AS n, sum(p)::BIGINT AS rings, sum(c)::BIGINT AS vertices, max(x1) AS x_max FROM (SELECT id, count(DISTINCT part_no) AS p, count(x) AS c, min(x) AS x0, max(x) AS x1, min(y) AS y0, max(y) AS y1 FROM ({X.points_sql('bldg')}) p GROUP BY id) g WHERE x1 >= -99 AND x0 <= -92 AND y1 >= 36 AND y0 <= 43")
 
 
+def _table_function(spark, sf_dir):
+    """Vertices of a page table by a table function."""
+    sql_functions.register(spark)
+    page_table.scan(spark, _written(spark, sf_dir, "lots")).createOrReplaceTempView("geopages_lots")
+    return spark.sql("SELECT id, part_no, coord_no, x, y FROM geopages_lots t, LATERAL geo_leaves(t.geometry)")
+
+
+add("sql_table_function", _table_function, f"SELECT id, part_no, coord_no, x, y FROM ({X.points_sql('lots')}) p WHERE x IS NOT NULL")
+
+
 def _sql(spark, sf_dir):
     X.dataset(spark, sf_dir, "obs").createOrReplaceTempView("geopages_obs")
     return spark.sql("SELECT geometry.type AS kind, count(*) AS n, max(geometry.parts[0][0].x) AS x_max FROM geopages_obs GROUP BY 1")

@@ -19,9 +19,15 @@ FUNCTIONS = {
     "geo_area": (f"g {_G}", "DOUBLE", f"abs(aggregate(transform(filter(g.parts, r -> size(r) > 2), r -> {_AREA}), 0D, (a, v) -> a + v)) / 2"),
     "geo_point": ("x DOUBLE, y DOUBLE", _G, "named_struct('type', 1, 'parts', array(array(named_struct('x', x, 'y', y))))"),
 }
+#: Table functions: parameters, columns, query. ``FROM t, LATERAL geo_leaves(t.geometry)`` gives a row a vertex.
+TABLES = {
+    "geo_leaves": (f"g {_G}", "part_no INT, coord_no INT, x DOUBLE, y DOUBLE", "SELECT part_no, coord_no, c.x, c.y FROM (SELECT posexplode(g.parts) AS (part_no, part)) p LATERAL VIEW posexplode(part) v AS coord_no, c"),
+}
 
 
 def register(spark: SparkSession) -> None:
     """Make the functions known to the session's SQL; again is no harm."""
+    for name, (parameters, columns, query) in TABLES.items():
+        spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}({parameters}) RETURNS TABLE({columns}) RETURN {query}")
     for name, (parameters, kind, body) in FUNCTIONS.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}({parameters}) RETURNS {kind} RETURN {body}")
