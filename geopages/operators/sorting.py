@@ -20,13 +20,21 @@ IN_PARTITION = (1 << 33) - 1
 
 def with_key(df: DataFrame, curve: str, geometry: str = "geometry", extent: Extent = WORLD, bits: int = 16, centre: str = "box") -> DataFrame:
     df = df.withColumn("_at", geom.centre(F.col(geometry), centre))
-    return df.withColumn("_key", curve_key(curve, F.col("_at.x"), F.col("_at.y"), extent, bits)).drop("_at")
+    return df.withColumn("_key", curve_key(curve, F.col("_at.x"), F.col("_at.y"), extent, bits)).drop("_at").withMetadata("_key", {"bits": 2 * bits})
 
 
 def grouped(df: DataFrame, group_size: int = 1_000_000, key: str = "_key") -> DataFrame:
-    """Each ``group_size`` rows of a partition sorted among themselves: no shuffle, memory bound by the group (and spilled by Spark)."""
+    """Each ``group_size`` rows of a partition sorted among themselves: no shuffle, memory bound by the group (and spilled by Spark).
+
+    Group and a key of ``with_key`` (null ones last) make one number where they fit, which Spark sorts by radix.
+    """
     g = F.floor(F.monotonically_increasing_id().bitwiseAND(F.lit(IN_PARTITION)) / group_size)
-    return df.withColumn("_group", g).sortWithinPartitions("_group", F.col(key).asc_nulls_last())
+    df = df.withColumn("_group", g)
+    bits = df.schema[key].metadata.get("bits")
+    if bits is None or bits + 1 + (IN_PARTITION // group_size).bit_length() > 62:
+        return df.sortWithinPartitions("_group", F.col(key).asc_nulls_last())
+    one = F.shiftleft("_group", bits + 1) + F.coalesce(F.col(key), F.lit(1 << bits))
+    return df.withColumn("_order", one).sortWithinPartitions("_order").drop("_order")
 
 
 def total(df: DataFrame, partitions: int | None = None, key: str = "_key", tie: str = "id") -> DataFrame:
