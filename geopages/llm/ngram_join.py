@@ -279,14 +279,17 @@ class _Join:
         plausible = self.scratch.put(plausible.select("a", "b"), "plausible")
         first = connected_components(self.links(plausible), self.scratch)
         first = self.scratch.put(first, "first")
+        self.scratch.drop(plausible)
         # second round: lists that still hold several components
         label = lists.join(first.withColumnRenamed("node", "cls"), "cls", "left").select("token", "cls", "n", "pos", F.coalesce("component", "cls").alias("part"))
         label = self.scratch.put(label, "labelled")
+        self.scratch.drop(lists)
         open_lists = label.groupBy("token").agg(F.min("part").alias("x"), F.max("part").alias("y")).where("x <> y").select("token")
         step = (100 / percent) ** (1 / SIZE_BLOCKS)
         block = F.floor(F.log("n") / F.log(F.lit(step)) + F.lit(1e-9)).cast("int")
         entry = label.join(open_lists, "token").join(sketch.select("cls", "sketch"), "cls").withColumn("block", block)
         entry = self.scratch.put(entry, "open")
+        self.scratch.drop(label)
         # the least overlap with a set of a block is that with its smallest one, or one of the probe's own size
         smallest = lambda b: F.greatest(F.col("n"), F.ceil(F.pow(F.lit(step), b) * (1 - 1e-6)).cast("int"))
         within = lambda b: F.col("n") - F.col("pos") >= F.ceil(percent * (F.col("n") + smallest(b)) / (100 + percent))
@@ -296,6 +299,7 @@ class _Join:
         meet = meet.where(f"100 * p.n >= {percent} * e.n and least(p.n - p.pos, e.n - e.pos) >= {least}").where(_may_differ(percent, "p", "e"))
         pairs = meet.select(F.least("p.cls", "e.cls").alias("a"), F.greatest("p.cls", "e.cls").alias("b")).distinct().join(near, ["a", "b"], "left_anti")
         pairs = self.scratch.put(pairs, "across")
+        self.scratch.drop(entry, near)
         more = self.links(pairs)
         part = first.select(F.col("node"), "component")
         bridge = more.join(part.withColumnRenamed("node", "u").withColumnRenamed("component", "cu"), "u", "left").join(part.withColumnRenamed("node", "v").withColumnRenamed("component", "cv"), "v", "left")
