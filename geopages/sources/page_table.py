@@ -183,10 +183,11 @@ def pages(df: DataFrame, geometry: str = "geometry", id: str = "id", sort: str =
 def save(df: DataFrame, path: str, compression: str = "zstd", mode: str = "overwrite", index: bool = True, **options) -> None:
     """Write ``df`` (id, geometry) as a page table, or add it to one (``mode="append"``), with its manifest unless ``index`` is off.
 
-    Few pages share a column-index entry, so that pages are skipped one by one; ids and counts are delta-coded by Parquet.
+    Few pages share a column-index entry, so that pages are skipped one by one. The writer's version is the
+    first: Spark's vectorized reader gives wrong bytes for the delta byte arrays of the second one without compression.
     """
     (
-        pages(df, **options).write.mode(mode).option("compression", compression).option("parquet.page.row.count.limit", "1").option("parquet.writer.version", "PARQUET_2_0")
+        pages(df, **options).write.mode(mode).option("compression", compression).option("parquet.page.row.count.limit", "1")
         .option("parquet.enable.dictionary", "false").option("parquet.enable.dictionary#geom_nparts.list.element", "true").option("parquet.enable.dictionary#part_ncoords.list.element", "true").parquet(path)
     )
     if index:

@@ -158,3 +158,13 @@ def test_nearest(spark, tmp_path):
         want = sorted((away(r), r.id) for r in boxes)[:k]
         got = page_table.nearest(spark, f"{tmp_path}/k", x, y, k).collect()
         assert [r.id for r in got] == [i for _, i in want]
+
+
+def test_every_compression_round_trips(spark, tmp_path):
+    d = X.dataset(spark, SF, "bldg")
+    key = lambda r: (r.id, str(r.geometry))
+    want = sorted(map(key, d.collect()))
+    for c in ("none", "gzip", "zstd", "snappy"):
+        for size in (1 << 20, 2048):
+            page_table.save(d, f"{tmp_path}/{c}{size}", c, sort="total", page_bytes=size, extent=X.DATASETS["bldg"].extent)
+            assert sorted(map(key, page_table.scan(spark, f"{tmp_path}/{c}{size}").collect())) == want
