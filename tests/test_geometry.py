@@ -40,6 +40,44 @@ def test_level_bits():
     assert build.level_bits(T.StructType([T.StructField("p", loose)]), True)["p"] == (2, 3)
 
 
+def test_level_entries_are_those_of_a_file(spark, tmp_path):
+    import pyarrow.parquet as pq
+
+    one = {"type": 1, "parts": [[{"x": 1.0, "y": 2.0}]]}
+    many = {"type": 5, "parts": [[{"x": 1.0, "y": 2.0}, {"x": 3.0, "y": 4.0}], [], [{"x": 5.0, "y": 6.0}]]}
+    kind = T.StructType([T.StructField("g", build.geometry_type()), T.StructField("c", build.collection_type())])
+    d = spark.createDataFrame([(one, [one, many]), (many, []), (None, None), ({"type": 0, "parts": []}, [many])], kind).coalesce(1)
+    d.write.parquet(f"{tmp_path}/t")
+    columns = pq.ParquetFile(next(tmp_path.glob("t/*.parquet"))).metadata.row_group(0)
+    columns = [columns.column(i) for i in range(columns.num_columns)]
+    wanted = [(c.path_in_schema.split(".")[0], c.path_in_schema.split(".")[-1], c.num_values) for c in columns]
+    entries = {(f.name, leaf.split(".")[-1]): n for f in kind.fields for leaf, n in build.level_entries(F.col(f.name), f.dataType).items()}
+    got = d.agg(*[F.sum(entries[column, leaf]) for column, leaf, _ in wanted]).first()
+    assert len(entries) == 6 and list(got) == [n for *_, n in wanted]
+
+
+def own_events(spark, path, rows):
+    spark.createDataFrame(rows, "event_id long, user_id long, event_type string, value double").write.parquet(f"{path}/events.parquet")
+    return str(path)
+
+
+def test_level_bits_of_a_table(spark, tmp_path):
+    import __spark_entry__ as entry
+
+    rows = [(i, 7 * i, t, i / 4) for i, t in enumerate(("click", "view", "view", None, "error", "view", "click", "signup", "view"))]
+    got = {(r.variant, r.leaf): (r.rep_bits, r.def_bits, r.n_levels, r.level_bits) for r in entry.queries()["level_bits"](spark, own_events(spark, tmp_path / "some", rows)).collect()}
+    coords = [sum(map(len, list(X.EXAMPLES.values())[i % 6][1])) for i, *_ in rows]
+    view = [t == "view" for *_, t, _ in rows]
+    assert coords == [1, 3, 8, 3, 6, 13, 1, 3, 8] and len(got) == 16
+    assert got["required", "type"] == (0, 0, 9, 0) and got["optional", "type"] == (0, 1, 9, 9)
+    assert got["collection", "type"] == (1, 1, 14, 28)
+    assert got["floats", "parts.y"] == got["three_axes", "parts.z"] == got["required", "parts.x"] == (2, 2, sum(coords), 4 * sum(coords))
+    assert got["optional", "parts.x"][2] == sum(1 if v else c for v, c in zip(view, coords, strict=True))
+    assert got["collection", "parts.y"][2] == sum(1 if v else 1 + c for v, c in zip(view, coords, strict=True))
+    none = entry.queries()["level_bits"](spark, own_events(spark, tmp_path / "none", [])).collect()
+    assert len(none) == 16 and not any(r.n_levels or r.level_bits for r in none)
+
+
 def test_collections_flatten(spark):
     p = {"type": 1, "parts": [[{"x": 1.0, "y": 2.0}]]}
     rows = [(1, 0, None, 0, None), (1, 1, 0, 1, p), (1, 2, 0, 0, None), (1, 3, 2, 0, None), (1, 4, 3, 10, p), (1, 5, 3, 2, {**p, "type": 2})]
