@@ -78,6 +78,21 @@ def test_level_bits_of_a_table(spark, tmp_path):
     assert len(none) == 16 and not any(r.n_levels or r.level_bits for r in none)
 
 
+def test_worked_examples_of_a_table(spark, tmp_path):
+    import __spark_entry__ as entry
+
+    rows = [(i, 7 * i, "click", i / 4) for i in range(7)]
+    got = {}
+    for r in entry.queries()["worked_examples"](spark, own_events(spark, tmp_path, rows)).orderBy("id", "part_no", "coord_no").collect():
+        got.setdefault((r.id, r.gid, r.kind), []).append((r.part_no, r.coord_no, r.rep_level, r.def_level, round(r.x * 10_000), round(r.y * 10_000)))
+    assert len(got) == 7
+    for i, user, _, value in rows:
+        x0, y0 = user * 7919 % 3600 * 1000 - 1_800_000, user * 104_729 % 1800 * 1000 - 900_000
+        w, h = 1 + i * 613 % 100, 1 + int(value * 100) * 31 % 100
+        kind, parts = X.EXAMPLES[f"g{i % 6 + 1}"]
+        assert got[i, f"g{kind}", kind] == [(p, c, 2 if c else 1 if p else 0, 2, x0 + x * w, y0 + y * h) for p, part in enumerate(parts) for c, (x, y) in enumerate(part)]
+
+
 def test_collections_flatten(spark):
     p = {"type": 1, "parts": [[{"x": 1.0, "y": 2.0}]]}
     rows = [(1, 0, None, 0, None), (1, 1, 0, 1, p), (1, 2, 0, 0, None), (1, 3, 2, 0, None), (1, 4, 3, 10, p), (1, 5, 3, 2, {**p, "type": 2})]
